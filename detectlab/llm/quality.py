@@ -37,7 +37,7 @@ class Rules:
     min_words: int = 50
     max_repeat: int = 50
     reach: int = 3
-    slack: tuple[tuple[str, int], ...] = (("symbol_share", 200), ("dup_line_share", 3000), ("repeat_share", 2000), ("word_length", 15000))
+    slack: tuple[tuple[str, int], ...] = (("symbol_share", 200), ("dup_line_share", 4000), ("repeat_share", 3000), ("word_length", 15000))
     both: tuple[str, ...] = ("word_length",)
     min_group: int = 30
     broadcast_rows: int = 100_000

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from detectlab.llm import lines, mixing, quality, substring, warc
+from detectlab.llm import decontam, jaccard, lines, mixing, quality, substring, warc
 from detectlab.llm.frames import documents
 
 
@@ -14,11 +14,20 @@ def op1_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.verdicts(docs).select("doc.doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
 
 
+def op2_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """One row per document and benchmark item found in it."""
+    return decontam.matches(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
+
+
 def op3_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir).select("doc_id", "text", "source")
     return mixing.takes(docs).select("doc_id", "size", "source_size", "target", "taken")
 
 
+def op4_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard.classes(documents(spark, sf_dir), jaccard.Join(words=3, percent=90))
+
+
 def op6_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir).select("doc_id", "text")
     return lines.dedup_lines(docs).select("doc.doc_id", "n_lines", "n_removed", F.sha2("doc.text", 256).alias("text_sha256"))
@@ -33,7 +42,7 @@ def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return substring.mark_repeats(documents(spark, sf_dir), window=13).select("doc_id", "n_words", "n_removed", "kept_sha256")
 
 
-QUERIES = {f.__name__: f for f in (op1_quality_rules, op3_mix_sources, op6_line_dedup, op8_warc_zstd, op10_substring_dedup)}
+QUERIES = {f.__name__: f for f in (op1_quality_rules, op2_decontaminate, op3_mix_sources, op4_ngram_jaccard, op6_line_dedup, op8_warc_zstd, op10_substring_dedup)}
 
 _WORD = r"[^\x20\x09-\x0D]+"
 
@@ -70,7 +79,7 @@ r AS (SELECT *, sum(docs) OVER (PARTITION BY level, lk, sk, measure ORDER BY bin
     CASE WHEN bin < 64 THEN bin ELSE (bin % 32 + 32) << (bin // 32 - 1)::INT END AS low FROM s),
 q AS (
   SELECT level, lk, sk, measure, max(n) AS n, min(low) FILTER (seen * 100 >= n * 25) AS q25, min(low) FILTER (seen * 100 >= n * 75) AS q75,
-    CASE measure WHEN 'symbol_share' THEN 200 WHEN 'dup_line_share' THEN 3000 WHEN 'repeat_share' THEN 2000 ELSE 15000 END AS slack
+    CASE measure WHEN 'symbol_share' THEN 200 WHEN 'dup_line_share' THEN 4000 WHEN 'repeat_share' THEN 3000 ELSE 15000 END AS slack
   FROM r GROUP BY level, lk, sk, measure),
 lim AS (
   SELECT level, lk, sk, measure, q75 + greatest(3 * (q75 - q25), slack) AS high, CASE WHEN measure = 'word_length' THEN q25 - greatest(3 * (q75 - q25), slack) ELSE -1 END AS low
@@ -98,4 +107,21 @@ SELECT l.doc_id, coalesce(len(ls), 0)::BIGINT AS n_lines, coalesce(n_removed, 0)
 FROM l LEFT JOIN parts USING (doc_id)
 """
 
-ORACLES: dict[str, str] = {"op1_quality_rules": OP1_SQL, "op6_line_dedup": OP6_SQL}
+OP4_SQL = rf"""
+WITH RECURSIVE w AS (
+  SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '{_WORD}') AS ws FROM documents),
+s AS (
+  SELECT DISTINCT doc_id, hash(g) AS g FROM (
+    SELECT doc_id, unnest(list_transform(range(1, len(ws) - 1), lambda p: ws[p:p + 2])) AS g FROM w WHERE len(ws) >= 3
+    UNION ALL SELECT doc_id, ws FROM w WHERE len(ws) BETWEEN 1 AND 2)),
+n AS (SELECT doc_id, count(*) AS n FROM s GROUP BY doc_id),
+both AS (
+  SELECT a.doc_id AS x, b.doc_id AS y, count(*) AS k FROM s a JOIN s b ON a.g = b.g AND a.doc_id < b.doc_id GROUP BY ALL),
+link AS (SELECT x, y FROM both JOIN n p ON p.doc_id = x JOIN n q ON q.doc_id = y WHERE 100 * k >= 90 * (p.n + q.n - k)),
+sym AS (SELECT x, y FROM link UNION SELECT y, x FROM link),
+reach(x, y) AS (SELECT doc_id, doc_id FROM documents UNION SELECT r.x, sym.y FROM reach r JOIN sym ON sym.x = r.y)
+SELECT d.doc_id, coalesce(n.n, 0)::BIGINT AS n_shingles, min(r.y)::BIGINT AS component_id
+FROM documents d LEFT JOIN n USING (doc_id) JOIN reach r ON r.x = d.doc_id GROUP BY d.doc_id, n.n
+"""
+
+ORACLES: dict[str, str] = {"op1_quality_rules": OP1_SQL, "op4_ngram_jaccard": OP4_SQL, "op6_line_dedup": OP6_SQL}
