@@ -1,8 +1,10 @@
 """Exact n-gram Jaccard join: a size-aware mix of subset enumeration and list scans.
 
 Sets are the distinct word shingles of each text. Equal sets are one node. Tokens
-are ordered by hash, with the frequent ones last (a bounded list of heavy hitters,
-by count). A set of n tokens and a set like it share a token among the first
+are ordered so that rare ones come first: by how many frequent words a shingle
+holds, then by hash, and last the shingles that are frequent as a whole, by count.
+Both frequent words and frequent shingles are bounded lists of heavy hitters; any
+order gives the same result. A set of n tokens and a set like it share a token among the first
 p = n - ceil(t n) + 1 of each, and two among the first p + 1.
 
 * Small (light) sets enumerate the pairs of their first p + 1 tokens; like sets meet in a pair.
@@ -18,7 +20,7 @@ components. Then only sets of one list in different components are left to be
 compared: every set outside the list's largest component with those in others. So a
 list whose members are one group costs nothing more, and no link between
 components is lost. A distance that can't exceed the true one (of token counts in
-128 bins) rejects most pairs before their sets are fetched.
+128 bins) rejects most pairs; only the texts of those left are read again.
 """
 
 from __future__ import annotations
@@ -44,15 +46,20 @@ _LAST = 9223372036854775807
 @dataclass(frozen=True)
 class Join:
     """words a shingle; percent: link when 100 * intersection >= percent * union. frequent: heavy hitters kept at
-    most. frequent_share: share of a piece's documents from which a shingle counts as one. light_cap: sizes from
-    which the cost model takes a set for heavy anyway. list_run: members of a list that one task orders."""
+    most. frequent_share: share of a piece's documents from which a shingle counts as one. word_share: share of a
+    piece's words from which a word is frequent; frequent_words: of these kept at most. light_cap: sizes from
+    which the cost model takes a set for heavy anyway. list_run: members of a list that one task orders.
+    broadcast_ids: documents to read again up to which their ids (16 bytes each) are broadcast."""
 
     words: int = 5
     percent: int = 80
     frequent: int = 32768
     frequent_share: float = 0.002
+    word_share: float = 0.0005
+    frequent_words: int = 4096
     light_cap: int = 2000
     list_run: int = 10_000
+    broadcast_ids: int = 1_000_000
 
     def prefix(self, n):
         return n - -(-self.percent * n // 100) + 1
@@ -62,25 +69,50 @@ class Join:
         return (self.prefix(n) == 1) & (100 * n // self.percent == n)
 
 
-def shingle_sets(texts, words: int) -> list[np.ndarray]:
-    """The distinct shingle hashes of each text, in order. Fewer words than that are one shingle; none, an empty set."""
+def shingle_sets(texts, words: int, frequent: np.ndarray | None = None) -> list:
+    """The distinct shingle hashes of each text, in order. Fewer words than that are one shingle; none, an empty set.
+    With frequent (sorted word hashes): pairs of these and the frequent words in each."""
     w = wh.words_of(texts, fold="ascii", seed=21)
     h, first = wh.window_hash(w.hash, words, 4), w.first
     out = []
+    if frequent is not None:
+        run = np.concatenate([[0], np.cumsum(_member(w.hash, frequent))])
+        held = np.minimum(run[words:] - run[:-words], 6) if len(h) else run[:0]
     for a, b in zip(first[:-1].tolist(), first[1:].tolist(), strict=True):
         if b - a >= words:
-            out.append(np.unique(h[a : b - words + 1]))
+            if frequent is None:
+                out.append(np.unique(h[a : b - words + 1]))
+            else:
+                s, at = np.unique(h[a : b - words + 1], return_index=True)
+                out.append((s, held[a + at]))
         else:
-            out.append(wh.window_hash(w.hash[a:b], b - a, 4) if b > a else np.zeros(0, U))
+            s = wh.window_hash(w.hash[a:b], b - a, 4) if b > a else np.zeros(0, U)
+            out.append(s if frequent is None else (s, np.zeros(len(s), np.int64)))
     return out
 
 
+def _member(h: np.ndarray, known: np.ndarray) -> np.ndarray:
+    if not len(known):
+        return np.zeros(len(h), bool)
+    at = np.searchsorted(known, h)
+    at[at == len(known)] = 0
+    return known[at] == h
+
+
+def _heavy(h: np.ndarray, least: float) -> tuple[np.ndarray, np.ndarray]:
+    """Values that occur at least so often, and how often."""
+    h = np.sort(h)
+    head = np.flatnonzero(np.r_[True, h[1:] != h[:-1]])
+    count = np.diff(np.append(head, len(h)))
+    return h[head[count >= least]], count[count >= least]
+
+
 def _digest(s: np.ndarray) -> int:
     return int.from_bytes(hashlib.blake2b(s.tobytes(), digest_size=8).digest(), "little", signed=True)
 
 
-def _survey(docs: DataFrame, how: Join) -> tuple[np.ndarray, int]:
-    """Frequent shingles by count, and the largest size of a light set."""
+def _survey(docs: DataFrame, how: Join) -> tuple[np.ndarray, np.ndarray, int]:
+    """Frequent shingles by count, frequent words in order of hash, and the largest size of a light set."""
 
     def run(batches):
         for batch in batches:
@@ -88,21 +120,22 @@ def _survey(docs: DataFrame, how: Join) -> tuple[np.ndarray, int]:
                 sets = [s for s in shingle_sets(part.column("text"), how.words) if len(s)]
                 if not sets:
                     continue
-                allh = np.sort(np.concatenate(sets))
-                head = np.flatnonzero(np.r_[True, allh[1:] != allh[:-1]])
-                count = np.diff(np.append(head, len(allh)))
-                hot = count >= max(3, how.frequent_share * len(sets))
+                words = wh.words_of(part.column("text"), fold="ascii", seed=21).hash
+                often, times = _heavy(words, max(3, how.word_share * len(words)))
+                allh = np.concatenate(sets)
+                hot, docs_of_hot = _heavy(allh, max(3, how.frequent_share * len(sets)))
+                _, lists = _heavy(allh, 0)
                 n, docs_of = np.unique(np.minimum([len(s) for s in sets], how.light_cap), return_counts=True)
-                kind = np.concatenate([np.zeros(hot.sum(), np.int32), np.ones(len(n), np.int32), np.array([2, 3], np.int32)])
-                key = np.concatenate([allh[head[hot]].view(np.int64), n.astype(np.int64), [0, 0]])
-                value = np.concatenate([count[hot], docs_of, [(count.astype(float) ** 2).sum(), len(allh)]]).astype(np.int64)
+                kind = np.repeat(np.array([0, 1, 2, 3, 4], np.int32), [len(hot), len(often), len(n), 1, 1])
+                key = np.concatenate([hot.view(np.int64), often.view(np.int64), n.astype(np.int64), [0, 0]])
+                value = np.concatenate([docs_of_hot, times, docs_of, [(lists.astype(float) ** 2).sum(), len(allh)]]).astype(np.int64)
                 yield pa.RecordBatch.from_arrays([pa.array(kind), pa.array(key), pa.array(value)], ["kind", "key", "value"])
 
     found = cut(docs.mapInArrow(run, "kind int, key long, value long").groupBy("kind", "key").agg(F.sum("value").alias("value")))
-    hot = found.where("kind = 0").orderBy(F.desc("value"), "key").limit(how.frequent).collect()
-    sizes = {r.key: r.value for r in found.where("kind = 1").collect()}
-    scan = {r.kind: r.value for r in found.where("kind > 1").collect()}
-    return np.array([r.key for r in hot], np.int64).view(U), boundary(sizes, scan.get(2, 1) / max(1, scan.get(3, 1)), how)
+    top = lambda kind, most: np.array([r.key for r in found.where(F.col("kind") == kind).orderBy(F.desc("value"), "key").limit(most).collect()], np.int64).view(U)
+    sizes = {r.key: r.value for r in found.where("kind = 2").collect()}
+    scan = {r.kind: r.value for r in found.where("kind > 2").collect()}
+    return top(0, how.frequent), np.sort(top(1, how.frequent_words)), boundary(sizes, scan.get(3, 1) / max(1, scan.get(4, 1)), how)
 
 
 def boundary(sizes: dict[int, int], scan: float, how: Join) -> int:
@@ -123,18 +156,16 @@ def boundary(sizes: dict[int, int], scan: float, how: Join) -> int:
     return int(at)
 
 
-def _keys(s: np.ndarray, hot: np.ndarray, rank: np.ndarray, light: int, how: Join) -> np.ndarray:
+def _keys(s: np.ndarray, held: np.ndarray, hot: np.ndarray, rank: np.ndarray, light: int, how: Join) -> np.ndarray:
     n = len(s)
     if not n or how.alone(n):
         return np.zeros(0, np.int64)
     p = how.prefix(n)
-    at = np.searchsorted(hot, s)
-    at[at == len(hot)] = 0
-    often = hot[at] == s if len(hot) else np.zeros(n, bool)
-    cold = s[~often][: p + 1]
-    if len(cold) < p + 1:
-        late = s[often][np.argsort(-rank[at[often]])]  # the most frequent last
-        cold = np.concatenate([cold, late[: p + 1 - len(cold)]])
+    value = (held.astype(U) << U(61)) | (s >> U(3))
+    often = _member(s, hot)
+    if often.any():
+        value[often] = (U(7) << U(61)) | (U(len(hot)) - rank[np.searchsorted(hot, s[often])].astype(U))  # the most frequent last
+    cold = np.sort(np.partition(value, min(p, n - 1))[: p + 1])
     out = []
     with np.errstate(over="ignore"):
         if n <= light and len(cold) > 1:
@@ -146,37 +177,39 @@ def _keys(s: np.ndarray, hot: np.ndarray, rank: np.ndarray, light: int, how: Joi
 
 
 def prepare(docs: DataFrame, how: Join) -> DataFrame:
-    """at (doc_id, or the largest long), n, node (digest of the set; null if empty), keys."""
+    """at (doc_id, or the largest long), n, node (digest of the set; null if empty), keys, sketch (tokens in each bin)."""
     docs = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(_LAST)).alias("at"), F.col("text").cast("string").alias("text"))
-    hot_by_count, light = _survey(docs.select("text"), how)
+    hot_by_count, frequent, light = _survey(docs.select("text"), how)
     order = np.argsort(hot_by_count)
     hot, rank = hot_by_count[order], order
 
     def run(batches):
         for batch in batches:
             for part in wh.pieces(batch, "text", 8 << 20):
-                sets = shingle_sets(part.column("text"), how.words)
-                keys = [_keys(s, hot, rank, light, how) for s in sets]
+                pairs = shingle_sets(part.column("text"), how.words, frequent)
+                keys, sets = [_keys(s, f, hot, rank, light, how) for s, f in pairs], [s for s, _ in pairs]
+                sketch = [np.minimum(np.bincount((s >> U(20)).astype(np.int64) % BINS, minlength=BINS), 65535).astype(np.uint16).tobytes() if len(k) else None for s, k in zip(sets, keys, strict=True)]
                 flat = pa.array(np.concatenate(keys) if keys else np.zeros(0, np.int64))
                 lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum([len(k) for k in keys])]), pa.int32()), flat)
                 at = part.column("at") if isinstance(part, pa.RecordBatch) else part.column("at").combine_chunks()
-                yield pa.RecordBatch.from_arrays([at, pa.array([len(s) for s in sets], pa.int64()), pa.array([_digest(s) if len(s) else None for s in sets], pa.int64()), lists], ["at", "n", "node", "keys"])
+                yield pa.RecordBatch.from_arrays([at, pa.array([len(s) for s in sets], pa.int64()), pa.array([_digest(s) if len(s) else None for s in sets], pa.int64()), lists, pa.array(sketch, pa.binary())], ["at", "n", "node", "keys", "sketch"])
 
-    return docs.mapInArrow(run, "at long, n long, node long, keys array<long>")
+    return docs.mapInArrow(run, "at long, n long, node long, keys array<long>, sketch binary")
 
 
 def _sets(docs: DataFrame, wanted: DataFrame, how: Join) -> DataFrame:
-    """node, n, sketch, tokens (binary) of the documents whose doc_id is in wanted.at."""
+    """node, tokens (binary) of the documents whose doc_id is in wanted.at."""
     docs = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(_LAST)).alias("at"), F.col("text").cast("string").alias("text"))
 
     def run(batches):
         for batch in batches:
             for part in wh.pieces(batch, "text", 8 << 20):
                 sets = [s for s in shingle_sets(part.column("text"), how.words) if len(s)]
-                sketch = [np.bincount((s >> U(20)).astype(np.int64) % BINS, minlength=BINS).astype(np.int32).tobytes() for s in sets]
-                yield pa.RecordBatch.from_arrays([pa.array([_digest(s) for s in sets], pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array(sketch, pa.binary()), pa.array([s.tobytes() for s in sets], pa.binary())], ["node", "n", "sketch", "tokens"])
+                yield pa.RecordBatch.from_arrays([pa.array([_digest(s) for s in sets], pa.int64()), pa.array([s.tobytes() for s in sets], pa.binary())], ["node", "tokens"])
 
-    return docs.join(wanted.select("at").distinct(), "at", "left_semi").select("text").mapInArrow(run, "node long, n long, sketch binary, tokens binary").dropDuplicates(["node"])
+    ids = wanted.select("at").distinct()
+    ids = F.broadcast(ids) if wanted.count() <= how.broadcast_ids else ids  # else the texts are dealt by id
+    return docs.join(ids, "at", "left_semi").select("text").mapInArrow(run, "node long, tokens binary").join(wanted.select("node"), "node", "left_semi").dropDuplicates(["node"])
 
 
 def _may(batches, how: Join):
@@ -184,9 +217,9 @@ def _may(batches, how: Join):
         if not batch.num_rows:
             continue
         a, b, sa, sb = (batch.column(k) for k in range(4))
-        x, y = (np.frombuffer(b"".join(c.to_pylist()), np.int32).reshape(-1, BINS) for c in (sa, sb))
-        apart = np.abs(x - y).sum(1)
-        both = x.sum(1) + y.sum(1)
+        x, y = (np.frombuffer(b"".join(c.to_pylist()), np.uint16).reshape(-1, BINS).astype(np.int32) for c in (sa, sb))
+        apart = np.abs(x - y).sum(1).astype(np.int64)
+        both = batch.column(4).to_numpy() + batch.column(5).to_numpy()
         keep = pa.array(apart * (100 + how.percent) <= both * (100 - how.percent))
         yield pa.RecordBatch.from_arrays([a.filter(keep), b.filter(keep)], ["a", "b"])
 
@@ -202,16 +235,21 @@ def _like(batches, how: Join):
         yield pa.RecordBatch.from_arrays([batch.column(0).filter(keep), batch.column(1).filter(keep)], ["a", "b"])
 
 
-def verify(pairs: DataFrame, sets: DataFrame, how: Join) -> DataFrame:
-    """The pairs a, b whose sets are alike."""
+def maybe(pairs: DataFrame, nodes: DataFrame, how: Join) -> DataFrame:
+    """The pairs a, b whose sketches allow that they are alike."""
+    for side in ("a", "b"):
+        pairs = pairs.join(nodes.select(F.col("node").alias(side), F.col("sketch").alias(f"s{side}"), F.col("n").alias(f"n{side}")), side)
+    return pairs.select("a", "b", "sa", "sb", "na", "nb").mapInArrow(lambda it: _may(it, how), "a long, b long")
 
-    def fetch(p: DataFrame, column: str) -> DataFrame:
-        for side in ("a", "b"):
-            p = p.join(sets.select(F.col("node").alias(side), F.col(column).alias(f"{column}_{side}")), side)
-        return p.select("a", "b", f"{column}_a", f"{column}_b")
 
-    may = fetch(pairs, "sketch").mapInArrow(lambda it: _may(it, how), "a long, b long")
-    return fetch(may, "tokens").mapInArrow(lambda it: _like(it, how), "a long, b long")
+def verify(pairs: DataFrame, nodes: DataFrame, docs: DataFrame, how: Join) -> DataFrame:
+    """The pairs a, b whose sets are alike."""
+    pairs = cut(maybe(pairs, nodes, how))
+    wanted = cut(pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct().join(nodes.select("node", "at"), "node"))
+    sets = cut(_sets(docs, wanted, how))
+    for side in ("a", "b"):
+        pairs = pairs.join(sets.select(F.col("node").alias(side), F.col("tokens").alias(f"t{side}")), side)
+    return pairs.select("a", "b", "ta", "tb").mapInArrow(lambda it: _like(it, how), "a long, b long")
 
 
 def classes(docs: DataFrame, how: Join = Join()) -> DataFrame:
@@ -228,11 +266,11 @@ def classes(docs: DataFrame, how: Join = Join()) -> DataFrame:
 
 
 def _label(docs: DataFrame, rows: DataFrame, how: Join) -> DataFrame:
-    nodes = rows.where("node is not null").groupBy("node").agg(F.min(F.struct("at", "n", "keys")).alias("r")).select("node", "r.*")
-    filed = nodes.select("node", "at", "n", F.explode("keys").alias("key"))
+    nodes = rows.where("node is not null").groupBy("node").agg(F.min(F.struct("at", "n", "keys", "sketch")).alias("r")).select("node", "r.*")
+    nodes = cut(nodes)
+    filed = nodes.select("node", "n", F.explode("keys").alias("key"))
     shared = filed.groupBy("key").agg(F.count("*").alias("members")).where("members > 1")
     lists = cut(filed.join(shared, "key"))
-    sets = cut(_sets(docs, lists, how))
 
     run = Window.partitionBy("key", F.pmod("node", F.expr(f"1 + members div {how.list_run}"))).orderBy("n", "node")
     before = {f"{c}{k}": F.lag(c, k).over(run) for c in ("node", "n") for k in (1, 2)}
@@ -240,7 +278,7 @@ def _label(docs: DataFrame, rows: DataFrame, how: Join) -> DataFrame:
     near = near.select("node", "n", F.inline(F.array(*[F.struct(F.col(f"node{k}").alias("b"), F.col(f"n{k}").alias("m")) for k in (1, 2)])))
     near = near.where(F.col("b").isNotNull() & (100 * F.col("m") >= how.percent * F.col("n"))).groupBy("node", "b").agg(F.count("*").alias("times"))
     best = near.groupBy("node").agg(F.slice(F.sort_array(F.collect_list(F.struct("times", "b")), False), 1, 3).alias("best"))  # a set has as many as it has keys, at most
-    first = cut(verify(best.select(F.col("node").alias("a"), F.explode("best.b").alias("b")), sets, how))
+    first = cut(verify(best.select(F.col("node").alias("a"), F.explode("best.b").alias("b")), nodes, docs, how))
     part = cut(components(first))
 
     at_home = lists.join(part, "node", "left").select("key", "node", "n", F.coalesce("root", "node").alias("root"))
@@ -250,7 +288,7 @@ def _label(docs: DataFrame, rows: DataFrame, how: Join) -> DataFrame:
     right = open_lists.select("key", F.col("node").alias("b"), F.col("n").alias("nb"), F.col("root").alias("rb"), (F.col("root") == F.col("home")).alias("at_home"))
     size_fits = (100 * F.least("na", "nb") >= how.percent * F.greatest("na", "nb")) & (F.col("ra") != F.col("rb")) & (F.col("at_home") | (F.col("a") < F.col("b")))
     second = left.join(right, "key").where(size_fits).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-    links = part.select(F.col("node").alias("a"), F.col("root").alias("b")).union(verify(second, sets, how))
+    links = part.select(F.col("node").alias("a"), F.col("root").alias("b")).union(verify(second, nodes, docs, how))
     whole = components(links)
 
     known = nodes.select("node", "at").join(whole, "node", "left").withColumn("root", F.coalesce("root", "node"))

@@ -115,9 +115,9 @@ s AS (
     SELECT doc_id, unnest(list_transform(range(1, len(ws) - 1), lambda p: ws[p:p + 2])) AS g FROM w WHERE len(ws) >= 3
     UNION ALL SELECT doc_id, ws FROM w WHERE len(ws) BETWEEN 1 AND 2)),
 n AS (SELECT doc_id, count(*) AS n FROM s GROUP BY doc_id),
-both AS (
+meet AS (
   SELECT a.doc_id AS x, b.doc_id AS y, count(*) AS k FROM s a JOIN s b ON a.g = b.g AND a.doc_id < b.doc_id GROUP BY ALL),
-link AS (SELECT x, y FROM both JOIN n p ON p.doc_id = x JOIN n q ON q.doc_id = y WHERE 100 * k >= 90 * (p.n + q.n - k)),
+link AS (SELECT x, y FROM meet JOIN n p ON p.doc_id = x JOIN n q ON q.doc_id = y WHERE 100 * k >= 90 * (p.n + q.n - k)),
 sym AS (SELECT x, y FROM link UNION SELECT y, x FROM link),
 reach(x, y) AS (SELECT doc_id, doc_id FROM documents UNION SELECT r.x, sym.y FROM reach r JOIN sym ON sym.x = r.y)
 SELECT d.doc_id, coalesce(n.n, 0)::BIGINT AS n_shingles, min(r.y)::BIGINT AS component_id

@@ -40,8 +40,11 @@ def sha1_base32(data: bytes) -> str:
 
 
 def train_dictionary(pages: DataFrame, *, samples: int = 256, sample_chars: int = 16384, size: int = 32768) -> bytes:
-    """A dictionary from a bounded sample: at most ``samples`` pages by hash of their id, ``sample_chars`` of each. b'' if there is too little."""
-    picked = pages.where("html is not null").orderBy(F.xxhash64("page_id")).limit(samples).select(F.substring("html", 1, sample_chars).alias("html")).collect()
+    """A dictionary from a bounded sample: one page in each of ``samples`` buckets of ids, ``sample_chars`` of each. b'' if there is too little."""
+    bucket, order = F.pmod(F.xxhash64("page_id"), F.lit(samples)), F.xxhash64(F.lit(1), "page_id")
+    least = pages.where("html is not null and page_id is not null").groupBy(bucket.alias("bucket")).agg(F.min(F.struct(order.alias("order"), "page_id")).alias("p")).select("p.page_id")
+    texts = pages.join(F.broadcast(least), "page_id").groupBy("page_id").agg(F.first(F.substring("html", 1, sample_chars)).alias("html"))  # least has at most samples rows
+    picked = sorted(texts.collect(), key=lambda r: r.page_id)
     try:
         return zstandard.train_dictionary(size, [r.html.encode() for r in picked if r.html]).as_bytes()
     except (zstandard.ZstdError, ValueError):
