@@ -94,16 +94,25 @@ def buckets(rows: np.ndarray, how: Search) -> np.ndarray:
     return out
 
 
-def best_edits(item: np.ndarray, region: np.ndarray) -> int:
-    """Fewest word edits from the item to any run of the region."""
-    row = np.zeros(len(region) + 1, np.int64)
-    place = np.arange(len(region) + 1)
-    for k, x in enumerate(item, 1):
+def best_edits(items: np.ndarray, regions: np.ndarray) -> np.ndarray:
+    """Fewest word edits from each item (rows of one length) to any run of its region (rows padded with 0)."""
+    pairs, width = regions.shape
+    row, place = np.zeros((pairs, width + 1), np.int32), np.arange(width + 1, dtype=np.int32)
+    for k in range(items.shape[1]):
         new = np.empty_like(row)
-        new[0] = k
-        new[1:] = np.minimum(row[:-1] + (region != x), row[1:] + 1)
-        row = np.minimum.accumulate(new - place) + place  # insertions
-    return int(row.min())
+        new[:, 0] = k + 1
+        np.minimum(row[:, :-1] + (regions != items[:, k : k + 1]), row[:, 1:] + 1, out=new[:, 1:])
+        new -= place
+        np.minimum.accumulate(new, axis=1, out=new)  # insertions
+        new += place
+        row = new
+    return row.min(1)
+
+
+def _read(words: np.ndarray, start: np.ndarray, stop: np.ndarray, size: int) -> np.ndarray:
+    """Rows of size words from each start, 0 from stop on."""
+    at = start[:, None] + np.arange(size)
+    return np.where(at < stop[:, None], words[np.minimum(at, len(words) - 1)], U(0))
 
 
 class Items:
@@ -172,32 +181,27 @@ class Items:
         size = self.size[item]
         start = np.clip(start, first, np.maximum(first, last - size))
         found: dict[tuple[int, int], tuple[int, int]] = {}
-        done = set()
         for n in np.unique(size).tolist():
             own = np.flatnonzero(size == n)
+            slack = self.how.edits(n)
+            keys, owner = self.table[n]
             for at in range(0, len(own), 4096):
                 part = own[at : at + 4096]
-                rows = np.zeros((len(part), n), U)
-                for r, k in enumerate(part.tolist()):
-                    got = w.hash[start[k] : min(start[k] + n, last[k])]
-                    rows[r, : len(got)] = got
+                rows = _read(w.hash, start[part], last[part], n)
                 b = buckets(rows, self.how)
-                keys, owner = self.table[n]
                 lo, hi = np.searchsorted(keys, b, "left"), np.searchsorted(keys, b, "right")
-                for r, c in zip(*np.nonzero(hi > lo), strict=True):
-                    k = part[r]
-                    for cand in owner[lo[r, c] : hi[r, c]].tolist():
-                        mark = (int(text[k]), cand, int(start[k]))
-                        if mark in done:
-                            continue
-                        done.add(mark)
-                        slack = int(self.edits[cand])
-                        a, z = max(int(first[k]), int(start[k]) - slack), min(int(last[k]), int(start[k]) + n + slack)
-                        same = n <= last[k] - start[k] and np.array_equal(rows[r], self.words[cand])
-                        e = 0 if same else best_edits(self.words[cand], w.hash[a:z])
-                        if e <= slack:
-                            best = (e, int(start[k] - first[k]))
-                            found[mark[:2]] = min(found.get(mark[:2], best), best)
+                hits = (hi - lo).ravel()
+                window = np.repeat(np.arange(len(part)).repeat(b.shape[1]), hits)
+                entry = np.repeat(lo.ravel(), hits) + np.arange(hits.sum()) - np.repeat(np.cumsum(hits) - hits, hits)
+                window, cand = np.unique(np.stack([window, owner[entry]]), axis=1)
+                for c in range(0, len(window), 2048):
+                    win, item = window[c : c + 2048], cand[c : c + 2048]
+                    k = part[win]
+                    begin = np.maximum(first[k], start[k] - slack)
+                    edits = best_edits(np.stack([self.words[i] for i in item.tolist()]), _read(w.hash, begin, np.minimum(last[k], start[k] + n + slack), n + 2 * slack))
+                    for x in np.flatnonzero(edits <= slack).tolist():
+                        mark, best = (int(text[k[x]]), int(item[x])), (int(edits[x]), int(start[k[x]] - first[k[x]]))
+                        found[mark] = min(found.get(mark, best), best)
         for (t, i), (e, s) in sorted(found.items()):
             yield t, i, e, s
 
@@ -226,7 +230,7 @@ def matches(docs: DataFrame, benchmark: DataFrame, how: Search = Search()) -> Da
 
         def run(batches, items=items):
             for batch in batches:
-                for part in wh.pieces(batch, "text"):
+                for part in wh.pieces(batch, "text", 16 << 20):
                     ids = part.column("doc_id").to_pylist()
                     rows = [(ids[t], items.ids[i], e, len(items.words[i]), s) for t, i, e, s in items.matches(part.column("text"))]
                     cols = zip(*rows, strict=True) if rows else ((),) * 5
@@ -246,7 +250,7 @@ def without_matches(docs: DataFrame, benchmark: DataFrame, how: Search = Search(
             for batch in batches:
                 doc = batch.column(0)
                 at, keep = 0, np.ones(len(doc), bool)
-                for part in wh.pieces(pa.table([pc.struct_field(doc, "text").cast(pa.string())], ["text"]), "text"):
+                for part in wh.pieces(pa.table([pc.struct_field(doc, "text").cast(pa.string())], ["text"]), "text", 16 << 20):
                     keep[[at + t for t, *_ in items.matches(part.column("text"))]] = False
                     at += part.num_rows
                 yield batch.filter(pa.array(keep))

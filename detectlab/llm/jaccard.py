@@ -99,12 +99,11 @@ def _member(h: np.ndarray, known: np.ndarray) -> np.ndarray:
     return known[at] == h
 
 
-def _heavy(h: np.ndarray, least: float) -> tuple[np.ndarray, np.ndarray]:
-    """Values that occur at least so often, and how often."""
+def _counted(h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct values and how often each occurs."""
     h = np.sort(h)
     head = np.flatnonzero(np.r_[True, h[1:] != h[:-1]])
-    count = np.diff(np.append(head, len(h)))
-    return h[head[count >= least]], count[count >= least]
+    return h[head], np.diff(np.append(head, len(h)))
 
 
 def _digest(s: np.ndarray) -> int:
@@ -116,19 +115,18 @@ def _survey(docs: DataFrame, how: Join) -> tuple[np.ndarray, np.ndarray, int]:
 
     def run(batches):
         for batch in batches:
-            for part in wh.pieces(batch, "text", 16 << 20):
+            for part in wh.pieces(batch, "text", 4 << 20):
                 sets = [s for s in shingle_sets(part.column("text"), how.words) if len(s)]
                 if not sets:
                     continue
-                words = wh.words_of(part.column("text"), fold="ascii", seed=21).hash
-                often, times = _heavy(words, max(3, how.word_share * len(words)))
-                allh = np.concatenate(sets)
-                hot, docs_of_hot = _heavy(allh, max(3, how.frequent_share * len(sets)))
-                _, lists = _heavy(allh, 0)
+                words, times = _counted(wh.words_of(part.column("text"), fold="ascii", seed=21).hash)
+                often = times >= max(3, how.word_share * times.sum())
+                shingles, lists = _counted(np.concatenate(sets))
+                hot = lists >= max(3, how.frequent_share * len(sets))
                 n, docs_of = np.unique(np.minimum([len(s) for s in sets], how.light_cap), return_counts=True)
-                kind = np.repeat(np.array([0, 1, 2, 3, 4], np.int32), [len(hot), len(often), len(n), 1, 1])
-                key = np.concatenate([hot.view(np.int64), often.view(np.int64), n.astype(np.int64), [0, 0]])
-                value = np.concatenate([docs_of_hot, times, docs_of, [(lists.astype(float) ** 2).sum(), len(allh)]]).astype(np.int64)
+                kind = np.repeat(np.array([0, 1, 2, 3, 4], np.int32), [hot.sum(), often.sum(), len(n), 1, 1])
+                key = np.concatenate([shingles[hot].view(np.int64), words[often].view(np.int64), n.astype(np.int64), [0, 0]])
+                value = np.concatenate([lists[hot], times[often], docs_of, [(lists.astype(float) ** 2).sum(), lists.sum()]]).astype(np.int64)
                 yield pa.RecordBatch.from_arrays([pa.array(kind), pa.array(key), pa.array(value)], ["kind", "key", "value"])
 
     found = cut(docs.mapInArrow(run, "kind int, key long, value long").groupBy("kind", "key").agg(F.sum("value").alias("value")))
@@ -185,7 +183,7 @@ def prepare(docs: DataFrame, how: Join) -> DataFrame:
 
     def run(batches):
         for batch in batches:
-            for part in wh.pieces(batch, "text", 8 << 20):
+            for part in wh.pieces(batch, "text", 4 << 20):
                 pairs = shingle_sets(part.column("text"), how.words, frequent)
                 keys, sets = [_keys(s, f, hot, rank, light, how) for s, f in pairs], [s for s, _ in pairs]
                 sketch = [np.minimum(np.bincount((s >> U(20)).astype(np.int64) % BINS, minlength=BINS), 65535).astype(np.uint16).tobytes() if len(k) else None for s, k in zip(sets, keys, strict=True)]
@@ -203,7 +201,7 @@ def _sets(docs: DataFrame, wanted: DataFrame, how: Join) -> DataFrame:
 
     def run(batches):
         for batch in batches:
-            for part in wh.pieces(batch, "text", 8 << 20):
+            for part in wh.pieces(batch, "text", 4 << 20):
                 sets = [s for s in shingle_sets(part.column("text"), how.words) if len(s)]
                 yield pa.RecordBatch.from_arrays([pa.array([_digest(s) for s in sets], pa.int64()), pa.array([s.tobytes() for s in sets], pa.binary())], ["node", "tokens"])
 

@@ -325,7 +325,11 @@ def find(docs: DataFrame, field: Field | None = None, *, sure: float = 0.9) -> D
 def digest(found: DataFrame) -> DataFrame:
     """Counts by kind, hash of the fixed patterns' spans, and all spans, as strings kind:start:end."""
     text = lambda c: F.array_join(F.transform(c, lambda x: F.concat_ws(":", x.kind, x.start.cast("string"), x.end.cast("string"))), ",")
-    counts = [F.size(F.filter("base", lambda x, k=k: x.kind == k)).cast("long").alias(f"n_{k}") for k in KINDS]
+
+    def count(kind: str):
+        return F.size(F.filter("base", lambda x: x.kind == kind)).cast("long").alias(f"n_{kind}")
+
+    counts = [count(kind) for kind in KINDS]
     return found.select("doc_id", *counts, F.sha2(text("base"), 256).alias("base_sha256"), text("spans").alias("spans"))
 
 

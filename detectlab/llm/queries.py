@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from detectlab.llm import decontam, jaccard, lines, mixing, quality, substring, warc
+from detectlab.llm import decontam, jaccard, langid, lines, mixing, pii, quality, substring, warc
 from detectlab.llm.frames import documents
 
 
@@ -28,11 +28,19 @@ def op4_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard.classes(documents(spark, sf_dir), jaccard.Join(words=3, percent=90))
 
 
+def op5_pii_crf(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.digest(pii.find(documents(spark, sf_dir)))
+
+
 def op6_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir).select("doc_id", "text")
     return lines.dedup_lines(docs).select("doc.doc_id", "n_lines", "n_removed", F.sha2("doc.text", 256).alias("text_sha256"))
 
 
+def op7_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return langid.identify(documents(spark, sf_dir).select("doc_id", "text", "lang"))
+
+
 def op8_warc_zstd(spark: SparkSession, sf_dir: str) -> DataFrame:
     _, records = warc.archive(spark.read.parquet(f"{sf_dir}/pages.parquet"), min_bytes=0)
     return records.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
@@ -42,7 +50,7 @@ def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return substring.mark_repeats(documents(spark, sf_dir), window=13).select("doc_id", "n_words", "n_removed", "kept_sha256")
 
 
-QUERIES = {f.__name__: f for f in (op1_quality_rules, op2_decontaminate, op3_mix_sources, op4_ngram_jaccard, op6_line_dedup, op8_warc_zstd, op10_substring_dedup)}
+QUERIES = {f.__name__: f for f in (op1_quality_rules, op2_decontaminate, op3_mix_sources, op4_ngram_jaccard, op5_pii_crf, op6_line_dedup, op7_language_id, op8_warc_zstd, op10_substring_dedup)}
 
 _WORD = r"[^\x20\x09-\x0D]+"
 

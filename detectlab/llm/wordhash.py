@@ -11,6 +11,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 
 U = np.uint64
 _STEP = U(0x9E3779B97F4A7C15)
@@ -156,10 +157,12 @@ def pieces(table: pa.Table | pa.RecordBatch, column: str, limit: int = 4 << 20):
     n = table.num_rows
     if not n:
         return
-    _, offsets = buffer_of(table.column(column))
+    size = pc.fill_null(pc.binary_length(table.column(column)), 0)
+    offsets = np.concatenate([[0], np.cumsum(size.to_numpy(zero_copy_only=False) if isinstance(size, pa.Array) else size.to_numpy(), dtype=np.int64)])
     at = 0
     while at < n:
         to = int(np.searchsorted(offsets, offsets[at] + limit, "right")) - 1
         to = min(n, max(at + 1, to))
         yield table.slice(at, to - at)
         at = to
+    pa.default_memory_pool().release_unused()
