@@ -18,10 +18,22 @@ def shared_dir(spark: SparkSession) -> str:
     return sc.getCheckpointDir()
 
 
-def cut(df: DataFrame) -> DataFrame:
-    """df written to the shared folder, its lineage gone."""
-    shared_dir(df.sparkSession)
-    return df.checkpoint()
+def cut(df: DataFrame, batch_rows: int | None = None) -> DataFrame:
+    """df written to the shared folder, its lineage gone.
+
+    batch_rows: rows of an Arrow batch while it is computed, for stages that hand whole texts to Python;
+    the session's own setting is put back.
+    """
+    spark, name = df.sparkSession, "spark.sql.execution.arrow.maxRecordsPerBatch"
+    shared_dir(spark)
+    if batch_rows is None:
+        return df.checkpoint()
+    before = spark.conf.get(name)
+    spark.conf.set(name, str(batch_rows))
+    try:
+        return df.checkpoint()
+    finally:
+        spark.conf.set(name, before)
 
 
 def n_blocks(df: DataFrame) -> int:

@@ -49,7 +49,8 @@ class Join:
     most. frequent_share: share of a piece's documents from which a shingle counts as one. word_share: share of a
     piece's words from which a word is frequent; frequent_words: of these kept at most. light_cap: sizes from
     which the cost model takes a set for heavy anyway. list_run: members of a list that one task orders.
-    broadcast_ids: documents to read again up to which their ids (16 bytes each) are broadcast."""
+    broadcast_ids: documents to read again up to which their ids (16 bytes each) are broadcast. batch_rows: texts
+    handed to Python at once."""
 
     words: int = 5
     percent: int = 80
@@ -60,6 +61,7 @@ class Join:
     light_cap: int = 2000
     list_run: int = 10_000
     broadcast_ids: int = 1_000_000
+    batch_rows: int = 1024
 
     def prefix(self, n):
         return n - -(-self.percent * n // 100) + 1
@@ -129,7 +131,7 @@ def _survey(docs: DataFrame, how: Join) -> tuple[np.ndarray, np.ndarray, int]:
                 value = np.concatenate([lists[hot], times[often], docs_of, [(lists.astype(float) ** 2).sum(), lists.sum()]]).astype(np.int64)
                 yield pa.RecordBatch.from_arrays([pa.array(kind), pa.array(key), pa.array(value)], ["kind", "key", "value"])
 
-    found = cut(docs.mapInArrow(run, "kind int, key long, value long").groupBy("kind", "key").agg(F.sum("value").alias("value")))
+    found = cut(docs.mapInArrow(run, "kind int, key long, value long").groupBy("kind", "key").agg(F.sum("value").alias("value")), how.batch_rows)
     top = lambda kind, most: np.array([r.key for r in found.where(F.col("kind") == kind).orderBy(F.desc("value"), "key").limit(most).collect()], np.int64).view(U)
     sizes = {r.key: r.value for r in found.where("kind = 2").collect()}
     scan = {r.kind: r.value for r in found.where("kind > 2").collect()}
@@ -183,7 +185,7 @@ def prepare(docs: DataFrame, how: Join) -> DataFrame:
 
     def run(batches):
         for batch in batches:
-            for part in wh.pieces(batch, "text", 4 << 20):
+            for part in wh.pieces(batch, "text", 1 << 20):
                 pairs = shingle_sets(part.column("text"), how.words, frequent)
                 keys, sets = [_keys(s, f, hot, rank, light, how) for s, f in pairs], [s for s, _ in pairs]
                 sketch = [np.minimum(np.bincount((s >> U(20)).astype(np.int64) % BINS, minlength=BINS), 65535).astype(np.uint16).tobytes() if len(k) else None for s, k in zip(sets, keys, strict=True)]
@@ -244,7 +246,7 @@ def verify(pairs: DataFrame, nodes: DataFrame, docs: DataFrame, how: Join) -> Da
     """The pairs a, b whose sets are alike."""
     pairs = cut(maybe(pairs, nodes, how))
     wanted = cut(pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct().join(nodes.select("node", "at"), "node"))
-    sets = cut(_sets(docs, wanted, how))
+    sets = cut(_sets(docs, wanted, how), how.batch_rows)
     for side in ("a", "b"):
         pairs = pairs.join(sets.select(F.col("node").alias(side), F.col("tokens").alias(f"t{side}")), side)
     return pairs.select("a", "b", "ta", "tb").mapInArrow(lambda it: _like(it, how), "a long, b long")
@@ -259,7 +261,7 @@ def classes(docs: DataFrame, how: Join = Join()) -> DataFrame:
     copies of each other. An empty table gives no rows.
     """
     docs = docs.select("doc_id", "text")
-    rows = cut(prepare(docs, how))
+    rows = cut(prepare(docs, how), how.batch_rows)
     return _label(docs, rows, how)
 
 

@@ -6,7 +6,8 @@ has the same digits or letters, however far off (the skip edges). Potentials are
 fitted piece by piece: a logistic regression for the token's own features, and the
 log ratio of joint to single label shares for both kinds of edges. All three need
 counts only, of a fixed number of feature combinations, gathered over every
-document. What the fixed patterns find is observed; loopy belief propagation then
+document. What the fixed patterns find is observed, and tokens
+that they miss though they find a similar one are left out of the counts; loopy belief propagation then
 carries labels along the edges, so that a number written once in full and once in
 part gets one label.
 """
@@ -134,18 +135,20 @@ def _key(token: str) -> str:
 
 @dataclass
 class Graph:
-    """Nodes of several texts. span: start and end. label: 0 none, else the kind + 1 of a fixed pattern. edges: near, far."""
+    """Nodes of several texts. span: start and end. label: 0 none, else the kind + 1 of a fixed pattern. group: the
+    first node of the text with the same key. edges: near, far."""
 
     text: list[int]
     span: list[tuple[int, int]]
     code: list[int]
     label: list[int]
+    group: list[int]
     near: list[tuple[int, int]]
     far: list[tuple[int, int]]
 
 
 def graph_of(texts: list[str | None], bases: list[list[tuple[int, int, int]]]) -> Graph:
-    g = Graph([], [], [], [], [], [])
+    g = Graph([], [], [], [], [], [], [])
     for t, (text, spans) in enumerate(zip(texts, bases, strict=True)):
         if not text or not _ACTIVE.search(text):
             continue
@@ -166,9 +169,11 @@ def graph_of(texts: list[str | None], bases: list[list[tuple[int, int, int]]]) -
                 g.near.append((n - 1, n))
             end_before = m.end()
             key = _key(m[0])
+            g.group.append(n)
             if len(key) >= 4:
                 if key in last:
                     g.far.append((last[key], n))
+                    g.group[n] = g.group[last[key]]
                 last[key] = n
     return g
 
@@ -225,17 +230,20 @@ def fit(docs: DataFrame, *, steps: int = 400, ridge: float = 1e-3) -> Field:
             for part in pieces(batch, "text", 16 << 20):
                 texts = part.column("text").to_pylist()
                 g = graph_of(texts, [base_spans(t) for t in texts])
-                label = np.array(g.label, np.int64)
-                keys = [("own", np.array(g.code, np.int64) * k + label)]
+                label, group = np.array(g.label, np.int64), np.array(g.group, np.int64)
+                # a token the patterns pass over though they know another with its key: its label is missing, not none
+                known = ~((label == 0) & np.isin(group, group[label > 0]))
+                keys = [("own", (np.array(g.code, np.int64) * k + label)[known])]
                 for name, edges in (("near", g.near), ("far", g.far)):
                     e = np.array(edges, np.int64).reshape(-1, 2)
+                    e = e[known[e].all(1)]
                     keys.append((name, label[e[:, 0]] * k + label[e[:, 1]]))
                 for name, values in keys:
                     v, c = np.unique(values, return_counts=True)
                     yield pa.RecordBatch.from_arrays([pa.array([name] * len(v), pa.string()), pa.array(v, pa.int64()), pa.array(c, pa.int64())], ["what", "key", "n"])
 
     rows = chosen.mapInArrow(run, "what string, key long, n long").groupBy("what", "key").agg(F.sum("n").alias("n")).collect()
-    pair = {w: np.full((k, k), 0.5) for w in ("near", "far")}
+    pair = {"near": np.full((k, k), 0.5), "far": np.full((k, k), 0.1) + 20 * np.eye(k)}  # prior: similar tokens agree
     counts: dict[int, np.ndarray] = {}
     for r in rows:
         if r.what == "own":

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from detectlab.llm import decontam, jaccard, langid, lines, mixing, pii, quality, substring, warc
+from detectlab.llm import chat, decontam, jaccard, langid, lines, mixing, pii, quality, substring, warc
 from detectlab.llm.frames import documents
 
 
@@ -46,11 +46,20 @@ def op8_warc_zstd(spark: SparkSession, sf_dir: str) -> DataFrame:
     return records.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
 
 
+def op9_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Turns written as plain transcripts, and what the model makes of these."""
+    turns = spark.read.parquet(f"{sf_dir}/conversations.parquet")
+    plain = chat.transcripts_of(turns)
+    learn = plain.where(F.pmod(F.xxhash64("conv_id"), F.lit(4)) != 2)  # the others are for tests
+    out = chat.parse(plain, chat.fit(learn))
+    return out.select("conv_id", "n_turns", F.array_join("roles", ",").alias("roles"), F.sha2("chat", 256).alias("chat_sha256"))
+
+
 def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return substring.mark_repeats(documents(spark, sf_dir), window=13).select("doc_id", "n_words", "n_removed", "kept_sha256")
 
 
-QUERIES = {f.__name__: f for f in (op1_quality_rules, op2_decontaminate, op3_mix_sources, op4_ngram_jaccard, op5_pii_crf, op6_line_dedup, op7_language_id, op8_warc_zstd, op10_substring_dedup)}
+QUERIES = {f.__name__: f for f in (op1_quality_rules, op2_decontaminate, op3_mix_sources, op4_ngram_jaccard, op5_pii_crf, op6_line_dedup, op7_language_id, op8_warc_zstd, op9_chat_format, op10_substring_dedup)}
 
 _WORD = r"[^\x20\x09-\x0D]+"
 

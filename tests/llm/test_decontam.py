@@ -21,7 +21,8 @@ def test_best_edits():
     for _ in range(200):
         a = [rnd.randint(0, 3) for _ in range(rnd.randint(1, 9))]
         b = [rnd.randint(0, 3) for _ in range(rnd.randint(0, 12))]
-        assert best_edits(np.array(a, np.uint64), np.array(b, np.uint64)) == edit(a, b)
+        a, b = [x + 1 for x in a], [x + 1 for x in b]
+        assert best_edits(np.array([a], np.uint64), np.array([b + [0, 0]], np.uint64))[0] == edit(a, b)
 
 
 def change(rnd, words, k):
