@@ -14,13 +14,14 @@ p = n - ceil(t n) + 1 of each, and two among the first p + 1.
 The boundary is the size at which C(p + 1, 2) subsets cost more than scanning p
 lists, from the sizes of all sets and the list lengths measured over all data.
 
-Links are found without forming all pairs of a list. First each set is compared
-with its neighbours in the lists that it shares most with; the sets linked so form
-components. Then only sets of one list in different components are left to be
-compared: every set outside the list's largest component with those in others. So a
-list whose members are one group costs nothing more, and no link between
-components is lost. A distance that can't exceed the true one (of token counts in
-128 bins) rejects most pairs; only the texts of those left are read again.
+Links are found without forming all pairs of a list. Two rounds compare each set with
+a few of its lists only: its nearest neighbours in order of size, and the set in the
+middle of the list; what is linked so forms components. Then sets of one list in
+different components are compared: every set outside the list's largest component
+with those in others. So a list whose members are one group costs nothing more, and
+no link between components is lost. A distance that can't exceed the true one (of
+token counts in 128 bins) rejects most pairs while lists are scanned; only the texts
+of those left are read again. Long lists are scanned in blocks by blocks.
 """
 
 from __future__ import annotations
@@ -32,7 +33,6 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from detectlab.llm import wordhash as wh
 from detectlab.llm.components import components
@@ -48,7 +48,8 @@ class Join:
     """words a shingle; percent: link when 100 * intersection >= percent * union. frequent: heavy hitters kept at
     most. frequent_share: share of a piece's documents from which a shingle counts as one. word_share: share of a
     piece's words from which a word is frequent; frequent_words: of these kept at most. light_cap: sizes from
-    which the cost model takes a set for heavy anyway. list_run: members of a list that one task orders.
+    which the cost model takes a set for heavy anyway. list_run: members of a list compared at once. neighbours:
+    places in a list that the first rounds look back.
     broadcast_ids: documents to read again up to which their ids (16 bytes each) are broadcast. batch_rows: texts
     handed to Python at once."""
 
@@ -60,6 +61,7 @@ class Join:
     frequent_words: int = 4096
     light_cap: int = 2000
     list_run: int = 10_000
+    neighbours: int = 12
     broadcast_ids: int = 1_000_000
     batch_rows: int = 1024
 
@@ -177,7 +179,7 @@ def _keys(s: np.ndarray, held: np.ndarray, hot: np.ndarray, rank: np.ndarray, li
 
 
 def prepare(docs: DataFrame, how: Join) -> DataFrame:
-    """at (doc_id, or the largest long), n, node (digest of the set; null if empty), keys, sketch (tokens in each bin)."""
+    """at (doc_id, or the largest long), n, node (digest of the set; null if empty), keys, sketch (tokens in each bin, 255 at most)."""
     docs = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(_LAST)).alias("at"), F.col("text").cast("string").alias("text"))
     hot_by_count, frequent, light = _survey(docs.select("text"), how)
     order = np.argsort(hot_by_count)
@@ -188,7 +190,7 @@ def prepare(docs: DataFrame, how: Join) -> DataFrame:
             for part in wh.pieces(batch, "text", 1 << 20):
                 pairs = shingle_sets(part.column("text"), how.words, frequent)
                 keys, sets = [_keys(s, f, hot, rank, light, how) for s, f in pairs], [s for s, _ in pairs]
-                sketch = [np.minimum(np.bincount((s >> U(20)).astype(np.int64) % BINS, minlength=BINS), 65535).astype(np.uint16).tobytes() if len(k) else None for s, k in zip(sets, keys, strict=True)]
+                sketch = [np.minimum(np.bincount((s >> U(20)).astype(np.int64) % BINS, minlength=BINS), 255).astype(np.uint8).tobytes() if len(k) else None for s, k in zip(sets, keys, strict=True)]
                 flat = pa.array(np.concatenate(keys) if keys else np.zeros(0, np.int64))
                 lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum([len(k) for k in keys])]), pa.int32()), flat)
                 at = part.column("at") if isinstance(part, pa.RecordBatch) else part.column("at").combine_chunks()
@@ -212,16 +214,114 @@ def _sets(docs: DataFrame, wanted: DataFrame, how: Join) -> DataFrame:
     return docs.join(ids, "at", "left_semi").select("text").mapInArrow(run, "node long, tokens binary").join(wanted.select("node"), "node", "left_semi").dropDuplicates(["node"])
 
 
-def _may(batches, how: Join):
+@dataclass
+class _Rows:
+    """Rows of whole lists, in order of list. left: to be compared with the others; right: to be compared to."""
+
+    group: np.ndarray
+    node: np.ndarray
+    n: np.ndarray
+    root: np.ndarray
+    home: np.ndarray
+    left: np.ndarray
+    right: np.ndarray
+    sketch: np.ndarray
+
+
+def _whole_lists(batches, rows: int = 20_000):
+    """Rows of the batches, cut where a list ends."""
+    held, count = [], 0
+
+    def take(table, last):
+        group = table.column("list").to_numpy()
+        open_ = 0 if last else int(group[-1])
+        end = len(group) if last else len(group) - int((group == open_).sum())
+        return table.slice(0, end), table.slice(end)
+
     for batch in batches:
-        if not batch.num_rows:
-            continue
-        a, b, sa, sb = (batch.column(k) for k in range(4))
-        x, y = (np.frombuffer(b"".join(c.to_pylist()), np.uint16).reshape(-1, BINS).astype(np.int32) for c in (sa, sb))
-        apart = np.abs(x - y).sum(1).astype(np.int64)
-        both = batch.column(4).to_numpy() + batch.column(5).to_numpy()
-        keep = pa.array(apart * (100 + how.percent) <= both * (100 - how.percent))
-        yield pa.RecordBatch.from_arrays([a.filter(keep), b.filter(keep)], ["a", "b"])
+        held.append(pa.Table.from_batches([batch]))
+        count += batch.num_rows
+        if count >= rows:
+            done, rest = take(pa.concat_tables(held).combine_chunks(), False)
+            if done.num_rows:
+                yield done
+            held, count = [rest], rest.num_rows
+    if held:
+        done, _ = take(pa.concat_tables(held).combine_chunks(), True)
+        if done.num_rows:
+            yield done
+
+
+def _rows(table: pa.Table) -> _Rows:
+    col = lambda c: table.column(c).to_numpy()
+    sketch = np.frombuffer(b"".join(table.column("sketch").to_pylist()), np.uint8).reshape(-1, BINS).astype(np.int32)
+    change = np.r_[True, col("list")[1:] != col("list")[:-1]]
+    return _Rows(np.cumsum(change) - 1, col("node"), col("n"), col("root"), col("home"), col("is_left"), col("is_right"), sketch)
+
+
+def _near_enough(x: _Rows, i: np.ndarray, j: np.ndarray, how: Join) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The pairs of rows that may be alike, and how far apart their sketches are."""
+    fits = (x.root[i] != x.root[j]) & (100 * np.minimum(x.n[i], x.n[j]) >= how.percent * np.maximum(x.n[i], x.n[j]))
+    i, j = i[fits], j[fits]
+    apart = np.zeros(len(i), np.int64)
+    for at in range(0, len(i), 16384):
+        apart[at : at + 16384] = np.abs(x.sketch[i[at : at + 16384]] - x.sketch[j[at : at + 16384]]).sum(1)
+    ok = apart * (100 + how.percent) <= (x.n[i] + x.n[j]) * (100 - how.percent)
+    return i[ok], j[ok], apart[ok]
+
+
+def _few(batches, how: Join):
+    """For each row its nearest neighbours within a few places, and the middle of its list."""
+    for table in _whole_lists(batches):
+        x = _rows(table)
+        size, groups = len(x.node), int(x.group[-1]) + 1
+        i, j = [], []
+        for o in range(1, how.neighbours + 1):
+            k = np.flatnonzero(x.group[o:] == x.group[:-o])
+            i.append(k + o)
+            j.append(k)
+        a, b, apart = _near_enough(x, np.concatenate(i), np.concatenate(j), how)
+        order = np.lexsort((b, apart, a))
+        a, b = a[order], b[order]
+        place = np.arange(len(a)) - np.searchsorted(a, a)
+        a, b, apart = a[place < 2], b[place < 2], apart[order][place < 2]
+        head = np.flatnonzero(np.r_[True, x.group[1:] != x.group[:-1]])
+        mean = np.add.reduceat(x.sketch, head) // np.diff(np.append(head, size))[:, None]
+        off = np.abs(x.sketch - mean[x.group]).sum(1)
+        order = np.lexsort((x.node, off, ~x.home, x.group))
+        middle = order[np.searchsorted(x.group[order], np.arange(groups))]
+        c, d, far = _near_enough(x, np.arange(size), middle[x.group], how)
+        yield pa.RecordBatch.from_arrays([pa.array(x.node[np.concatenate([a, c])]), pa.array(x.node[np.concatenate([b, d])]), pa.array(np.concatenate([apart, far]))], ["a", "b", "apart"])
+
+
+def _all(batches, how: Join):
+    """All pairs of a left and a right row of one list in different components."""
+    for table in _whole_lists(batches):
+        x = _rows(table)
+        head = np.flatnonzero(np.r_[True, x.group[1:] != x.group[:-1], True])
+        lists = [(np.flatnonzero(x.left[s:e]) + s, np.flatnonzero(x.right[s:e]) + s) for s, e in zip(head[:-1].tolist(), head[1:].tolist(), strict=True)]
+        i, j, count = [], [], 0
+
+        def flush():
+            a, b, _ = _near_enough(x, np.concatenate(i), np.concatenate(j), how)
+            a, b = x.node[a], x.node[b]
+            pairs = np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)]), axis=1)
+            return pa.RecordBatch.from_arrays([pa.array(pairs[0]), pa.array(pairs[1])], ["a", "b"])
+
+        for left, right in lists:
+            step = max(1, 400_000 // max(1, len(right)))
+            for at in range(0, len(left), step):
+                part = left[at : at + step]
+                p, q = np.repeat(part, len(right)), np.tile(right, len(part))
+                once = x.home[q] | (x.node[p] < x.node[q])
+                i.append(p[once])
+                j.append(q[once])
+                count += len(i[-1])
+                if count >= 400_000:
+                    yield flush()
+                    i, j, count = [], [], 0
+        if count:
+            yield flush()
 
 
 def _like(batches, how: Join):
@@ -235,16 +335,9 @@ def _like(batches, how: Join):
         yield pa.RecordBatch.from_arrays([batch.column(0).filter(keep), batch.column(1).filter(keep)], ["a", "b"])
 
 
-def maybe(pairs: DataFrame, nodes: DataFrame, how: Join) -> DataFrame:
-    """The pairs a, b whose sketches allow that they are alike."""
-    for side in ("a", "b"):
-        pairs = pairs.join(nodes.select(F.col("node").alias(side), F.col("sketch").alias(f"s{side}"), F.col("n").alias(f"n{side}")), side)
-    return pairs.select("a", "b", "sa", "sb", "na", "nb").mapInArrow(lambda it: _may(it, how), "a long, b long")
-
-
 def verify(pairs: DataFrame, nodes: DataFrame, docs: DataFrame, how: Join) -> DataFrame:
     """The pairs a, b whose sets are alike."""
-    pairs = cut(maybe(pairs, nodes, how))
+    pairs = cut(pairs)
     wanted = cut(pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct().join(nodes.select("node", "at"), "node"))
     sets = cut(_sets(docs, wanted, how), how.batch_rows)
     for side in ("a", "b"):
@@ -265,6 +358,42 @@ def classes(docs: DataFrame, how: Join = Join()) -> DataFrame:
     return _label(docs, rows, how)
 
 
+def _star(part: DataFrame) -> DataFrame:
+    return part.select(F.col("node").alias("a"), F.col("root").alias("b"))
+
+
+def _placed(lists: DataFrame, part: DataFrame | None) -> DataFrame:
+    """key, node, members, root, home (the row is in the list's largest component); lists of one component are left out."""
+    if part is None:
+        return lists.select("key", "node", "members", F.col("node").alias("root"), F.lit(False).alias("home"))
+    own = lists.join(part, "node", "left").select("key", "node", "members", F.coalesce("root", "node").alias("root"))
+    home = own.groupBy("key", "root").agg(F.count("*").alias("c")).groupBy("key").agg(F.max_by("root", F.struct("c", "root")).alias("home"), F.count("*").alias("parts")).where("parts > 1")
+    return own.join(home, "key").select("key", "node", "members", "root", (F.col("root") == F.col("home")).alias("home"))
+
+
+_COLUMNS = ("list", "node", "n", "root", "home", "is_left", "is_right", "sketch")
+
+
+def _scan(rows: DataFrame, nodes: DataFrame, order: list) -> DataFrame:
+    full = rows.join(nodes.select("node", "n", "sketch"), "node")
+    return full.repartition("list").sortWithinPartitions("list", *order).select(*_COLUMNS)
+
+
+def _few_pairs(lists: DataFrame, nodes: DataFrame, part: DataFrame | None, how: Join, turn: int) -> DataFrame:
+    run = F.xxhash64("key", F.pmod("node", F.expr(f"1 + members div {how.list_run}")))  # long lists in several runs
+    rows = _placed(lists, part).select(run.alias("list"), "node", "root", "home", F.lit(True).alias("is_left"), F.lit(True).alias("is_right"))
+    return _scan(rows, nodes, ["n", F.xxhash64(F.lit(turn), "node")]).mapInArrow(lambda it: _few(it, how), "a long, b long, apart long")
+
+
+def _open_pairs(lists: DataFrame, nodes: DataFrame, part: DataFrame, how: Join) -> DataFrame:
+    """Pairs of one list in different components that their sketches allow. Lists longer than list_run are cut into blocks, and every block of left rows meets every block of right ones."""
+    placed = _placed(lists, part).withColumn("blocks", F.expr(f"1 + members div {how.list_run}")).withColumn("own", F.expr("pmod(xxhash64(node), blocks)"))
+    other = F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("other")
+    left = placed.where("NOT home").select("*", other).select(F.xxhash64("key", "own", "other").alias("list"), "node", "root", "home", F.lit(True).alias("is_left"), F.lit(False).alias("is_right"))
+    right = placed.select("*", other).select(F.xxhash64("key", "other", "own").alias("list"), "node", "root", "home", F.lit(False).alias("is_left"), F.lit(True).alias("is_right"))
+    return _scan(left.union(right), nodes, ["node"]).mapInArrow(lambda it: _all(it, how), "a long, b long").distinct()
+
+
 def _label(docs: DataFrame, rows: DataFrame, how: Join) -> DataFrame:
     nodes = rows.where("node is not null").groupBy("node").agg(F.min(F.struct("at", "n", "keys", "sketch")).alias("r")).select("node", "r.*")
     nodes = cut(nodes)
@@ -272,23 +401,13 @@ def _label(docs: DataFrame, rows: DataFrame, how: Join) -> DataFrame:
     shared = filed.groupBy("key").agg(F.count("*").alias("members")).where("members > 1")
     lists = cut(filed.join(shared, "key"))
 
-    run = Window.partitionBy("key", F.pmod("node", F.expr(f"1 + members div {how.list_run}"))).orderBy("n", "node")
-    before = {f"{c}{k}": F.lag(c, k).over(run) for c in ("node", "n") for k in (1, 2)}
-    near = lists.select("key", "node", "n", "members").withColumns(before)
-    near = near.select("node", "n", F.inline(F.array(*[F.struct(F.col(f"node{k}").alias("b"), F.col(f"n{k}").alias("m")) for k in (1, 2)])))
-    near = near.where(F.col("b").isNotNull() & (100 * F.col("m") >= how.percent * F.col("n"))).groupBy("node", "b").agg(F.count("*").alias("times"))
-    best = near.groupBy("node").agg(F.slice(F.sort_array(F.collect_list(F.struct("times", "b")), False), 1, 3).alias("best"))  # a set has as many as it has keys, at most
-    first = cut(verify(best.select(F.col("node").alias("a"), F.explode("best.b").alias("b")), nodes, docs, how))
-    part = cut(components(first))
-
-    at_home = lists.join(part, "node", "left").select("key", "node", "n", F.coalesce("root", "node").alias("root"))
-    home = at_home.groupBy("key", "root").agg(F.count("*").alias("c")).groupBy("key").agg(F.max_by("root", F.struct("c", "root")).alias("home"), F.count("*").alias("parts")).where("parts > 1").drop("parts")
-    open_lists = at_home.join(home, "key")
-    left = open_lists.where("root <> home").select("key", F.col("node").alias("a"), F.col("n").alias("na"), F.col("root").alias("ra"))
-    right = open_lists.select("key", F.col("node").alias("b"), F.col("n").alias("nb"), F.col("root").alias("rb"), (F.col("root") == F.col("home")).alias("at_home"))
-    size_fits = (100 * F.least("na", "nb") >= how.percent * F.greatest("na", "nb")) & (F.col("ra") != F.col("rb")) & (F.col("at_home") | (F.col("a") < F.col("b")))
-    second = left.join(right, "key").where(size_fits).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-    links = part.select(F.col("node").alias("a"), F.col("root").alias("b")).union(verify(second, nodes, docs, how))
+    part = None
+    for turn in range(2):
+        near = _few_pairs(lists, nodes, part, how, turn)
+        best = near.groupBy("a").agg(F.slice(F.array_sort(F.collect_set(F.struct("apart", "b"))), 1, 3).alias("best"))  # of at most three a key
+        links = verify(best.select("a", F.explode("best.b").alias("b")), nodes, docs, how)
+        part = cut(components(links if part is None else _star(part).union(links)))
+    links = _star(part).union(verify(_open_pairs(lists, nodes, part, how), nodes, docs, how))
     whole = components(links)
 
     known = nodes.select("node", "at").join(whole, "node", "left").withColumn("root", F.coalesce("root", "node"))
