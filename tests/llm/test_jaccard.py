@@ -87,7 +87,9 @@ def test_components_of_chains_and_stars(spark):
     rnd = random.Random(5)
     edges = [(i, i + 1) for i in range(500)] + [(1000, k) for k in range(1001, 1200)] + [(rnd.randint(2000, 2100), rnd.randint(2000, 2100)) for _ in range(60)] + [(7, 7), (None, 3)]
     rnd.shuffle(edges)
-    got = {r.node: r.root for r in components(spark.createDataFrame(edges, "a long, b long").repartition(7)).collect()}
+    df = spark.createDataFrame(edges, "a long, b long").repartition(7)
+    got = {r.node: r.root for r in components(df, small=0).collect()}
+    assert got == {r.node: r.root for r in components(df).collect()}
     near = {}
     for a, b in edges:
         if a is not None and a != b:
