@@ -49,7 +49,7 @@ class Join:
     most. frequent_share: share of a piece's documents from which a shingle counts as one. word_share: share of a
     piece's words from which a word is frequent; frequent_words: of these kept at most. light_cap: sizes from
     which the cost model takes a set for heavy anyway. list_run: members of a list compared at once. neighbours:
-    places in a list that the first rounds look back.
+    places in a list that the first rounds look back. few_lists: lists of a set that they look at.
     broadcast_ids: documents to read again up to which their ids (16 bytes each) are broadcast. batch_rows: texts
     handed to Python at once."""
 
@@ -62,6 +62,7 @@ class Join:
     light_cap: int = 2000
     list_run: int = 10_000
     neighbours: int = 12
+    few_lists: int = 4
     broadcast_ids: int = 1_000_000
     batch_rows: int = 1024
 
@@ -381,23 +382,26 @@ def _scan(rows: DataFrame, nodes: DataFrame, order: list) -> DataFrame:
 
 def _few_pairs(lists: DataFrame, nodes: DataFrame, part: DataFrame | None, how: Join, turn: int) -> DataFrame:
     run = F.xxhash64("key", F.pmod("node", F.expr(f"1 + members div {how.list_run}")))  # long lists in several runs
-    rows = _placed(lists, part).select(run.alias("list"), "node", "root", "home", F.lit(True).alias("is_left"), F.lit(True).alias("is_right"))
+    # the longest lists of each set (a set is in as many as it has keys): these rounds only save work for the last
+    most = lists.groupBy("node").agg(F.slice(F.sort_array(F.collect_list(F.struct("members", "key")), False), 1, how.few_lists).alias("x")).select("node", F.inline("x"))
+    rows = _placed(most, part).select(run.alias("list"), "node", "root", "home", F.lit(True).alias("is_left"), F.lit(True).alias("is_right"))
     return _scan(rows, nodes, ["n", F.xxhash64(F.lit(turn), "node")]).mapInArrow(lambda it: _few(it, how), "a long, b long, apart long")
 
 
 def _open_pairs(lists: DataFrame, nodes: DataFrame, part: DataFrame, how: Join) -> DataFrame:
     """Pairs of one list in different components that their sketches allow. Lists longer than list_run are cut into blocks, and every block of left rows meets every block of right ones."""
     placed = _placed(lists, part).withColumn("blocks", F.expr(f"1 + members div {how.list_run}")).withColumn("own", F.expr("pmod(xxhash64(node), blocks)"))
-    other = F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("other")
-    left = placed.where("NOT home").select("*", other).select(F.xxhash64("key", "own", "other").alias("list"), "node", "root", "home", F.lit(True).alias("is_left"), F.lit(False).alias("is_right"))
-    right = placed.select("*", other).select(F.xxhash64("key", "other", "own").alias("list"), "node", "root", "home", F.lit(False).alias("is_left"), F.lit(True).alias("is_right"))
-    return _scan(left.union(right), nodes, ["node"]).mapInArrow(lambda it: _all(it, how), "a long, b long").distinct()
+    alone = placed.where("blocks = 1").select(F.xxhash64("key").alias("list"), "node", "root", "home", (~F.col("home")).alias("is_left"), F.lit(True).alias("is_right"))
+    long = placed.where("blocks > 1").select("*", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("other"))
+    left = long.where("NOT home").select(F.xxhash64("key", "own", "other").alias("list"), "node", "root", "home", F.lit(True).alias("is_left"), F.lit(False).alias("is_right"))
+    right = long.select(F.xxhash64("key", "other", "own").alias("list"), "node", "root", "home", F.lit(False).alias("is_left"), F.lit(True).alias("is_right"))
+    return _scan(alone.union(left).union(right), nodes, ["node"]).mapInArrow(lambda it: _all(it, how), "a long, b long").distinct()
 
 
 def _label(docs: DataFrame, rows: DataFrame, how: Join) -> DataFrame:
     nodes = rows.where("node is not null").groupBy("node").agg(F.min(F.struct("at", "n", "keys", "sketch")).alias("r")).select("node", "r.*")
     nodes = cut(nodes)
-    filed = nodes.select("node", "n", F.explode("keys").alias("key"))
+    filed = nodes.select("node", F.explode("keys").alias("key")).repartition("key")  # one exchange for the counts and the join
     shared = filed.groupBy("key").agg(F.count("*").alias("members")).where("members > 1")
     lists = cut(filed.join(shared, "key"))
 
