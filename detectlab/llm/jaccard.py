@@ -296,16 +296,24 @@ def _few(batches, how: Join):
 
 
 def _all(batches, how: Join):
-    """All pairs of a left and a right row of one list in different components."""
+    """All pairs of a left and a right row of one list in different components, told in the first list that both are in."""
     for table in _whole_lists(batches):
         x = _rows(table)
+        before, sets = table.column("before"), {}
+
+        def earlier(r):
+            if r not in sets:
+                sets[r] = frozenset(before[r].as_py())
+            return sets[r]
+
         head = np.flatnonzero(np.r_[True, x.group[1:] != x.group[:-1], True])
         lists = [(np.flatnonzero(x.left[s:e]) + s, np.flatnonzero(x.right[s:e]) + s) for s, e in zip(head[:-1].tolist(), head[1:].tolist(), strict=True)]
         i, j, count = [], [], 0
 
         def flush():
             a, b, _ = _near_enough(x, np.concatenate(i), np.concatenate(j), how)
-            a, b = x.node[a], x.node[b]
+            first = np.array([earlier(p).isdisjoint(earlier(q)) for p, q in zip(a.tolist(), b.tolist(), strict=True)], bool)
+            a, b = x.node[a[first]], x.node[b[first]]
             pairs = np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)]), axis=1)
             return pa.RecordBatch.from_arrays([pa.array(pairs[0]), pa.array(pairs[1])], ["a", "b"])
 
@@ -375,9 +383,9 @@ def _placed(lists: DataFrame, part: DataFrame | None) -> DataFrame:
 _COLUMNS = ("list", "node", "n", "root", "home", "is_left", "is_right", "sketch")
 
 
-def _scan(rows: DataFrame, nodes: DataFrame, order: list) -> DataFrame:
-    full = rows.join(nodes.select("node", "n", "sketch"), "node")
-    return full.repartition("list").sortWithinPartitions("list", *order).select(*_COLUMNS)
+def _scan(rows: DataFrame, nodes: DataFrame, order: list, more: tuple = ()) -> DataFrame:
+    full = rows.join(nodes.select("node", "n", "sketch", *(["keys"] if more else [])), "node").select("*", *more)
+    return full.repartition("list").sortWithinPartitions("list", *order).select(*_COLUMNS, *(["before"] if more else []))
 
 
 def _few_pairs(lists: DataFrame, nodes: DataFrame, part: DataFrame | None, how: Join, turn: int) -> DataFrame:
@@ -391,11 +399,11 @@ def _few_pairs(lists: DataFrame, nodes: DataFrame, part: DataFrame | None, how:
 def _open_pairs(lists: DataFrame, nodes: DataFrame, part: DataFrame, how: Join) -> DataFrame:
     """Pairs of one list in different components that their sketches allow. Lists longer than list_run are cut into blocks, and every block of left rows meets every block of right ones."""
     placed = _placed(lists, part).withColumn("blocks", F.expr(f"1 + members div {how.list_run}")).withColumn("own", F.expr("pmod(xxhash64(node), blocks)"))
-    alone = placed.where("blocks = 1").select(F.xxhash64("key").alias("list"), "node", "root", "home", (~F.col("home")).alias("is_left"), F.lit(True).alias("is_right"))
+    alone = placed.where("blocks = 1").select(F.xxhash64("key").alias("list"), "key", "node", "root", "home", (~F.col("home")).alias("is_left"), F.lit(True).alias("is_right"))
     long = placed.where("blocks > 1").select("*", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("other"))
-    left = long.where("NOT home").select(F.xxhash64("key", "own", "other").alias("list"), "node", "root", "home", F.lit(True).alias("is_left"), F.lit(False).alias("is_right"))
-    right = long.select(F.xxhash64("key", "other", "own").alias("list"), "node", "root", "home", F.lit(False).alias("is_left"), F.lit(True).alias("is_right"))
-    return _scan(alone.union(left).union(right), nodes, ["node"]).mapInArrow(lambda it: _all(it, how), "a long, b long").distinct()
+    left = long.where("NOT home").select(F.xxhash64("key", "own", "other").alias("list"), "key", "node", "root", "home", F.lit(True).alias("is_left"), F.lit(False).alias("is_right"))
+    right = long.select(F.xxhash64("key", "other", "own").alias("list"), "key", "node", "root", "home", F.lit(False).alias("is_left"), F.lit(True).alias("is_right"))
+    return _scan(alone.union(left).union(right), nodes, ["node"], (F.filter("keys", lambda k: k < F.col("key")).alias("before"),)).mapInArrow(lambda it: _all(it, how), "a long, b long").distinct()
 
 
 def _label(docs: DataFrame, rows: DataFrame, how: Join) -> DataFrame:
