@@ -25,10 +25,8 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
 from detectlab.llm import wordhash as wh
 
@@ -246,14 +244,15 @@ def without_matches(docs: DataFrame, benchmark: DataFrame, how: Search = Search(
     held = docs.select(F.struct("*").alias("doc"))
     for items in item_blocks(benchmark, how):
 
-        def run(batches, items=items):
-            for batch in batches:
-                doc = batch.column(0)
-                at, keep = 0, np.ones(len(doc), bool)
-                for part in wh.pieces(pa.table([pc.struct_field(doc, "text").cast(pa.string())], ["text"]), "text", 16 << 20):
-                    keep[[at + t for t, *_ in items.matches(part.column("text"))]] = False
+        def run(texts: Iterator[pa.Array], items=items) -> Iterator[pa.Array]:
+            for text in texts:
+                hit, at = np.zeros(len(text), bool), 0
+                for part in wh.pieces(pa.table([text], ["text"]), "text", 8 << 20):
+                    hit[[at + t for t, *_ in items.matches(part.column("text"))]] = True
                     at += part.num_rows
-                yield batch.filter(pa.array(keep))
+                yield pa.array(hit)
 
-        held = held.mapInArrow(run, T.StructType([held.schema[0]]))
+        # only texts go to Python and only flags come back; not deterministic, so that it runs once
+        found = F.arrow_udf(run, "boolean").asNondeterministic()
+        held = held.select("doc", found(F.col("doc.text").cast("string")).alias("hit")).where("NOT hit").select("doc")
     return held.select("doc.*")

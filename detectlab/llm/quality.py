@@ -10,14 +10,13 @@ Tukey fences (quartile plus a multiple of the quartile range) from the sketch of
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
 from detectlab.llm import wordhash as wh
 from detectlab.llm.frames import cut
@@ -84,19 +83,17 @@ def _counts(texts: pa.Array) -> np.ndarray:
 
 def with_counts(docs: DataFrame) -> DataFrame:
     """doc (all columns as a struct, so that names can't clash) and COUNTS."""
-    held = docs.select(F.struct("*").alias("doc"))
-
-    def run(batches):
-        for batch in batches:
-            doc = batch.column(0)
-            text = pc.struct_field(doc, "text")
+    def run(texts: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        for text in texts:
             table = pa.table([text], ["text"])
-            got = [_counts(p.column("text").combine_chunks()) for p in wh.pieces(table, "text")]
-            if got:
-                yield pa.RecordBatch.from_arrays([doc, *(pa.array(x, pa.int64()) for x in np.concatenate(got, axis=1))], ["doc", *COUNTS])
-
-    schema = T.StructType([held.schema[0], *(T.StructField(c, T.LongType()) for c in COUNTS)])
-    return held.mapInArrow(run, schema)
+            got = [_counts(p.column("text").combine_chunks()) for p in wh.pieces(table, "text", 2 << 20)]
+            values = np.concatenate(got, axis=1) if got else np.zeros((len(COUNTS), 0), np.int64)
+            yield pa.StructArray.from_arrays([pa.array(x, pa.int64()) for x in values], list(COUNTS))
+
+    # only the text goes to Python and only counts come back; not deterministic, so that no filter runs it twice
+    count = F.arrow_udf(run, ", ".join(f"{c} long" for c in COUNTS)).asNondeterministic()
+    held = docs.select(F.struct("*").alias("doc"), count(F.col("text").cast("string")).alias("counts"))
+    return held.select("doc", *[F.col(f"counts.{c}").alias(c) for c in COUNTS])
 
 
 def base_failed(rules: Rules) -> Column:
