@@ -243,16 +243,19 @@ def without_matches(docs: DataFrame, benchmark: DataFrame, how: Search = Search(
     """The rows of docs in which no item is found, with their columns."""
     held = docs.select(F.struct("*").alias("doc"))
     for items in item_blocks(benchmark, how):
-
-        def run(texts: Iterator[pa.Array], items=items) -> Iterator[pa.Array]:
-            for text in texts:
-                hit, at = np.zeros(len(text), bool), 0
-                for part in wh.pieces(pa.table([text], ["text"]), "text", 8 << 20):
-                    hit[[at + t for t, *_ in items.matches(part.column("text"))]] = True
-                    at += part.num_rows
-                yield pa.array(hit)
-
-        # only texts go to Python and only flags come back; not deterministic, so that it runs once
-        found = F.arrow_udf(run, "boolean").asNondeterministic()
-        held = held.select("doc", found(F.col("doc.text").cast("string")).alias("hit")).where("NOT hit").select("doc")
+        held = held.select("doc", _found(items)(F.col("doc.text").cast("string")).alias("hit")).where("NOT hit").select("doc")
     return held.select("doc.*")
+
+
+def _found(items: Items):
+    """Whether a text holds an item. Only texts go to Python and only flags come back; not deterministic, so that it runs once."""
+
+    def run(texts: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        for text in texts:
+            hit, at = np.zeros(len(text), bool), 0
+            for part in wh.pieces(pa.table([text], ["text"]), "text", 8 << 20):
+                hit[[at + t for t, *_ in items.matches(part.column("text"))]] = True
+                at += part.num_rows
+            yield pa.array(hit)
+
+    return F.arrow_udf(run, "boolean").asNondeterministic()
