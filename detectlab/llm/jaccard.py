@@ -229,7 +229,7 @@ class _Rows:
     sketch: np.ndarray
 
 
-def _whole_lists(batches, rows: int = 20_000):
+def _whole_lists(batches, rows: int = 8_000):
     """Rows of the batches, cut where a list ends."""
     held, count = [], 0
 
@@ -299,12 +299,12 @@ def _all(batches, how: Join):
     """All pairs of a left and a right row of one list in different components, told in the first list that both are in."""
     for table in _whole_lists(batches):
         x = _rows(table)
-        before, sets = table.column("before"), {}
+        before = table.column("before").combine_chunks()
+        before = before.chunk(0) if isinstance(before, pa.ChunkedArray) else before
+        edge, keys = before.offsets.to_numpy(), before.values.to_numpy()
 
-        def earlier(r):
-            if r not in sets:
-                sets[r] = frozenset(before[r].as_py())
-            return sets[r]
+        def first_list(p, q):
+            return not np.isin(keys[edge[p] : edge[p + 1]], keys[edge[q] : edge[q + 1]]).any()
 
         head = np.flatnonzero(np.r_[True, x.group[1:] != x.group[:-1], True])
         lists = [(np.flatnonzero(x.left[s:e]) + s, np.flatnonzero(x.right[s:e]) + s) for s, e in zip(head[:-1].tolist(), head[1:].tolist(), strict=True)]
@@ -312,13 +312,13 @@ def _all(batches, how: Join):
 
         def flush():
             a, b, _ = _near_enough(x, np.concatenate(i), np.concatenate(j), how)
-            first = np.array([earlier(p).isdisjoint(earlier(q)) for p, q in zip(a.tolist(), b.tolist(), strict=True)], bool)
+            first = np.array([first_list(p, q) for p, q in zip(a.tolist(), b.tolist(), strict=True)], bool)
             a, b = x.node[a[first]], x.node[b[first]]
             pairs = np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)]), axis=1)
             return pa.RecordBatch.from_arrays([pa.array(pairs[0]), pa.array(pairs[1])], ["a", "b"])
 
         for left, right in lists:
-            step = max(1, 400_000 // max(1, len(right)))
+            step = max(1, 200_000 // max(1, len(right)))
             for at in range(0, len(left), step):
                 part = left[at : at + step]
                 p, q = np.repeat(part, len(right)), np.tile(right, len(part))
@@ -326,7 +326,7 @@ def _all(batches, how: Join):
                 i.append(p[once])
                 j.append(q[once])
                 count += len(i[-1])
-                if count >= 400_000:
+                if count >= 200_000:
                     yield flush()
                     i, j, count = [], [], 0
         if count:
@@ -346,7 +346,7 @@ def _like(batches, how: Join):
 
 def verify(pairs: DataFrame, nodes: DataFrame, docs: DataFrame, how: Join) -> DataFrame:
     """The pairs a, b whose sets are alike."""
-    pairs = cut(pairs)
+    pairs = cut(pairs, how.batch_rows)
     wanted = cut(pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct().join(nodes.select("node", "at"), "node"))
     sets = cut(_sets(docs, wanted, how), how.batch_rows)
     for side in ("a", "b"):
