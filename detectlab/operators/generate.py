@@ -71,17 +71,17 @@ def failure_census(attempts: DataFrame) -> DataFrame:
 
 
 def hints(spark, n_classes: int = 19) -> DataFrame:
-    """Hints of each class: literal rows, a few a class."""
+    """Hints of each class: literal rows, 73 for 19 classes."""
     return spark.sql(
         f"SELECT concat('CWE-', c) AS cwe, h AS hint_no, concat('For class ', c, ': ', element_at(array('trace where the input comes from', 'check the bounds before use', 'confirm what the caller may hold', 'look for a path around the check'), h)) AS text "
-        f"FROM (SELECT explode(sequence(0, {n_classes - 1})) AS c) LATERAL VIEW explode(sequence(1, 3 + c % 3 - CASE WHEN c % 3 = 2 THEN 1 ELSE 0 END)) AS h"
+        f"FROM (SELECT explode(sequence(0, {n_classes - 1})) AS c) LATERAL VIEW explode(sequence(1, 4 - CASE WHEN c < 3 THEN 1 ELSE 0 END)) AS h"
     )
 
 
 HINTS_SQL = """
 hints AS (
   SELECT 'CWE-' || c AS cwe, h AS hint_no, 'For class ' || c || ': ' || ['trace where the input comes from', 'check the bounds before use', 'confirm what the caller may hold', 'look for a path around the check'][h] AS text
-  FROM range(0, 19) a(c), range(1, 5) b(h) WHERE h <= 3 + c % 3 - CASE WHEN c % 3 = 2 THEN 1 ELSE 0 END)"""
+  FROM range(0, 19) a(c), range(1, 5) b(h) WHERE h <= 4 - CASE WHEN c < 3 THEN 1 ELSE 0 END)"""
 
 
 def correct(samples: DataFrame, attempts: DataFrame, hint_rows: DataFrame, *, models=simulate.TEACHERS, n: int = 8, only_hinted_classes: bool = False) -> DataFrame:
