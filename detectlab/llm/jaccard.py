@@ -229,7 +229,7 @@ class _Rows:
     sketch: np.ndarray
 
 
-def _whole_lists(batches, rows: int = 8_000):
+def _whole_lists(batches, rows: int = 20_000):
     """Rows of the batches, cut where a list ends."""
     held, count = [], 0
 
@@ -296,29 +296,21 @@ def _few(batches, how: Join):
 
 
 def _all(batches, how: Join):
-    """All pairs of a left and a right row of one list in different components, told in the first list that both are in."""
+    """All pairs of a left and a right row of one list in different components, once for each chunk of lists."""
     for table in _whole_lists(batches):
         x = _rows(table)
-        before = table.column("before").combine_chunks()
-        before = before.chunk(0) if isinstance(before, pa.ChunkedArray) else before
-        edge, keys = before.offsets.to_numpy(), before.values.to_numpy()
-
-        def first_list(p, q):
-            return not np.isin(keys[edge[p] : edge[p + 1]], keys[edge[q] : edge[q + 1]]).any()
-
         head = np.flatnonzero(np.r_[True, x.group[1:] != x.group[:-1], True])
         lists = [(np.flatnonzero(x.left[s:e]) + s, np.flatnonzero(x.right[s:e]) + s) for s, e in zip(head[:-1].tolist(), head[1:].tolist(), strict=True)]
         i, j, count = [], [], 0
 
         def flush():
             a, b, _ = _near_enough(x, np.concatenate(i), np.concatenate(j), how)
-            first = np.array([first_list(p, q) for p, q in zip(a.tolist(), b.tolist(), strict=True)], bool)
-            a, b = x.node[a[first]], x.node[b[first]]
+            a, b = x.node[a], x.node[b]
             pairs = np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)]), axis=1)
             return pa.RecordBatch.from_arrays([pa.array(pairs[0]), pa.array(pairs[1])], ["a", "b"])
 
         for left, right in lists:
-            step = max(1, 200_000 // max(1, len(right)))
+            step = max(1, 400_000 // max(1, len(right)))
             for at in range(0, len(left), step):
                 part = left[at : at + step]
                 p, q = np.repeat(part, len(right)), np.tile(right, len(part))
@@ -326,7 +318,7 @@ def _all(batches, how: Join):
                 i.append(p[once])
                 j.append(q[once])
                 count += len(i[-1])
-                if count >= 200_000:
+                if count >= 400_000:
                     yield flush()
                     i, j, count = [], [], 0
         if count:
@@ -376,16 +368,16 @@ def _placed(lists: DataFrame, part: DataFrame | None) -> DataFrame:
     if part is None:
         return lists.select("key", "node", "members", F.col("node").alias("root"), F.lit(False).alias("home"))
     own = lists.join(part, "node", "left").select("key", "node", "members", F.coalesce("root", "node").alias("root"))
-    home = own.groupBy("key", "root").agg(F.count("*").alias("c")).groupBy("key").agg(F.max_by("root", F.struct("c", "root")).alias("home"), F.count("*").alias("parts")).where("parts > 1")
-    return own.join(home, "key").select("key", "node", "members", "root", (F.col("root") == F.col("home")).alias("home"))
+    home = own.groupBy("key", "root").agg(F.count("*").alias("c"), F.min("node").alias("least")).groupBy("key").agg(F.max_by("root", F.struct("c", "root")).alias("home"), F.min("least").alias("least"), F.count("*").alias("parts")).where("parts > 1")
+    return own.join(home, "key").select("key", "node", "members", "root", "least", (F.col("root") == F.col("home")).alias("home"))
 
 
 _COLUMNS = ("list", "node", "n", "root", "home", "is_left", "is_right", "sketch")
 
 
-def _scan(rows: DataFrame, nodes: DataFrame, order: list, more: tuple = ()) -> DataFrame:
-    full = rows.join(nodes.select("node", "n", "sketch", *(["keys"] if more else [])), "node").select("*", *more)
-    return full.repartition("list").sortWithinPartitions("list", *order).select(*_COLUMNS, *(["before"] if more else []))
+def _scan(rows: DataFrame, nodes: DataFrame, order: list, by: str = "list") -> DataFrame:
+    full = rows.join(nodes.select("node", "n", "sketch"), "node")
+    return full.repartition(by).sortWithinPartitions(*dict.fromkeys((by, "list")), *order).select(*_COLUMNS)
 
 
 def _few_pairs(lists: DataFrame, nodes: DataFrame, part: DataFrame | None, how: Join, turn: int) -> DataFrame:
@@ -399,11 +391,12 @@ def _few_pairs(lists: DataFrame, nodes: DataFrame, part: DataFrame | None, how:
 def _open_pairs(lists: DataFrame, nodes: DataFrame, part: DataFrame, how: Join) -> DataFrame:
     """Pairs of one list in different components that their sketches allow. Lists longer than list_run are cut into blocks, and every block of left rows meets every block of right ones."""
     placed = _placed(lists, part).withColumn("blocks", F.expr(f"1 + members div {how.list_run}")).withColumn("own", F.expr("pmod(xxhash64(node), blocks)"))
-    alone = placed.where("blocks = 1").select(F.xxhash64("key").alias("list"), "key", "node", "root", "home", (~F.col("home")).alias("is_left"), F.lit(True).alias("is_right"))
+    # lists with the same least node, at most as many as it has keys, go to one task, where pairs that several hold are one
+    alone = placed.where("blocks = 1").select(F.xxhash64("key").alias("list"), F.col("least").alias("anchor"), "node", "root", "home", (~F.col("home")).alias("is_left"), F.lit(True).alias("is_right"))
     long = placed.where("blocks > 1").select("*", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("other"))
-    left = long.where("NOT home").select(F.xxhash64("key", "own", "other").alias("list"), "key", "node", "root", "home", F.lit(True).alias("is_left"), F.lit(False).alias("is_right"))
-    right = long.select(F.xxhash64("key", "other", "own").alias("list"), "key", "node", "root", "home", F.lit(False).alias("is_left"), F.lit(True).alias("is_right"))
-    return _scan(alone.union(left).union(right), nodes, ["node"], (F.filter("keys", lambda k: k < F.col("key")).alias("before"),)).mapInArrow(lambda it: _all(it, how), "a long, b long").distinct()
+    left = long.where("NOT home").select(F.xxhash64("key", "own", "other").alias("list"), F.xxhash64("key", "own", "other").alias("anchor"), "node", "root", "home", F.lit(True).alias("is_left"), F.lit(False).alias("is_right"))
+    right = long.select(F.xxhash64("key", "other", "own").alias("list"), F.xxhash64("key", "other", "own").alias("anchor"), "node", "root", "home", F.lit(False).alias("is_left"), F.lit(True).alias("is_right"))
+    return _scan(alone.union(left).union(right), nodes, ["node"], "anchor").mapInArrow(lambda it: _all(it, how), "a long, b long").distinct()
 
 
 def _label(docs: DataFrame, rows: DataFrame, how: Join) -> DataFrame:
