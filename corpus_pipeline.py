@@ -14,11 +14,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from detectlab.llm import decontam, jaccard, lines, mixing, quality
-from detectlab.llm.frames import shared_dir
+from detectlab.llm.frames import shared_dir, small_batches
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents within the base rules and their group's limits."""
+    small_batches(spark)
     return quality.filter_quality(docs)
 
 
@@ -31,11 +32,13 @@ def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group that links of 80 % of five-word shingles make."""
+    small_batches(spark)
     return jaccard.keep_one(docs, jaccard.Join(words=5, percent=80))
 
 
 def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents in which no benchmark item is found."""
+    small_batches(spark)
     return decontam.without_matches(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
 
 

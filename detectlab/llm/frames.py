@@ -36,6 +36,13 @@ def cut(df: DataFrame, batch_rows: int | None = None) -> DataFrame:
         spark.conf.set(name, before)
 
 
+def small_batches(spark: SparkSession, rows: int = 1024) -> None:
+    """Whole texts reach Python so many at once from now on, in what is computed later too. Only ever lowers the session's setting."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    now = int(spark.conf.get(name))
+    spark.conf.set(name, str(rows if now <= 0 else min(rows, now)))  # 0 and less: no limit
+
+
 def n_blocks(df: DataFrame) -> int:
     """Blocks for data dealt by key: follows the scan's splits, so it grows with the input."""
     spark = df.sparkSession
