@@ -296,7 +296,9 @@ def _few(batches, how: Join):
 
 
 def _all(batches, how: Join):
-    """All pairs of a left and a right row of one list in different components, once for each chunk of lists."""
+    """All pairs of a left and a right row of one list in different components. Pairs told before in the task are
+    left out as long as there are few to remember; beyond that they may come again."""
+    told: set[tuple[int, int]] = set()
     for table in _whole_lists(batches):
         x = _rows(table)
         head = np.flatnonzero(np.r_[True, x.group[1:] != x.group[:-1], True])
@@ -307,7 +309,11 @@ def _all(batches, how: Join):
             a, b, _ = _near_enough(x, np.concatenate(i), np.concatenate(j), how)
             a, b = x.node[a], x.node[b]
             pairs = np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)]), axis=1)
-            return pa.RecordBatch.from_arrays([pa.array(pairs[0]), pa.array(pairs[1])], ["a", "b"])
+            new = [p for p in zip(*pairs.tolist(), strict=True) if p not in told]
+            if len(told) + len(new) > 200_000:
+                told.clear()
+            told.update(new)
+            return pa.RecordBatch.from_arrays([pa.array([p[0] for p in new], pa.int64()), pa.array([p[1] for p in new], pa.int64())], ["a", "b"])
 
         for left, right in lists:
             step = max(1, 400_000 // max(1, len(right)))
