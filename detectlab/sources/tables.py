@@ -125,8 +125,8 @@ def bodies(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fns.join(docs.select("doc_id", F.col("text").alias("code")), "doc_id").select("fn_id", F.col("doc_id").alias("sample_id"), "code")
 
 
-def fix_patches(spark: SparkSession, sf_dir: str, *, sparse: bool = True) -> DataFrame:
-    """project, vuln_id, fn_id: parts of urgent orders, by the customer's region."""
+def fix_patches(spark: SparkSession, sf_dir: str, *, sparse: bool = False) -> DataFrame:
+    """project, vuln_id, fn_id: parts of urgent orders, by the customer's region. sparse: a fiftieth of the orders, for tests."""
     t = lambda name: load(spark, sf_dir, name)
     orders = t("orders").where("o_orderpriority = '1-URGENT'")
     if sparse:
