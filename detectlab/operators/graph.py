@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from itertools import count
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -32,11 +34,11 @@ def signature_groups(functions: DataFrame) -> DataFrame:
     return f.where("sites > 0 AND takers > 0")
 
 
-def reachable(edges: DataFrame, entries: DataFrame, max_depth: int = 64) -> DataFrame:
+def reachable(edges: DataFrame, entries: DataFrame) -> DataFrame:
     """node, depth: fewest edges from any entry. A frontier a round; the visited set ends cycles."""
     seen = cut(entries.select(F.col("entry").alias("node"), F.lit(0).alias("depth")))
     front = seen
-    for d in range(1, max_depth + 1):
+    for d in count(1):
         step = front.join(edges, F.col("node") == F.col("src")).select(F.col("dst").alias("node")).distinct()
         front = cut(step.join(seen.select("node"), "node", "left_anti").withColumn("depth", F.lit(d)))
         if front.limit(1).count() == 0:

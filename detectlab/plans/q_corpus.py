@@ -127,8 +127,8 @@ SELECT sample_id, sha256(string_agg('// ' || kind || ' ' || fn_id || chr(10) ||
 
 @R.query(_SNIP)
 def assemble_snippet(spark, sf):
-    orders = load(spark, sf, "orders").where("o_orderkey % 200 = 0 AND o_orderpriority = '1-URGENT'")
-    lines = load(spark, sf, "lineitem").where("l_orderkey % 97 = 0")
+    orders = load(spark, sf, "orders").where("o_orderpriority = '1-URGENT'")
+    lines = load(spark, sf, "lineitem").select("l_suppkey", "l_partkey").distinct()
     trace = orders.join(lines, F.col("l_suppkey") == F.col("o_custkey") % 90 + 1).select(F.col("o_orderkey").alias("sample_id"), F.concat(F.lit("p"), F.col("l_partkey").cast("string")).alias("fn_id")).distinct()
     patch = fix_patches(spark, sf).select(F.col("vuln_id").alias("sample_id"), "fn_id")
     out = corpus.assemble_snippet(trace, patch, bodies(spark, sf).select("fn_id", "code"))

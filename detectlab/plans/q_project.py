@@ -57,9 +57,9 @@ _CYC = """e AS (SELECT DISTINCT 's' || l_suppkey AS src, 'p' || l_partkey AS dst
 @R.query(f"WITH RECURSIVE {_CYC}, r(node, depth) AS (SELECT 's1', 0 UNION SELECT dst, depth + 1 FROM r JOIN edge ON src = node WHERE depth < 8) SELECT node, min(depth)::INT AS depth FROM r GROUP BY node")
 def reachable_cyclic(spark, sf):
     """A graph with cycles: suppliers and parts both ways."""
-    e = load(spark, sf, "lineitem").where("l_orderkey % 5 = 0").select(F.concat(F.lit("s"), F.col("l_suppkey").cast("string")).alias("src"), F.concat(F.lit("p"), F.col("l_partkey").cast("string")).alias("dst")).distinct()
+    e = load(spark, sf, "lineitem").select(F.concat(F.lit("s"), F.col("l_suppkey").cast("string")).alias("src"), F.concat(F.lit("p"), F.col("l_partkey").cast("string")).alias("dst")).distinct()
     both = e.union(e.select(F.col("dst").alias("src"), F.col("src").alias("dst")))
-    return G.reachable(both, spark.createDataFrame([("s1",)], "entry string"), max_depth=8)
+    return G.reachable(both, spark.createDataFrame([("s1",)], "entry string"))
 
 
 @R.query(f"WITH RECURSIVE {PATHS} SELECT entry, target, count(*) AS paths, min(len(path) - 1)::INT AS shortest FROM hit GROUP BY ALL")
@@ -112,7 +112,7 @@ def initial_context(spark, sf):
 
 @R.query("SELECT 'p' || k AS name, p_partkey IS NOT NULL AS found, md5(text) AS code_md5 FROM (SELECT DISTINCT l_orderkey % 2300 AS k FROM lineitem WHERE l_orderkey % 50 = 0) LEFT JOIN part ON p_partkey = k LEFT JOIN documents ON doc_id = p_partkey % (SELECT count(*) FROM documents)")
 def lookup_tool(spark, sf):
-    reqs = load(spark, sf, "lineitem").where("l_orderkey % 50 = 0").select(F.concat(F.lit("p"), (F.col("l_orderkey") % 2300).cast("string")).alias("name")).distinct()
+    reqs = load(spark, sf, "lineitem").select(F.concat(F.lit("p"), (F.col("l_orderkey") % 2300).cast("string")).alias("name")).distinct()
     return P.lookup(reqs, bodies(spark, sf)).select("name", "found", F.md5("code").alias("code_md5"))
 
 
