@@ -108,6 +108,27 @@ def build_prompt(samples: DataFrame, *, system: str = "You judge code.", shots:
     return samples.select("sample_id", F.concat_ws("\n", *parts, F.lit("Code:"), F.col("code")).alias("prompt"))
 
 
+def pick_shots(samples: DataFrame, pool: DataFrame, k: int = 3) -> DataFrame:
+    """sample_id, shots: the k rows of pool nearest in n_tokens, then by sample_id, of the same language; fewer if the language has fewer, an empty array if it has none.
+
+    A sample must not be in pool. Only sizes are ordered, each with its first k rows: those of k sizes at or below and k above hold the nearest.
+    """
+    size = ["lang", "n_tokens"]
+    known = F.col("lang").isNotNull() & F.col("n_tokens").isNotNull()
+    first = pool.where(known).withColumn("rk", F.row_number().over(Window.partitionBy(*size).orderBy("sample_id"))).where(F.col("rk") <= k)
+    held_ = first.groupBy(*size).agg(F.collect_list("sample_id").alias("ids"))
+    ranked = held_.select("lang", F.col("n_tokens").alias("m"), "ids", F.row_number().over(Window.partitionBy("lang").orderBy("n_tokens")).alias("place"))
+    wanted = samples.where(known).select(*size).distinct()
+    marks = wanted.select(*size, F.lit(0).alias("one")).union(held_.select(*size, F.lit(1)))
+    upto = marks.groupBy(*size).agg(F.sum("one").alias("one")).withColumn("place", F.sum("one").over(Window.partitionBy("lang").orderBy("n_tokens")))
+    near = wanted.join(upto, size).select(*size, F.explode(F.sequence(F.col("place") - (k - 1), F.col("place") + k)).alias("place"))
+    near = near.join(ranked, ["lang", "place"]).select(*size, F.abs(F.col("m") - F.col("n_tokens")).alias("d"), F.explode("ids").alias("shot"))
+    best = F.slice(F.array_sort(F.collect_list(F.struct("d", "shot"))), 1, k)
+    shots = near.groupBy(*size).agg(F.transform(best, lambda x: x.shot).alias("shots"))
+    none = F.array().cast(f"array<{dict(pool.dtypes)['sample_id']}>")
+    return samples.join(shots, size, "left").select("sample_id", F.coalesce("shots", none).alias("shots"))
+
+
 def chain_text(verdict: str = "verdict") -> Column:
     """A short chain for an answer: repeated steps, one digression, and the final section."""
     steps = F.array_join(F.transform(F.sequence(F.lit(1), F.col("attempt") % 3 + 2), lambda i: F.concat(F.lit("Check the "), F.when(i % 2 == 1, "input").otherwise("bounds"), F.lit("."))), " ")

@@ -53,12 +53,9 @@ _NN = f"t AS (SELECT sample_id, lang, cls, n_tokens, is_vuln, split FROM sample
 
 @R.query(f"{S}, {_NN} SELECT q.sample_id, list(b.sample_id ORDER BY abs(b.n_tokens - q.n_tokens), b.sample_id)[1:3] AS shots FROM t q JOIN t b ON b.lang = q.lang AND b.n_tokens // 100 = q.n_tokens // 100 AND b.split = 'train' AND b.sample_id <> q.sample_id WHERE q.split = 'test' GROUP BY q.sample_id")
 def few_shots(spark, sf):
-    """The nearest labelled training examples in size, of the same language and size bucket."""
+    """The nearest labelled training examples in size, of the same language; none where the language is held out from training."""
     s = base(spark, sf)
-    pool = s.where("split = 'train'").select("lang", F.expr("n_tokens div 100").alias("bucket"), F.col("sample_id").alias("shot"), F.col("n_tokens").alias("m"))
-    near = s.where("split = 'test'").withColumn("bucket", F.expr("n_tokens div 100")).join(pool, ["lang", "bucket"]).where("shot <> sample_id")
-    best = F.slice(F.array_sort(F.collect_list(F.struct(F.abs(F.col("m") - F.col("n_tokens")).alias("d"), "shot"))), 1, 3)
-    return near.groupBy("sample_id").agg(F.transform(best, lambda x: x.shot).alias("shots"))
+    return G.pick_shots(s.where("split = 'test'"), s.where("split = 'train'"))
 
 
 @R.query(f"{A} SELECT model, count(*) FILTER (total_tokens <= 32000) AS kept, count(*) FILTER (total_tokens < 32000) AS kept_inclusive, count(*) AS answers FROM attempt_log GROUP BY model")

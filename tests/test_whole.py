@@ -3,7 +3,8 @@
 import pytest
 
 from detectlab import plans
-from detectlab.sources.tables import fix_patches, patch_sql
+from detectlab.operators import generate as G
+from detectlab.sources.tables import fix_patches, patch_sql, samples
 from tests import oracle
 
 SF = "/root/testdata/sf0.001"
@@ -41,3 +42,18 @@ def test_a_long_cycle_is_walked_to_its_end(spark, tmp_path):
     spark.createDataFrame(rows, "l_orderkey long, l_suppkey long, l_partkey long").coalesce(1).write.parquet(f"{tmp_path}/lineitem.parquet")
     got = {r.node: r.depth for r in QUERIES["reachable_cyclic"](spark, str(tmp_path)).collect()}
     assert got == {f"s{k}": 2 * k - 2 for k in range(1, 36)} | {f"p{k}": 2 * k - 1 for k in range(1, 36)}
+
+
+def test_shots_are_the_nearest_of_the_language(spark):
+    df = samples(spark, "/root/testdata/sf0.01", labelled=True)
+    rows = df.select("sample_id", "lang", "n_tokens", "split").collect()
+    want = {q.sample_id: [i for _, i in sorted((abs(b.n_tokens - q.n_tokens), b.sample_id) for b in rows if b.split == "train" and b.lang == q.lang)[:3]] for q in rows if q.split == "test"}
+    got = {r.sample_id: r.shots for r in QUERIES["few_shots"](spark, "/root/testdata/sf0.01").collect()}
+    assert got == want and [] in got.values()
+
+
+def test_shots_of_ties_and_of_few(spark):
+    make = lambda rows: spark.createDataFrame(rows, "sample_id long, lang string, n_tokens int")
+    pool = make([(k, "a", 200) for k in range(9, 0, -1)] + [(20, "a", 198), (21, "a", 199), (30, "b", 7)])
+    got = {r.sample_id: r.shots for r in G.pick_shots(make([(100, "a", 199), (101, "a", 200), (102, "a", 1), (103, "b", 900), (104, "c", 1), (105, None, 1)]), pool).collect()}
+    assert got == {100: [21, 1, 2], 101: [1, 2, 3], 102: [20, 21, 1], 103: [30], 104: [], 105: []}
