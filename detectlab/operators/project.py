@@ -110,3 +110,8 @@ def unknown_findings(flags: DataFrame, patches: DataFrame) -> DataFrame:
 def confirm_by_fuzz(flags: DataFrame, walks: DataFrame) -> DataFrame:
     """Flags whose function some walk reaches."""
     return flags.join(walks.select(F.col("node").alias("fn_id")).distinct(), "fn_id", "left_semi")
+
+
+def project_leak_check(train: DataFrame, projects: DataFrame) -> DataFrame:
+    """leaked: how many rows of train belong to one of projects; both have a column project."""
+    return train.join(projects.select("project"), "project", "left_semi").agg(F.count("*").alias("leaked"))

@@ -9,7 +9,7 @@ from detectlab.operators import baselines as B
 from detectlab.operators import graph as G
 from detectlab.operators import project as P
 from detectlab.plans.registry import Registry
-from detectlab.sources.tables import EDGE_SQL, SAMPLE_SQL, bodies, call_edges, cut, entries, fix_patches, functions, load, patch_sql
+from detectlab.sources.tables import EDGE_SQL, OOD_CLASSES, SAMPLE_SQL, bodies, call_edges, cut, entries, fix_patches, functions, load, patch_sql
 
 R = Registry()
 FN_SQL = """fn AS (SELECT 'p' || p_partkey AS fn_id, p_partkey AS no, 1 + p_size % 5 AS arity, (1 + p_size % 5) || '|' || array_to_string(list_transform(range(0, 1 + p_size % 5), lambda x: p_type), ',') AS sig,
@@ -216,10 +216,13 @@ def unknown_findings(spark, sf):
 
 @R.query("SELECT count(*) AS leaked FROM documents WHERE doc_id % 10 < 5 AND source IN ('src18', 'src19') AND doc_id IN (SELECT doc_id FROM labels WHERE doc_id % 10 >= 8)")
 def project_leak(spark, sf):
-    """Training rows that belong to test projects: must be none."""
-    train = load(spark, sf, "documents").where("doc_id % 10 < 5 AND source IN ('src18', 'src19')")
-    test = load(spark, sf, "labels").where("doc_id % 10 >= 8").select("doc_id")
-    return train.join(test, "doc_id", "left_semi").agg(F.count("*").alias("leaked"))
+    """Training rows that belong to test projects, the sources of held-out classes: must be none."""
+    from detectlab.sources.tables import samples
+
+    source = load(spark, sf, "documents").select(F.col("doc_id").alias("sample_id"), F.col("source").alias("project"))
+    held_out = source.where(F.substring("project", 4, 10).cast("int").isin(*OOD_CLASSES)).select("project").distinct()
+    train = samples(spark, sf).where("split = 'train'").select("sample_id").join(source, "sample_id")
+    return P.project_leak_check(train, held_out)
 
 
 def _fuzz_sql(walks: int, steps: int) -> str:

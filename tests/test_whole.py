@@ -4,6 +4,8 @@ import pytest
 
 from detectlab import plans
 from detectlab.operators import generate as G
+from detectlab.operators import project as P
+from detectlab.sources import tables
 from detectlab.sources.tables import fix_patches, patch_sql, samples
 from tests import oracle
 
@@ -57,3 +59,11 @@ def test_shots_of_ties_and_of_few(spark):
     pool = make([(k, "a", 200) for k in range(9, 0, -1)] + [(20, "a", 198), (21, "a", 199), (30, "b", 7)])
     got = {r.sample_id: r.shots for r in G.pick_shots(make([(100, "a", 199), (101, "a", 200), (102, "a", 1), (103, "b", 900), (104, "c", 1), (105, None, 1)]), pool).collect()}
     assert got == {100: [21, 1, 2], 101: [1, 2, 3], 102: [20, 21, 1], 103: [30], 104: [], 105: []}
+
+
+def test_a_planted_leak_is_found(spark, monkeypatch):
+    train = spark.createDataFrame([(1, "a"), (2, "b"), (3, "b"), (5, "c"), (6, None)], "sample_id long, project string")
+    assert P.project_leak_check(train, spark.createDataFrame([("b",), ("b",), ("d",), (None,)], "project string")).first().leaked == 2
+    assert QUERIES["project_leak"](spark, SF).first().leaked == 0
+    monkeypatch.setattr(tables, "OOD_CLASSES", (16, 17, 18, 19))  # the split lets src15 into training
+    assert QUERIES["project_leak"](spark, SF).first().leaked == samples(spark, SF).where("split = 'train' AND cls = 15").count() > 0
