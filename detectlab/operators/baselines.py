@@ -7,11 +7,14 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from detectlab.functions.tokens import tokens
+from detectlab.sources.tables import cut
 
 SYMBOLS = "!#$%&*"
+#: Rules up to which they are broadcast (a word each).
+RULE_ROWS = 200_000
 
 
-def learn_rules(train: DataFrame, *, support: int = 2, most: int = 500) -> DataFrame:
+def learn_rules(train: DataFrame, *, support: int = 2) -> DataFrame:
     """word, support, cls: words of train rows found in vulnerable samples only, with the class they name most.
 
     train must hold training rows alone: a rule read off test labels would score itself.
@@ -19,13 +22,19 @@ def learn_rules(train: DataFrame, *, support: int = 2, most: int = 500) -> DataF
     words = train.where("is_vuln IS NOT NULL").select("sample_id", "is_vuln", "cls", F.explode(F.array_distinct(tokens("code"))).alias("word"))
     per = words.groupBy("word").agg(F.sum(F.col("is_vuln").cast("int")).alias("support"), F.sum((~F.col("is_vuln")).cast("int")).alias("benign")).where((F.col("support") >= support) & (F.col("benign") == 0))
     cls = words.where("is_vuln").groupBy("word", "cls").agg(F.count("*").alias("c")).groupBy("word").agg(F.min(F.struct((-F.col("c")).alias("c"), "cls")).alias("m")).select("word", F.col("m.cls").alias("rule_cls"))
-    return per.join(cls, "word").orderBy(F.desc("support"), "word").limit(most).select("word", "support", "rule_cls")
+    return per.join(cls, "word").select("word", "support", "rule_cls")
+
+
+def _ready(rules: DataFrame) -> DataFrame:
+    """Written once, as a count and a join read them; broadcast up to RULE_ROWS, shuffled by word beyond."""
+    rules = cut(rules)
+    return F.broadcast(rules) if rules.count() <= RULE_ROWS else rules
 
 
 def rule_scan(samples: DataFrame, rules: DataFrame, name: str = "rules") -> DataFrame:
-    """Predictions: the class of the rule of most support (then first word) found; benign if none. Rules are at most learn_rules' limit and broadcast."""
+    """Predictions: the class of the rule of most support (then first word) found; benign if none."""
     words = samples.select("sample_id", F.explode(F.array_distinct(tokens("code"))).alias("word"))
-    best = words.join(F.broadcast(rules), "word").groupBy("sample_id").agg(F.min(F.struct((-F.col("support")).alias("s"), "word", "rule_cls")).alias("b"))
+    best = words.join(_ready(rules), "word").groupBy("sample_id").agg(F.min(F.struct((-F.col("support")).alias("s"), "word", "rule_cls")).alias("b"))
     hit = F.when(F.col("b").isNull(), "benign").otherwise(F.concat(F.lit("CWE-"), F.col("b.rule_cls").cast("string")))
     return samples.join(best, "sample_id", "left").select("sample_id", F.lit(name).alias("model"), hit.alias("verdict"), F.col("b.word").alias("word"))
 
@@ -40,7 +49,7 @@ def structure_scan(samples: DataFrame, *, share: int = 20) -> DataFrame:
 
 def guard_scan(samples: DataFrame, rules: DataFrame) -> DataFrame:
     """Any listed word flags the sample; no class is named."""
-    hit = samples.select("sample_id", F.explode(F.array_distinct(tokens("code"))).alias("word")).join(F.broadcast(rules), "word", "left_semi").select("sample_id").distinct()
+    hit = samples.select("sample_id", F.explode(F.array_distinct(tokens("code"))).alias("word")).join(_ready(rules), "word", "left_semi").select("sample_id").distinct()
     return samples.join(hit.withColumn("hit", F.lit(True)), "sample_id", "left").select("sample_id", F.coalesce("hit", F.lit(False)).alias("flagged"))
 
 

@@ -3,6 +3,7 @@
 import pytest
 
 from detectlab import plans
+from detectlab.operators import baselines as B
 from detectlab.operators import generate as G
 from detectlab.operators import project as P
 from detectlab.sources import tables
@@ -67,3 +68,16 @@ def test_a_planted_leak_is_found(spark, monkeypatch):
     assert QUERIES["project_leak"](spark, SF).first().leaked == 0
     monkeypatch.setattr(tables, "OOD_CLASSES", (16, 17, 18, 19))  # the split lets src15 into training
     assert QUERIES["project_leak"](spark, SF).first().leaked == samples(spark, SF).where("split = 'train' AND cls = 15").count() > 0
+
+
+@pytest.mark.parametrize("most", [1_000, 10])
+def test_rules_past_the_500th(spark, monkeypatch, most):
+    monkeypatch.setattr(B, "RULE_ROWS", most)
+    text = lambda k: f"word{k:04d}"
+    train = [(k, " ".join(text(w) for w in range(600)), 7, True) for k in (1, 2)] + [(3, "fine", 7, False)]
+    test = [(10, text(599), 7, True), (11, "fine", 7, False), (12, f"{text(3)} {text(598)}", 7, True)]
+    make = lambda rows: spark.createDataFrame(rows, "sample_id long, code string, cls int, is_vuln boolean")
+    rules = B.learn_rules(make(train))
+    assert rules.count() == 600
+    assert {r.sample_id: (r.verdict, r.word) for r in B.rule_scan(make(test), rules).collect()} == {10: ("CWE-7", text(599)), 11: ("benign", None), 12: ("CWE-7", text(3))}
+    assert {r.sample_id: r.flagged for r in B.guard_scan(make(test), rules).collect()} == {10: True, 11: False, 12: True}
