@@ -148,21 +148,23 @@ def render(turns: list[tuple[int, str]]) -> str:
 
 
 def parse(transcripts: DataFrame, model: Model) -> DataFrame:
-    """conv_id, n_turns, roles (array), turns (array of text), chat (canonical). columns in: conv_id, transcript; one row each.
+    """conv_id, part, n_turns, roles (array), turns (array of text), chat (canonical). columns in: conv_id, transcript and, where there is one, part; one row each.
 
     Null or blank transcripts have no turns and an empty chat. Null conv_id stays null.
     Repeated rows are parsed each. An empty table gives no rows.
     """
-    rows = transcripts.select("conv_id", F.col("transcript").cast("string").alias("transcript"))
+    keys = [c for c in ("conv_id", "part") if c in transcripts.columns]
+    rows = transcripts.select(*keys, F.col("transcript").cast("string").alias("transcript"))
 
     def run(batches):
         for batch in batches:
-            done = [turns_of(t or "", model) for t in batch.column(1).to_pylist()]
+            done = [turns_of(t or "", model) for t in batch.column("transcript").to_pylist()]
             yield pa.RecordBatch.from_arrays([
-                batch.column(0), pa.array([len(d) for d in done], pa.int64()), pa.array([[ROLES[r] for r, _ in d] for d in done], pa.list_(pa.string())),
-                pa.array([[t for _, t in d] for d in done], pa.list_(pa.string())), pa.array([render(d) for d in done], pa.string())], ["conv_id", "n_turns", "roles", "turns", "chat"])
+                *[batch.column(c) for c in keys], pa.array([len(d) for d in done], pa.int64()), pa.array([[ROLES[r] for r, _ in d] for d in done], pa.list_(pa.string())),
+                pa.array([[t for _, t in d] for d in done], pa.list_(pa.string())), pa.array([render(d) for d in done], pa.string())], [*keys, "n_turns", "roles", "turns", "chat"])
 
-    return rows.mapInArrow(run, f"conv_id {dict(rows.dtypes)['conv_id']}, n_turns long, roles array<string>, turns array<string>, chat string")
+    types = dict(rows.dtypes)
+    return rows.mapInArrow(run, "".join(f"{c} {types[c]}, " for c in keys) + "n_turns long, roles array<string>, turns array<string>, chat string")
 
 
 #: Styles that transcripts of a table of turns are written in: name of each role, and how it stands before the text.
