@@ -6,6 +6,7 @@ floor(L * percent / 100) word edits of it. The steps:
 1. Words are letters and digits, lower-cased. Places where a document shares
    three-word grams with an item are kept if there are as many of them close by as
    a match within the limit must leave (q-gram lemma), so nothing is lost here.
+   Items so short that none need be left have grams of two words or one.
 2. Windows of the item's size at those places are embedded by a random walk that
    turns edit distance into Hamming distance: both strings are read by the same
    random bits, one a position and word, that say whether to step on.
@@ -49,12 +50,16 @@ class Search:
     seed: int = 5
 
     def edits(self, size: int) -> int:
-        """At most so many that one three-word gram must survive."""
-        return max(0, min(size * self.percent // 100, (size - GRAM) // GRAM))
+        return size * self.percent // 100
+
+    def gram(self, size: int) -> int:
+        """Words a gram: three, or fewer so that one must survive the edits."""
+        return next((g for g in range(GRAM, 1, -1) if size - g + 1 - g * self.edits(size) >= 1), 1)
 
     def grams(self, size: int) -> int:
         """Places with a gram of the item that a match must leave."""
-        return max(1, size - GRAM + 1 - GRAM * self.edits(size))
+        g = self.gram(size)
+        return max(1, size - g + 1 - g * self.edits(size))
 
     def repetitions(self, size: int) -> int:
         far = min(0.9, self.stretch * max(1, self.edits(size)) / (3 * size))
@@ -124,14 +129,17 @@ class Items:
         self.size = np.array([len(h) for h in self.words], np.int64)
         self.edits = np.array([how.edits(n) for n in self.size.tolist()], np.int64)
         self.need = np.array([how.grams(n) for n in self.size.tolist()], np.int64)
-        grams = [wh.window_hash(h, GRAM) for h in self.words]
-        g = np.concatenate(grams) if grams else np.zeros(0, U)
-        order = np.argsort(g, kind="stable")
-        self.gram = g[order]
-        self.of = np.concatenate([np.full(len(x), k) for k, x in enumerate(grams)])[order] if grams else np.zeros(0, np.int64)
-        self.offset = np.concatenate([np.arange(len(x)) for x in grams])[order] if grams else np.zeros(0, np.int64)
-        self.maybe = np.zeros(1 << 20, bool)
-        self.maybe[(self.gram & U((1 << 20) - 1)).astype(np.int64)] = True
+        self.long = np.array([how.gram(n) for n in self.size.tolist()], np.int64)
+        #: By words a gram: sorted grams, their items and places, and a bit for the low 20 of each gram.
+        self.index: dict[int, tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]] = {}
+        for n in np.unique(self.long).tolist():
+            own = np.flatnonzero(self.long == n).tolist()
+            grams = [wh.window_hash(self.words[k], n) for k in own]
+            g = np.concatenate(grams)
+            order = np.argsort(g, kind="stable")
+            maybe = np.zeros(1 << 20, bool)
+            maybe[(g & U((1 << 20) - 1)).astype(np.int64)] = True
+            self.index[n] = g[order], np.repeat(own, [len(x) for x in grams])[order], np.concatenate([np.arange(len(x)) for x in grams])[order], maybe
         self.table: dict[int, tuple[np.ndarray, np.ndarray]] = {}
         for n in np.unique(self.size).tolist():
             own = np.flatnonzero(self.size == n)
@@ -139,23 +147,29 @@ class Items:
             order = np.argsort(b.ravel(), kind="stable")
             self.table[n] = (b.ravel()[order], np.repeat(own, b.shape[1])[order])
 
-    def matches(self, texts) -> Iterator[tuple[int, int, int, int]]:
-        """(text, item, edits, first word of the window) for each text and item at most once: fewest edits, then first."""
-        w = wh.words_of(texts, fold="latin", letters_only=True, seed=31)
-        g = wh.window_hash(w.hash, GRAM)
-        if not len(g) or not len(self.gram):
-            return
-        near = np.flatnonzero(self.maybe[(g & U((1 << 20) - 1)).astype(np.int64)])
-        low, high = np.searchsorted(self.gram, g[near], "left"), np.searchsorted(self.gram, g[near], "right")
+    def _shared(self, w: wh.Words, n: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """Place, text, item and where the item would start, of each gram of n words that a text shares with an item."""
+        gram, of, offset, maybe = self.index[n]
+        g = wh.window_hash(w.hash, n)
+        near = np.flatnonzero(maybe[(g & U((1 << 20) - 1)).astype(np.int64)])
+        low, high = np.searchsorted(gram, g[near], "left"), np.searchsorted(gram, g[near], "right")
         hit = high > low
         near, low, high = near[hit], low[hit], high[hit]
         text = np.searchsorted(w.first, near, "right") - 1
-        inside = near + GRAM <= w.first[text + 1]
+        inside = near + n <= w.first[text + 1]
         near, low, high, text = near[inside], low[inside], high[inside], text[inside]
         times = high - low
         pos, text = np.repeat(near, times), np.repeat(text, times)
         entry = np.repeat(low, times) + np.arange(len(pos)) - np.repeat(np.cumsum(times) - times, times)
-        item, start = self.of[entry], pos - self.offset[entry]
+        return pos, text, of[entry], pos - offset[entry]
+
+    def matches(self, texts) -> Iterator[tuple[int, int, int, int]]:
+        """(text, item, edits, first word of the window) for each text and item at most once: fewest edits, then first."""
+        w = wh.words_of(texts, fold="latin", letters_only=True, seed=31)
+        shared = [self._shared(w, n) for n in self.index]
+        if not shared:
+            return
+        pos, text, item, start = (np.concatenate(x) for x in zip(*shared, strict=True))
         # places of one text and item, a gram counted once a place
         order = np.lexsort((start, pos, item, text))
         pos, text, item, start = pos[order], text[order], item[order], start[order]
@@ -166,7 +180,7 @@ class Items:
         gp, pp = group[head], pos[head]
         far = np.arange(len(head)) + self.need[item[head]] - 1
         ok = far < len(head)
-        ok[ok] = (gp[far[ok]] == gp[ok]) & (pp[far[ok]] - pp[ok] <= (self.size + self.edits)[item[head]][ok] - GRAM)
+        ok[ok] = (gp[far[ok]] == gp[ok]) & (pp[far[ok]] - pp[ok] <= (self.size + self.edits - self.long)[item[head]][ok])
         reach = np.zeros(len(head) + 1, np.int64)
         np.add.at(reach, np.flatnonzero(ok), 1)
         np.add.at(reach, far[ok] + 1, -1)
