@@ -13,7 +13,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from detectlab.llm.frames import cut
+from detectlab.llm.frames import cut, release
 
 
 def _contract(batches):
@@ -54,14 +54,17 @@ def components(edges: DataFrame, rounds: int = 60, small: int = 1_000_000) -> Da
     e = cut(e.mapInArrow(_contract, "u long, v long").distinct())
     seen = None
     if e.count() <= small:
-        e, rounds = cut(e.repartition(1).mapInArrow(_solve, "u long, v long")), 0
+        few, rounds = cut(e.repartition(1).mapInArrow(_solve, "u long, v long")), 0
+        release(e)
+        e = few
     for _ in range(rounds):
         both = e.union(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
         least = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
         large = both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
         down = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(down, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v")
-        e = cut(small.union(down.select("u", F.col("m").alias("v"))).distinct())
+        before, e = e, cut(small.union(down.select("u", F.col("m").alias("v"))).distinct())
+        release(before)
         now = tuple(e.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
         if now == seen:
             break

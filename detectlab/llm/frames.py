@@ -3,37 +3,57 @@
 from __future__ import annotations
 
 import tempfile
+import uuid
+from weakref import WeakKeyDictionary
 
 from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The checkpoint folder all machines share; a local one only where none is set (tests)."""
+    """The checkpoint folder all machines share. Where none is set, a local one on a local master (tests), else an error."""
     sc = spark.sparkContext
     set_already = sc.getCheckpointDir()
     if set_already:
         return set_already
     named = sc.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
+    if not named and not (sc.master == "local" or sc.master.startswith("local[")):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     sc.setCheckpointDir(named or tempfile.mkdtemp(prefix="detectlab-ckpt-"))
     return sc.getCheckpointDir()
 
 
+_WRITTEN: WeakKeyDictionary[DataFrame, str] = WeakKeyDictionary()
+
+
 def cut(df: DataFrame, batch_rows: int | None = None) -> DataFrame:
-    """df written to the shared folder, its lineage gone.
+    """df as a table written to the shared folder, its lineage gone; release() removes it.
 
     batch_rows: rows of an Arrow batch while it is computed, for stages that hand whole texts to Python;
     the session's own setting is put back.
     """
     spark, name = df.sparkSession, "spark.sql.execution.arrow.maxRecordsPerBatch"
-    shared_dir(spark)
-    if batch_rows is None:
-        return df.checkpoint()
+    path = f"{shared_dir(spark)}/cut-{uuid.uuid4().hex}"
     before = spark.conf.get(name)
-    spark.conf.set(name, str(batch_rows))
+    if batch_rows is not None:
+        spark.conf.set(name, str(batch_rows))
     try:
-        return df.checkpoint()
+        df.write.parquet(path)
     finally:
-        spark.conf.set(name, before)
+        if batch_rows is not None:
+            spark.conf.set(name, before)
+    out = spark.read.schema(df.schema).parquet(path)
+    _WRITTEN[out] = path
+    return out
+
+
+def release(*tables: DataFrame) -> None:
+    """Removes tables that cut() wrote, once nothing reads them any more."""
+    for table in tables:
+        path = _WRITTEN.pop(table, None)
+        if path:
+            sc = table.sparkSession.sparkContext
+            where = sc._jvm.org.apache.hadoop.fs.Path(path)
+            where.getFileSystem(sc._jsc.hadoopConfiguration()).delete(where, True)
 
 
 def small_batches(spark: SparkSession, rows: int = 1024) -> None:

@@ -21,7 +21,12 @@ different components are compared: every set outside the list's largest componen
 with those in others. So a list whose members are one group costs nothing more, and
 no link between components is lost. A distance that can't exceed the true one (of
 token counts in 128 bins) rejects most pairs while lists are scanned; only the texts
-of those left are read again. Long lists are scanned in blocks by blocks.
+of those left are read again, and each set of tokens goes to the one task that holds
+its group of pairs. Long lists are scanned in blocks by blocks, groups with more
+tokens than a task takes are compared so too.
+
+Keys are never stored: texts are hashed a second time to file them, and only keys
+that two different sets share are written.
 """
 
 from __future__ import annotations
@@ -33,10 +38,11 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from detectlab.llm import wordhash as wh
 from detectlab.llm.components import components
-from detectlab.llm.frames import cut
+from detectlab.llm.frames import cut, release
 
 U = np.uint64
 BINS = 128
@@ -51,7 +57,8 @@ class Join:
     which the cost model takes a set for heavy anyway. list_run: members of a list compared at once. neighbours:
     places in a list that the first rounds look back. few_lists: lists of a set that they look at.
     broadcast_ids: documents to read again up to which their ids (16 bytes each) are broadcast. batch_rows: texts
-    handed to Python at once."""
+    handed to Python at once. task_bytes: of tokens compared in one task. anchor_rows: of lists with the same least
+    set in one task."""
 
     words: int = 5
     percent: int = 80
@@ -65,6 +72,8 @@ class Join:
     few_lists: int = 4
     broadcast_ids: int = 1_000_000
     batch_rows: int = 1024
+    task_bytes: int = 8 << 20
+    anchor_rows: int = 10_000
 
     def prefix(self, n):
         return n - -(-self.percent * n // 100) + 1
@@ -111,20 +120,65 @@ def _counted(h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return h[head], np.diff(np.append(head, len(h)))
 
 
+def sketch_of(s: np.ndarray, bins: int = BINS) -> bytes:
+    """Tokens in each bin, 255 at most."""
+    return np.minimum(np.bincount((s >> U(20)).astype(np.int64) % bins, minlength=bins), 255).astype(np.uint8).tobytes()
+
+
+def wide_sketch(s: np.ndarray) -> bytes | None:
+    """A bin for four tokens or fewer, in powers of two; None where the small sketch is as good."""
+    bins = 1 << max(0, len(s) - 1).bit_length() - 2 if len(s) > 4 else 0
+    return sketch_of(s, bins) if bins > BINS else None
+
+
+def _apart(x: bytes | None, y: bytes | None) -> int:
+    """At most the number of tokens in one set only, from wide sketches; the longer one is folded."""
+    if x is None or y is None:
+        return 0
+    a, b = (np.frombuffer(v, np.uint8).astype(np.int32) for v in (x, y))
+    while len(a) != len(b):
+        if len(a) > len(b):
+            a = a[: len(a) // 2] + a[len(a) // 2 :]
+        else:
+            b = b[: len(b) // 2] + b[len(b) // 2 :]
+    return int(np.abs(a - b).sum())
+
+
 def _digest(s: np.ndarray) -> int:
     return int.from_bytes(hashlib.blake2b(s.tobytes(), digest_size=8).digest(), "little", signed=True)
 
 
-def _survey(docs: DataFrame, how: Join) -> tuple[np.ndarray, np.ndarray, int]:
-    """Frequent shingles by count, frequent words in order of hash, and the largest size of a light set."""
+def _texts(docs: DataFrame) -> DataFrame:
+    """at (doc_id, or the largest long), mark (hash of the row's id and text), text."""
+    at, text = F.coalesce(F.col("doc_id").cast("long"), F.lit(_LAST)), F.col("text").cast("string")
+    return docs.select(at.alias("at"), F.xxhash64(at, text).alias("mark"), text.alias("text"))
+
+
+def _column(part, name: str):
+    got = part.column(name)
+    return got if isinstance(part, pa.RecordBatch) else got.combine_chunks()
+
+
+def survey(docs: DataFrame, how: Join) -> DataFrame:
+    """One row per input row: at, mark, n, node (digest of the set; null if empty), sketch, wide
+    (see sketch_of). Besides, with at null, counts of each piece of texts: kind, key, value."""
+    schema = pa.schema([("at", pa.int64()), ("mark", pa.int64()), ("n", pa.int64()), ("node", pa.int64()), ("sketch", pa.binary()), ("wide", pa.binary()), ("kind", pa.int32()), ("key", pa.int64()), ("value", pa.int64())])
+
+    def batch_of(size: int, **held) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([held.get(f.name, pa.nulls(size, f.type)) for f in schema], schema=schema)
 
     def run(batches):
         for batch in batches:
             for part in wh.pieces(batch, "text", 2 << 20):
-                sets = [s for s in shingle_sets(part.column("text"), how.words) if len(s)]
+                text = part.column("text")
+                sets = shingle_sets(text, how.words)
+                sketch, wide = [sketch_of(s) if len(s) else None for s in sets], [wide_sketch(s) for s in sets]
+                node = pa.array([_digest(s) if len(s) else None for s in sets], pa.int64())
+                yield batch_of(len(sets), at=_column(part, "at"), mark=_column(part, "mark"), n=pa.array([len(s) for s in sets], pa.int64()), node=node, sketch=pa.array(sketch, pa.binary()), wide=pa.array(wide, pa.binary()))
+                sets = [s for s in sets if len(s)]
                 if not sets:
                     continue
-                words, times = _counted(wh.words_of(part.column("text"), fold="ascii", seed=21).hash)
+                words, times = _counted(wh.words_of(text, fold="ascii", seed=21).hash)
                 often = times >= max(3, how.word_share * times.sum())
                 shingles, lists = _counted(np.concatenate(sets))
                 hot = lists >= max(3, how.frequent_share * len(sets))
@@ -132,13 +186,20 @@ def _survey(docs: DataFrame, how: Join) -> tuple[np.ndarray, np.ndarray, int]:
                 kind = np.repeat(np.array([0, 1, 2, 3, 4], np.int32), [hot.sum(), often.sum(), len(n), 1, 1])
                 key = np.concatenate([shingles[hot].view(np.int64), words[often].view(np.int64), n.astype(np.int64), [0, 0]])
                 value = np.concatenate([lists[hot], times[often], docs_of, [(lists.astype(float) ** 2).sum(), lists.sum()]]).astype(np.int64)
-                yield pa.RecordBatch.from_arrays([pa.array(kind), pa.array(key), pa.array(value)], ["kind", "key", "value"])
+                yield batch_of(len(kind), kind=pa.array(kind), key=pa.array(key), value=pa.array(value))
 
-    found = cut(docs.mapInArrow(run, "kind int, key long, value long").groupBy("kind", "key").agg(F.sum("value").alias("value")), how.batch_rows)
+    return _texts(docs).mapInArrow(run, "at long, mark long, n long, node long, sketch binary, wide binary, kind int, key long, value long")
+
+
+def habits(surveyed: DataFrame, how: Join) -> tuple[np.ndarray, np.ndarray, int]:
+    """Frequent shingles by count, frequent words in order of hash, and the largest size of a light set."""
+    found = cut(surveyed.where("kind is not null").groupBy("kind", "key").agg(F.sum("value").alias("value")))
     top = lambda kind, most: np.array([r.key for r in found.where(F.col("kind") == kind).orderBy(F.desc("value"), "key").limit(most).collect()], np.int64).view(U)
     sizes = {r.key: r.value for r in found.where("kind = 2").collect()}
     scan = {r.kind: r.value for r in found.where("kind > 2").collect()}
-    return top(0, how.frequent), np.sort(top(1, how.frequent_words)), boundary(sizes, scan.get(3, 1) / max(1, scan.get(4, 1)), how)
+    out = top(0, how.frequent), np.sort(top(1, how.frequent_words)), boundary(sizes, scan.get(3, 1) / max(1, scan.get(4, 1)), how)
+    release(found)
+    return out
 
 
 def boundary(sizes: dict[int, int], scan: float, how: Join) -> int:
@@ -179,40 +240,36 @@ def _keys(s: np.ndarray, held: np.ndarray, hot: np.ndarray, rank: np.ndarray, li
     return np.concatenate(out).view(np.int64)
 
 
-def prepare(docs: DataFrame, how: Join) -> DataFrame:
-    """at (doc_id, or the largest long), n, node (digest of the set; null if empty), keys, sketch (tokens in each bin, 255 at most)."""
-    docs = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(_LAST)).alias("at"), F.col("text").cast("string").alias("text"))
-    hot_by_count, frequent, light = _survey(docs.select("text"), how)
+def filed(docs: DataFrame, known: tuple[np.ndarray, np.ndarray, int], how: Join) -> DataFrame:
+    """key, node: what each set is filed under. Copies in one task are filed once, as long as its nodes are few to remember."""
+    hot_by_count, frequent, light = known
     order = np.argsort(hot_by_count)
     hot, rank = hot_by_count[order], order
 
     def run(batches):
+        told: set[int] = set()
         for batch in batches:
             for part in wh.pieces(batch, "text", 1 << 20):
-                pairs = shingle_sets(part.column("text"), how.words, frequent)
-                keys, sets = [_keys(s, f, hot, rank, light, how) for s, f in pairs], [s for s, _ in pairs]
-                sketch = [np.minimum(np.bincount((s >> U(20)).astype(np.int64) % BINS, minlength=BINS), 255).astype(np.uint8).tobytes() if len(k) else None for s, k in zip(sets, keys, strict=True)]
-                flat = pa.array(np.concatenate(keys) if keys else np.zeros(0, np.int64))
-                lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum([len(k) for k in keys])]), pa.int32()), flat)
-                at = part.column("at") if isinstance(part, pa.RecordBatch) else part.column("at").combine_chunks()
-                yield pa.RecordBatch.from_arrays([at, pa.array([len(s) for s in sets], pa.int64()), pa.array([_digest(s) if len(s) else None for s in sets], pa.int64()), lists, pa.array(sketch, pa.binary())], ["at", "n", "node", "keys", "sketch"])
+                keys, owner = [], []
+                for s, held in shingle_sets(part.column("text"), how.words, frequent):
+                    if not len(s) or (node := _digest(s)) in told:
+                        continue
+                    told.add(node)
+                    keys.append(_keys(s, held, hot, rank, light, how))
+                    owner.append(np.full(len(keys[-1]), node, np.int64))
+                if len(told) > 1_000_000:
+                    told.clear()
+                if keys:
+                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys)), pa.array(np.concatenate(owner))], ["key", "node"])
 
-    return docs.mapInArrow(run, "at long, n long, node long, keys array<long>, sketch binary")
+    return docs.select(F.col("text").cast("string").alias("text")).mapInArrow(run, "key long, node long")
 
 
-def _sets(docs: DataFrame, wanted: DataFrame, how: Join) -> DataFrame:
-    """node, tokens (binary) of the documents whose doc_id is in wanted.at."""
-    docs = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(_LAST)).alias("at"), F.col("text").cast("string").alias("text"))
-
-    def run(batches):
-        for batch in batches:
-            for part in wh.pieces(batch, "text", 2 << 20):
-                sets = [s for s in shingle_sets(part.column("text"), how.words) if len(s)]
-                yield pa.RecordBatch.from_arrays([pa.array([_digest(s) for s in sets], pa.int64()), pa.array([s.tobytes() for s in sets], pa.binary())], ["node", "tokens"])
-
-    ids = wanted.select("at").distinct()
-    ids = F.broadcast(ids) if wanted.count() <= how.broadcast_ids else ids  # else the texts are dealt by id
-    return docs.join(ids, "at", "left_semi").select("text").mapInArrow(run, "node long, tokens binary").join(wanted.select("node"), "node", "left_semi").dropDuplicates(["node"])
+def shared_lists(entries: DataFrame) -> DataFrame:
+    """key, node, members of the keys that two sets or more are filed under. One exchange, of whole numbers."""
+    same = Window.partitionBy("key")
+    seen = entries.repartition("key").select("key", "node", F.count("*").over(same).alias("members"), F.min("node").over(same).alias("low"), F.max("node").over(same).alias("high"))
+    return seen.where("low < high").groupBy("key", "node").agg(F.max("members").alias("members"))  # entries of copies in several tasks are one
 
 
 @dataclass
@@ -331,25 +388,76 @@ def _all(batches, how: Join):
             yield flush()
 
 
-def _like(batches, how: Join):
-    for batch in batches:
-        keep = []
-        for s, t in zip(batch.column(2), batch.column(3), strict=True):
-            x, y = np.frombuffer(s.as_buffer(), U), np.frombuffer(t.as_buffer(), U)
-            both = len(np.intersect1d(x, y, assume_unique=True))
-            keep.append(100 * both >= how.percent * (len(x) + len(y) - both))
-        keep = pa.array(keep, pa.bool_())
-        yield pa.RecordBatch.from_arrays([batch.column(0).filter(keep), batch.column(1).filter(keep)], ["a", "b"])
+def _like(key, left: pa.Table, right: pa.Table, how: Join) -> pa.Table:
+    """The pairs of one task that are alike. left: node, tokens; right: a, b."""
+    sets = {k: np.frombuffer(t.as_buffer(), U) for k, t in zip(left.column("node").to_pylist(), left.column("tokens"), strict=True)}
+    out = []
+    for a, b in zip(right.column("a").to_pylist(), right.column("b").to_pylist(), strict=True):
+        x, y = sets[a], sets[b]
+        at = np.searchsorted(x, y)
+        at[at == len(x)] = 0
+        both = int((x[at] == y).sum())
+        if 100 * both >= how.percent * (len(x) + len(y) - both):
+            out.append((a, b))
+    return pa.table({"a": pa.array([p[0] for p in out], pa.int64()), "b": pa.array([p[1] for p in out], pa.int64())})
+
+
+def _possible(pairs: DataFrame, nodes: DataFrame, how: Join) -> DataFrame:
+    """The pairs that wide sketches, a thirtieth of the tokens, can't tell apart."""
+    side = lambda c: nodes.select(F.col("node").alias(c), F.col("n").alias(f"n_{c}"), F.col("wide").alias(f"w_{c}"))
+    both = pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "n_a", "n_b", "w_a", "w_b")
+
+    def run(batches):
+        for batch in batches:
+            a, b, n, m, x, y = batch.columns
+            apart = np.array([_apart(p, q) for p, q in zip(x.to_pylist(), y.to_pylist(), strict=True)], np.int64)
+            ok = pa.array(apart * (100 + how.percent) <= (n.to_numpy() + m.to_numpy()) * (100 - how.percent))
+            yield pa.RecordBatch.from_arrays([a.filter(ok), b.filter(ok)], ["a", "b"])
+
+    return both.mapInArrow(run, "a long, b long")
+
+
+def _dealt(pairs: DataFrame, nodes: DataFrame, how: Join) -> DataFrame:
+    """pairs with the task that compares them. Pairs that hang together share a task, so that a set of tokens travels
+    once; groups of more than task_bytes are dealt in blocks by blocks of their sets."""
+    group = components(pairs).join(nodes.select("node", F.expr("8 * n").alias("bytes")), "node")
+    size = group.groupBy("root").agg(F.sum("bytes").alias("bytes"))
+    tasks = 1 + (size.agg(F.sum("bytes")).first()[0] or 0) // how.task_bytes
+    size = size.select("root", F.expr(f"1 + bytes div {how.task_bytes}").alias("blocks"))
+    place = group.join(size, "root").select("node", "root", "blocks", F.expr("pmod(xxhash64(node), blocks)").alias("block"))
+    side = lambda c: place.select(F.col("node").alias(c), *[F.col(x).alias(f"{x}_{c}") for x in ("root", "blocks", "block")])
+    both = pairs.join(side("a"), "a").join(side("b").select("b", "block_b"), "b")
+    block = F.xxhash64("root_a", F.least("block_a", "block_b"), F.greatest("block_a", "block_b"))
+    return both.select("a", "b", F.when(F.col("blocks_a") > 1, block).otherwise(F.pmod(F.xxhash64("root_a"), F.lit(tasks))).alias("task"))
 
 
 def verify(pairs: DataFrame, nodes: DataFrame, docs: DataFrame, how: Join) -> DataFrame:
     """The pairs a, b whose sets are alike."""
-    pairs = cut(pairs, how.batch_rows)
-    wanted = cut(pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct().join(nodes.select("node", "at"), "node"))
-    sets = cut(_sets(docs, wanted, how), how.batch_rows)
-    for side in ("a", "b"):
-        pairs = pairs.join(sets.select(F.col("node").alias(side), F.col("tokens").alias(f"t{side}")), side)
-    return pairs.select("a", "b", "ta", "tb").mapInArrow(lambda it: _like(it, how), "a long, b long")
+    pairs = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    pairs = cut(_possible(pairs, nodes, how), how.batch_rows)
+    dealt = cut(_dealt(pairs, nodes, how))
+    wanted = dealt.select("task", F.explode(F.array("a", "b")).alias("node")).distinct().join(nodes.select("node", "mark"), "node")
+    wanted = cut(wanted.select("mark", F.col("node").alias("want"), "task"))
+    ids = F.broadcast(wanted) if wanted.count() <= how.broadcast_ids else wanted  # else the texts are dealt by mark
+
+    def run(batches):
+        told: set[tuple[int, int]] = set()
+        for batch in batches:
+            for part in wh.pieces(batch, "text", 2 << 20):
+                rows = []
+                for task, want, s in zip(part.column("task").to_pylist(), part.column("want").to_pylist(), shingle_sets(part.column("text"), how.words), strict=True):
+                    if (task, want) not in told and _digest(s) == want:
+                        told.add((task, want))
+                        rows.append((task, want, s.tobytes()))
+                if len(told) > 1_000_000:
+                    told.clear()
+                yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.int64()), pa.array([r[2] for r in rows], pa.binary())], ["task", "node", "tokens"])
+
+    tokens = _texts(docs).join(ids, "mark").select("text", "want", "task").mapInArrow(run, "task long, node long, tokens binary")
+    alike = tokens.groupBy("task").cogroup(dealt.groupBy("task")).applyInArrow(lambda key, x, y: _like(key, x, y, how), "a long, b long")
+    alike = cut(alike, how.batch_rows)
+    release(pairs, dealt, wanted)
+    return alike
 
 
 def classes(docs: DataFrame, how: Join = Join()) -> DataFrame:
@@ -361,8 +469,8 @@ def classes(docs: DataFrame, how: Join = Join()) -> DataFrame:
     copies of each other. An empty table gives no rows.
     """
     docs = docs.select("doc_id", "text")
-    rows = cut(prepare(docs, how), how.batch_rows)
-    return _label(docs, rows, how)
+    surveyed = cut(survey(docs, how), how.batch_rows)
+    return _label(docs, surveyed, how)
 
 
 def _star(part: DataFrame) -> DataFrame:
@@ -374,7 +482,7 @@ def _placed(lists: DataFrame, part: DataFrame | None) -> DataFrame:
     if part is None:
         return lists.select("key", "node", "members", F.col("node").alias("root"), F.lit(False).alias("home"))
     own = lists.join(part, "node", "left").select("key", "node", "members", F.coalesce("root", "node").alias("root"))
-    home = own.groupBy("key", "root").agg(F.count("*").alias("c"), F.min("node").alias("least")).groupBy("key").agg(F.max_by("root", F.struct("c", "root")).alias("home"), F.min("least").alias("least"), F.count("*").alias("parts")).where("parts > 1")
+    home = own.groupBy("key", "root").agg(F.count("*").alias("c"), F.min("node").alias("least")).groupBy("key").agg(F.max_by("root", F.struct("c", "root")).alias("home"), F.min("least").alias("least"), F.sum("c").alias("rows"), F.count("*").alias("parts")).where("parts > 1")
     return own.join(home, "key").select("key", "node", "members", "root", "least", (F.col("root") == F.col("home")).alias("home"))
 
 
@@ -383,7 +491,8 @@ _COLUMNS = ("list", "node", "n", "root", "home", "is_left", "is_right", "sketch"
 
 def _scan(rows: DataFrame, nodes: DataFrame, order: list, by: str = "list") -> DataFrame:
     full = rows.join(nodes.select("node", "n", "sketch"), "node")
-    return full.repartition(by).sortWithinPartitions(*dict.fromkeys((by, "list")), *order).select(*_COLUMNS)
+    tasks = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))  # named, so that few bytes don't end in few tasks: comparing takes time
+    return full.repartition(tasks, by).sortWithinPartitions(*dict.fromkeys((by, "list")), *order).select(*_COLUMNS)
 
 
 def _few_pairs(lists: DataFrame, nodes: DataFrame, part: DataFrame | None, how: Join, turn: int) -> DataFrame:
@@ -396,30 +505,32 @@ def _few_pairs(lists: DataFrame, nodes: DataFrame, part: DataFrame | None, how:
 
 def _open_pairs(lists: DataFrame, nodes: DataFrame, part: DataFrame, how: Join) -> DataFrame:
     """Pairs of one list in different components that their sketches allow. Lists longer than list_run are cut into blocks, and every block of left rows meets every block of right ones."""
-    placed = _placed(lists, part).withColumn("blocks", F.expr(f"1 + members div {how.list_run}")).withColumn("own", F.expr("pmod(xxhash64(node), blocks)"))
-    # lists with the same least node, at most as many as it has keys, go to one task, where pairs that several hold are one
-    alone = placed.where("blocks = 1").select(F.xxhash64("key").alias("list"), F.col("least").alias("anchor"), "node", "root", "home", (~F.col("home")).alias("is_left"), F.lit(True).alias("is_right"))
+    placed = _placed(lists, part)
+    # lists with the same least node, at most as many as it has keys, go to one task, where pairs that several hold are one; more rows than that to several
+    spread = placed.groupBy("least").agg(F.expr(f"1 + count(*) div {how.anchor_rows}").alias("parts"))
+    placed = placed.join(spread, "least").withColumn("anchor", F.xxhash64("least", F.expr("pmod(xxhash64(key), parts)"))).withColumn("blocks", F.expr(f"1 + members div {how.list_run}")).withColumn("own", F.expr("pmod(xxhash64(node), blocks)"))
+    alone = placed.where("blocks = 1").select(F.xxhash64("key").alias("list"), "anchor", "node", "root", "home", (~F.col("home")).alias("is_left"), F.lit(True).alias("is_right"))
     long = placed.where("blocks > 1").select("*", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("other"))
     left = long.where("NOT home").select(F.xxhash64("key", "own", "other").alias("list"), F.xxhash64("key", "own", "other").alias("anchor"), "node", "root", "home", F.lit(True).alias("is_left"), F.lit(False).alias("is_right"))
     right = long.select(F.xxhash64("key", "other", "own").alias("list"), F.xxhash64("key", "other", "own").alias("anchor"), "node", "root", "home", F.lit(False).alias("is_left"), F.lit(True).alias("is_right"))
     return _scan(alone.union(left).union(right), nodes, ["node"], "anchor").mapInArrow(lambda it: _all(it, how), "a long, b long").distinct()
 
 
-def _label(docs: DataFrame, rows: DataFrame, how: Join) -> DataFrame:
-    nodes = rows.where("node is not null").groupBy("node").agg(F.min(F.struct("at", "n", "keys", "sketch")).alias("r")).select("node", "r.*")
-    nodes = cut(nodes)
-    filed = nodes.select("node", F.explode("keys").alias("key")).repartition("key")  # one exchange for the counts and the join
-    shared = filed.groupBy("key").agg(F.count("*").alias("members")).where("members > 1")
-    lists = cut(filed.join(shared, "key"))
+def _label(docs: DataFrame, surveyed: DataFrame, how: Join) -> DataFrame:
+    rows = surveyed.where("at is not null").select("at", "mark", "n", "node", "sketch", "wide")
+    nodes = cut(rows.where("node is not null").groupBy("node").agg(F.min(F.struct("at", "mark", "n", "sketch", "wide")).alias("r")).select("node", "r.*"))
+    lists = cut(shared_lists(filed(docs, habits(surveyed, how), how)), how.batch_rows)
 
     part = None
     for turn in range(2):
         near = _few_pairs(lists, nodes, part, how, turn)
         best = near.groupBy("a").agg(F.slice(F.array_sort(F.collect_set(F.struct("apart", "b"))), 1, 3).alias("best"))  # of at most three a key
         links = verify(best.select("a", F.explode("best.b").alias("b")), nodes, docs, how)
-        part = cut(components(links if part is None else _star(part).union(links)))
-    links = _star(part).union(verify(_open_pairs(lists, nodes, part, how), nodes, docs, how))
-    whole = components(links)
+        before, part = part, cut(components(links if part is None else _star(part).union(links)))
+        release(links, *[before] * (before is not None))
+    links = verify(_open_pairs(lists, nodes, part, how), nodes, docs, how)
+    whole = cut(components(_star(part).union(links)))
+    release(links, part, lists)
 
     known = nodes.select("node", "at").join(whole, "node", "left").withColumn("root", F.coalesce("root", "node"))
     label = known.join(known.groupBy("root").agg(F.min("at").alias("component")), "root").select("node", "component")
@@ -430,9 +541,15 @@ def _label(docs: DataFrame, rows: DataFrame, how: Join) -> DataFrame:
 
 def keep_one(docs: DataFrame, how: Join = Join()) -> DataFrame:
     """One row of each group of linked documents: that of the smallest doc_id. Columns of docs; rows without doc_id or shingles stay."""
-    found = classes(docs, how)
-    fate = found.where("doc_id is not null").groupBy("doc_id").agg(F.max(F.col("component_id") < F.col("doc_id")).alias("gone"), (F.count("*") > 1).alias("again"))
-    fate = fate.where("gone or again").withColumnRenamed("doc_id", "f_id")
-    joined = docs.select(F.struct("*").alias("doc"), F.col("doc_id").cast("long").alias("r_id"), F.xxhash64("text").alias("r_text")).join(fate, F.col("r_id") == F.col("f_id"), "left").where("not coalesce(gone, false)")
-    once = joined.where("not coalesce(again, false)").select("doc.*")
-    return once.union(joined.where("again").dropDuplicates(["r_id", "r_text"]).select("doc.*"))
+    found = classes(docs, how).where("doc_id is not null")
+    fate = found.groupBy(F.col("doc_id").alias("f_id")).agg(F.max(F.col("component_id") < F.col("doc_id")).alias("gone"), (F.count("*") > 1).alias("again"))
+    fate = cut(fate.where("gone or again").withColumn("gone", F.coalesce("gone", F.lit(False))))
+    lost, again = fate.agg(F.count_if("gone"), F.count_if(F.expr("again AND NOT gone"))).first()
+    small = lambda df, n: F.broadcast(df) if n <= how.broadcast_ids else df
+    rows = docs.select(F.struct("*").alias("doc"), F.col("doc_id").cast("long").alias("f_id"))
+    rows = rows.join(small(fate.where("gone").select("f_id"), lost), "f_id", "left_anti")
+    if not again:  # as a rule ids are unique
+        return rows.select("doc.*")
+    twice = small(fate.where("again AND NOT gone").select("f_id"), again)
+    once = rows.join(twice, "f_id", "left_anti").select("doc")
+    return once.union(rows.join(twice, "f_id", "left_semi").withColumn("r_text", F.xxhash64("doc.text")).dropDuplicates(["f_id", "r_text"]).select("doc")).select("doc.*")
