@@ -114,8 +114,9 @@ def takes(docs: DataFrame, *, weights: tuple[float, ...] = (1, 2, 3), share: flo
     before = Window.partitionBy("sid", "shard").orderBy("order", "doc_id", "row").rowsBetween(Window.unboundedPreceding, -1)
     spans = laid.withColumn("start", F.coalesce(F.sum("size").over(before), F.lit(0))).withColumn("end", F.col("start") + F.col("size"))
     parts = spans.select("sid", "shard", "doc_id", "row", "start", "end", F.explode(F.expr(f"sequence(start div {block_words}, (end - 1) div {block_words})")).alias("block"))
+    # shares is a small file, but its blocks grow with the input: no broadcast of what it is spread to
     overlap = F.least("end", (F.col("block") + 1) * block_words) - F.greatest("start", F.col("block") * block_words)
-    extra = parts.join(picked, ["sid", "shard", "block"]).groupBy("doc_id", "row", "start", "sid", "shard").agg(F.sum(overlap).alias("extra_words"))
+    extra = parts.join(picked.hint("merge"), ["sid", "shard", "block"]).groupBy("doc_id", "row", "start", "sid", "shard").agg(F.sum(overlap).alias("extra_words"))
     mine = spans.select("doc_id", "row", "sid", "shard", "start", "size")
     taken = (
         mine.join(shares.select("sid", "shard", "full"), ["sid", "shard"])
