@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
@@ -39,12 +39,25 @@ def rule_scan(samples: DataFrame, rules: DataFrame, name: str = "rules") -> Data
     return samples.join(best, "sample_id", "left").select("sample_id", F.lit(name).alias("model"), hit.alias("verdict"), F.col("b.word").alias("word"))
 
 
-def structure_scan(samples: DataFrame, *, share: int = 20) -> DataFrame:
-    """Predictions of the second analyser: its rules are on form, not words. Symbols in thousandths of characters, or brackets that don't pair."""
+def form(share: int = 20) -> Column:
+    """What the second analyser looks at: 1 for symbols from so many thousandths of the characters on, 2 for brackets that don't pair, 3 for both."""
     symbols = F.length(F.regexp_replace("code", f"[^{SYMBOLS}]", ""))
     opened, closed = F.length(F.regexp_replace("code", r"[^(\[{]", "")), F.length(F.regexp_replace("code", r"[^)\]}]", ""))
-    flag = (F.lit(1000) * symbols >= F.lit(share) * F.greatest(F.length("code"), F.lit(1))) | (opened != closed)
-    return samples.select("sample_id", F.lit("structure").alias("model"), F.when(flag, F.col("cwe")).otherwise("benign").alias("verdict"))
+    many = F.lit(1000) * symbols >= F.lit(share) * F.greatest(F.length("code"), F.lit(1))
+    return F.when(many, 1).otherwise(0) + F.when(opened != closed, 2).otherwise(0)
+
+
+def learn_structure(train: DataFrame, *, share: int = 20) -> DataFrame:
+    """form, rule_cls: the class that vulnerable training rows of each form have most (then the least). Three rows at most."""
+    rows = train.where("is_vuln").select(form(share).alias("form"), "cls").where("form > 0")
+    return rows.groupBy("form", "cls").agg(F.count("*").alias("c")).groupBy("form").agg(F.min(F.struct((-F.col("c")).alias("c"), "cls")).alias("m")).select("form", F.col("m.cls").alias("rule_cls"))
+
+
+def structure_scan(samples: DataFrame, learned: DataFrame, *, share: int = 20) -> DataFrame:
+    """Predictions of the second analyser: its rules are on form, not words, and name the class learned for the form; benign for others."""
+    found = samples.select("sample_id", form(share).alias("form")).join(F.broadcast(learned), "form", "left")
+    hit = F.when(F.col("rule_cls").isNull(), "benign").otherwise(F.concat(F.lit("CWE-"), F.col("rule_cls").cast("string")))
+    return found.select("sample_id", F.lit("structure").alias("model"), hit.alias("verdict"))
 
 
 def guard_scan(samples: DataFrame, rules: DataFrame) -> DataFrame:
@@ -92,7 +105,7 @@ def bounded_flow(edges: DataFrame, sources: DataFrame, sinks: DataFrame, max_fn:
 
 
 def fit_student(train: DataFrame, *, features: int = 1 << 14, with_chain: bool = False, kind: str = "bayes"):
-    """A small stand-in student on hashed tokens: naive Bayes or logistic regression on the samples' code (and chain)."""
+    """A small stand-in student on hashed tokens: naive Bayes or logistic regression on the samples' code (and chain). It learns benign and every class."""
     from pyspark.ml import Pipeline
     from pyspark.ml.classification import LogisticRegression, NaiveBayes
     from pyspark.ml.feature import HashingTF
@@ -104,9 +117,11 @@ def fit_student(train: DataFrame, *, features: int = 1 << 14, with_chain: bool =
 
 def student_input(samples: DataFrame, with_chain: bool = False) -> DataFrame:
     text = F.concat_ws(" ", "code", "chain") if with_chain else F.col("code")
-    return samples.select("sample_id", "cwe", F.col("is_vuln").cast("double").alias("y"), tokens(text).alias("tokens"))
+    return samples.select("sample_id", F.when(F.col("is_vuln"), F.col("cls") + 1).when(~F.col("is_vuln"), 0).cast("double").alias("y"), tokens(text).alias("tokens"))
 
 
 def student_predict(model, samples: DataFrame, name: str = "student") -> DataFrame:
-    out = model.transform(student_input(samples))
-    return out.select("sample_id", F.lit(name).alias("model"), F.when(F.col("prediction") == 1, F.col("cwe")).otherwise("benign").alias("verdict"))
+    """Verdicts from the text alone; the class is the predicted one."""
+    out = model.transform(student_input(samples).drop("y"))
+    named = F.concat(F.lit("CWE-"), (F.col("prediction").cast("int") - 1).cast("string"))
+    return out.select("sample_id", F.lit(name).alias("model"), F.when(F.col("prediction") > 0, named).otherwise("benign").alias("verdict"))

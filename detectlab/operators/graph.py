@@ -113,11 +113,11 @@ def sample_paths(edges: DataFrame, levels: DataFrame, targets: DataFrame, k: int
     return done.select("entry", "target", "n", "path")
 
 
-def simple_paths(edges: DataFrame, entries: DataFrame, targets: DataFrame, max_depth: int = 8) -> DataFrame:
-    """entry, target, path: all paths without a repeated node, for small cyclic graphs; the depth is capped."""
+def simple_paths(edges: DataFrame, entries: DataFrame, targets: DataFrame, max_depth: int | None = None) -> DataFrame:
+    """entry, target, path: all paths without a repeated node, for small cyclic graphs; of max_depth edges at most if that is asked for."""
     at = entries.select("entry", F.col("entry").alias("node"), F.array("entry").alias("path"))
     out = None
-    for _ in range(max_depth):
+    for _ in range(max_depth) if max_depth else count():
         at = cut(at.join(edges, F.col("node") == F.col("src")).where(~F.array_contains("path", F.col("dst"))).select("entry", F.col("dst").alias("node"), F.concat("path", F.array("dst")).alias("path")))
         hit = at.join(targets, "node", "left_semi")
         out = hit if out is None else out.union(hit)

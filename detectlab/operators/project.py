@@ -32,9 +32,9 @@ def initial_context(paths: DataFrame, bodies: DataFrame, budget: int) -> DataFra
     """entry, target, functions, chars, context: bodies of all nodes on the pair's paths, each once, nearest the target first, while they fit the budget in characters."""
     nodes = paths.select("entry", "target", F.posexplode("path").alias("i", "node"), F.size("path").alias("m"))
     nodes = nodes.groupBy("entry", "target", "node").agg(F.min(F.col("m") - F.col("i")).alias("far"))
-    rows = nodes.join(bodies, "node")
+    rows = nodes.join(bodies.select("node", F.length("code").alias("size")), "node")
     w = Window.partitionBy("entry", "target").orderBy("far", "node").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    rows = rows.withColumn("upto", F.sum(F.length("code")).over(w)).where(F.col("upto") <= budget)
+    rows = rows.withColumn("upto", F.sum("size").over(w)).where(F.col("upto") <= budget).join(bodies, "node")  # texts of what fits alone
     x = F.array_sort(F.collect_list(F.struct("far", "node", "code")))
     return rows.groupBy("entry", "target").agg(F.count("*").alias("functions"), F.max("upto").alias("chars"), x.alias("x")).withColumn("context", F.array_join(F.transform("x", lambda r: r.code), "\n")).drop("x")
 

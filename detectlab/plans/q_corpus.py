@@ -119,7 +119,7 @@ def infer_class(spark, sf):
 
 _SNIP = f"""WITH {patch_sql()},
 body AS (SELECT 'p' || p_partkey AS fn_id, text AS code FROM part JOIN documents ON doc_id = p_partkey % (SELECT count(*) FROM documents)),
-trace AS (SELECT DISTINCT o_orderkey AS sample_id, 'p' || l_partkey AS fn_id FROM orders JOIN lineitem ON l_suppkey = o_custkey % 90 + 1 WHERE o_orderkey % 200 = 0 AND o_orderpriority = '1-URGENT' AND l_orderkey % 97 = 0),
+trace AS (SELECT DISTINCT o_orderkey AS sample_id, 'p' || l_partkey AS fn_id FROM orders JOIN lineitem ON l_suppkey = o_custkey % 90 + 1 WHERE o_orderpriority = '1-URGENT'),
 fns AS (SELECT coalesce(t.sample_id, p.vuln_id) AS sample_id, coalesce(t.fn_id, p.fn_id) AS fn_id, CASE WHEN p.fn_id IS NOT NULL THEN 'target' ELSE 'context' END AS kind
   FROM trace t FULL JOIN patch p ON t.sample_id = p.vuln_id AND t.fn_id = p.fn_id)
 SELECT sample_id, sha256(string_agg('// ' || kind || ' ' || fn_id || chr(10) || code, chr(10) ORDER BY fn_id)) AS snippet_sha256, list(fn_id || ':' || kind ORDER BY fn_id) AS marks FROM fns JOIN body USING (fn_id) GROUP BY sample_id"""

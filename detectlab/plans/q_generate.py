@@ -51,7 +51,7 @@ def prompts(spark, sf):
 _NN = f"t AS (SELECT sample_id, lang, cls, n_tokens, is_vuln, split FROM sample WHERE is_vuln IS NOT NULL)"
 
 
-@R.query(f"{S}, {_NN} SELECT q.sample_id, list(b.sample_id ORDER BY abs(b.n_tokens - q.n_tokens), b.sample_id)[1:3] AS shots FROM t q JOIN t b ON b.lang = q.lang AND b.n_tokens // 100 = q.n_tokens // 100 AND b.split = 'train' AND b.sample_id <> q.sample_id WHERE q.split = 'test' GROUP BY q.sample_id")
+@R.query(f"{S}, {_NN} SELECT q.sample_id, coalesce(list(b.sample_id ORDER BY abs(b.n_tokens - q.n_tokens), b.sample_id) FILTER (b.sample_id IS NOT NULL), [])[1:3] AS shots FROM t q LEFT JOIN t b ON b.lang = q.lang AND b.split = 'train' WHERE q.split = 'test' GROUP BY q.sample_id")
 def few_shots(spark, sf):
     """The nearest labelled training examples in size, of the same language; none where the language is held out from training."""
     s = base(spark, sf)

@@ -22,8 +22,14 @@ def targets(spark, sf):
     return functions(spark, sf).select(F.col("fn_id").alias("node"))
 
 
-def levels(spark, sf):
-    return G.level_counts(call_edges(spark, sf), entries(spark, sf))
+def levels(spark, sf, edges=None):
+    return G.level_counts(cut(call_edges(spark, sf)) if edges is None else edges, entries(spark, sf))
+
+
+def sampled(spark, sf, **how):
+    """Paths over one written copy of the edges, which every level reads."""
+    e = cut(call_edges(spark, sf))
+    return G.sample_paths(e, levels(spark, sf, e), targets(spark, sf), **how)
 
 
 @R.query(f"WITH {EDGE_SQL} SELECT * FROM edge", name="call_edges")
@@ -48,13 +54,13 @@ def signature_groups(spark, sf):
 
 @R.query(f"WITH RECURSIVE {EDGE_SQL}, r(node, depth) AS (SELECT 'r' || r_regionkey, 0 FROM region UNION SELECT dst, depth + 1 FROM r JOIN edge ON src = node WHERE depth < 10) SELECT node, min(depth)::INT AS depth FROM r GROUP BY node")
 def reachable(spark, sf):
-    return G.reachable(call_edges(spark, sf), entries(spark, sf))
+    return G.reachable(cut(call_edges(spark, sf)), entries(spark, sf))
 
 
-_CYC = """e AS (SELECT DISTINCT 's' || l_suppkey AS src, 'p' || l_partkey AS dst FROM lineitem WHERE l_orderkey % 5 = 0), edge AS (SELECT src, dst FROM e UNION ALL SELECT dst, src FROM e)"""
+_CYC = """e AS (SELECT DISTINCT 's' || l_suppkey AS src, 'p' || l_partkey AS dst FROM lineitem), edge AS (SELECT src, dst FROM e UNION ALL SELECT dst, src FROM e)"""
 
 
-@R.query(f"WITH RECURSIVE {_CYC}, r(node, depth) AS (SELECT 's1', 0 UNION SELECT dst, depth + 1 FROM r JOIN edge ON src = node WHERE depth < 8) SELECT node, min(depth)::INT AS depth FROM r GROUP BY node")
+@R.query(f"WITH RECURSIVE {_CYC}, r(node, depth) AS (SELECT 's1', 0 UNION SELECT dst, depth + 1 FROM r JOIN edge ON src = node WHERE depth < 20) SELECT node, min(depth)::INT AS depth FROM r GROUP BY node")
 def reachable_cyclic(spark, sf):
     """A graph with cycles: suppliers and parts both ways."""
     e = load(spark, sf, "lineitem").select(F.concat(F.lit("s"), F.col("l_suppkey").cast("string")).alias("src"), F.concat(F.lit("p"), F.col("l_partkey").cast("string")).alias("dst")).distinct()
@@ -76,17 +82,18 @@ picked AS (SELECT entry, target, i::INT AS n, path FROM asked JOIN ranked USING
 
 @R.query(f"WITH RECURSIVE {PATHS}, {_paths_sql(3)} SELECT * FROM picked")
 def sample_paths(spark, sf):
-    return G.sample_paths(call_edges(spark, sf), levels(spark, sf), targets(spark, sf))
+    return sampled(spark, sf)
 
 
 @R.query(f"WITH RECURSIVE {PATHS}, {_paths_sql(3, 'shortest')} SELECT * FROM picked")
 def sample_paths_shortest(spark, sf):
-    return G.sample_paths(call_edges(spark, sf), levels(spark, sf), targets(spark, sf), mode="shortest")
+    return sampled(spark, sf, mode="shortest")
 
 
 @R.query("WITH RECURSIVE " + PATHS + ", n AS (SELECT entry, target, count(*) AS n FROM hit GROUP BY ALL) SELECT k::INT AS k, sum(least(n, k))::BIGINT AS paths, count(*) FILTER (n < k) AS short_pairs FROM n, (VALUES (1), (3), (5)) z(k) GROUP BY k")
 def path_sweep(spark, sf):
-    e, lv, t = cut(call_edges(spark, sf)), cut(levels(spark, sf)), targets(spark, sf)
+    e, t = cut(call_edges(spark, sf)), targets(spark, sf)
+    lv = cut(levels(spark, sf, e))
     out = None
     for k in (1, 3, 5):
         per = G.sample_paths(e, lv, t, k).groupBy("entry", "target").agg(F.countDistinct("path").alias("n"))
@@ -102,7 +109,7 @@ _BODY = "body AS (SELECT node, text AS code FROM (SELECT DISTINCT unnest(path) A
 u AS (SELECT *, sum(length(code)) OVER (PARTITION BY entry, target ORDER BY far, node) AS upto FROM x JOIN body USING (node))
 SELECT entry, target, count(*) AS functions, max(upto)::BIGINT AS chars, md5(string_agg(code, chr(10) ORDER BY far, node)) AS context_md5 FROM u WHERE upto <= 20000 GROUP BY ALL""")
 def initial_context(spark, sf):
-    paths = cut(G.sample_paths(call_edges(spark, sf), levels(spark, sf), targets(spark, sf)))
+    paths = cut(sampled(spark, sf))
     docs = load(spark, sf, "documents")
     n = docs.count()
     nodes = paths.select(F.explode("path").alias("node")).distinct().withColumn("doc_id", F.substring("node", 2, 18).cast("long") % n)
@@ -110,7 +117,7 @@ def initial_context(spark, sf):
     return P.initial_context(paths, code, 20_000).select("entry", "target", "functions", "chars", F.md5("context").alias("context_md5"))
 
 
-@R.query("SELECT 'p' || k AS name, p_partkey IS NOT NULL AS found, md5(text) AS code_md5 FROM (SELECT DISTINCT l_orderkey % 2300 AS k FROM lineitem WHERE l_orderkey % 50 = 0) LEFT JOIN part ON p_partkey = k LEFT JOIN documents ON doc_id = p_partkey % (SELECT count(*) FROM documents)")
+@R.query("SELECT 'p' || k AS name, p_partkey IS NOT NULL AS found, md5(text) AS code_md5 FROM (SELECT DISTINCT l_orderkey % 2300 AS k FROM lineitem) LEFT JOIN part ON p_partkey = k LEFT JOIN documents ON doc_id = p_partkey % (SELECT count(*) FROM documents)")
 def lookup_tool(spark, sf):
     reqs = load(spark, sf, "lineitem").select(F.concat(F.lit("p"), (F.col("l_orderkey") % 2300).cast("string")).alias("name")).distinct()
     return P.lookup(reqs, bodies(spark, sf)).select("name", "found", F.md5("code").alias("code_md5"))
@@ -214,7 +221,7 @@ def unknown_findings(spark, sf):
     return P.unknown_findings(flags(spark, sf), fix_patches(spark, sf))
 
 
-@R.query("SELECT count(*) AS leaked FROM documents WHERE doc_id % 10 < 5 AND source IN ('src18', 'src19') AND doc_id IN (SELECT doc_id FROM labels WHERE doc_id % 10 >= 8)")
+@R.query(f"WITH {SAMPLE_SQL} SELECT count(*) AS leaked FROM sample JOIN documents ON doc_id = sample_id WHERE split = 'train' AND source IN (SELECT source FROM documents WHERE substr(source, 4)::INT IN {OOD_CLASSES})")
 def project_leak(spark, sf):
     """Training rows that belong to test projects, the sources of held-out classes: must be none."""
     from detectlab.sources.tables import samples

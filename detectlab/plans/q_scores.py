@@ -285,7 +285,7 @@ def bootstrap_f1(spark, sf):
 _RULES = f"""tr AS (SELECT DISTINCT sample_id, is_vuln, cls, unnest({TOKENS_SQL.format('code')}) AS word FROM sample WHERE split = 'train' AND is_vuln IS NOT NULL),
 rp AS (SELECT word, count(*) FILTER (is_vuln) AS support FROM tr GROUP BY word HAVING count(*) FILTER (NOT is_vuln) = 0),
 rc AS (SELECT word, cls AS rule_cls FROM (SELECT word, cls, count(*) AS c FROM tr WHERE is_vuln GROUP BY ALL) QUALIFY row_number() OVER (PARTITION BY word ORDER BY c DESC, cls) = 1),
-rules AS (SELECT word, support, rule_cls FROM rp JOIN rc USING (word) WHERE support >= {{}} ORDER BY support DESC, word LIMIT 500),
+rules AS (SELECT word, support, rule_cls FROM rp JOIN rc USING (word) WHERE support >= {{}}),
 te AS (SELECT DISTINCT sample_id, unnest({TOKENS_SQL.format('code')}) AS word FROM sample WHERE split = 'test' AND is_vuln IS NOT NULL),
 hit AS (SELECT sample_id, rule_cls, word FROM te JOIN rules USING (word) QUALIFY row_number() OVER (PARTITION BY sample_id ORDER BY support DESC, word) = 1)"""
 _SCAN = "SELECT s.sample_id, CASE WHEN h.sample_id IS NULL THEN 'benign' ELSE 'CWE-' || rule_cls END AS verdict, h.word FROM sample s LEFT JOIN hit h USING (sample_id) WHERE split = 'test' AND is_vuln IS NOT NULL"
@@ -304,12 +304,16 @@ def _scan_query(name, support):
 _scan_query("rule_scan", 3)
 _scan_query("rule_scan_ext", 2)
 
-_STRUCT = r"1000 * length(regexp_replace(code, '[^!#$%&*]', '', 'g')) >= 20 * greatest(length(code), 1) OR length(regexp_replace(code, '[^(\[{]', '', 'g')) <> length(regexp_replace(code, '[^)\]}]', '', 'g'))"
+_STRUCT = r"1000 * length(regexp_replace(code, '[^!#$%&*]', '', 'g')) >= 20 * greatest(length(code), 1)", r"length(regexp_replace(code, '[^(\[{]', '', 'g')) <> length(regexp_replace(code, '[^)\]}]', '', 'g'))"
 
 
-@R.query(f"{S} SELECT sample_id, CASE WHEN {_STRUCT} THEN cwe ELSE 'benign' END AS verdict FROM sample WHERE split = 'test' AND is_vuln IS NOT NULL")
+@R.query(f"""{S}, st AS (SELECT sample_id, cls, is_vuln, split, CASE WHEN {_STRUCT[0]} THEN 1 ELSE 0 END + CASE WHEN {_STRUCT[1]} THEN 2 ELSE 0 END AS form FROM sample WHERE is_vuln IS NOT NULL),
+sr AS (SELECT form, cls AS rule_cls FROM (SELECT form, cls, count(*) AS c FROM st WHERE split = 'train' AND is_vuln AND form > 0 GROUP BY ALL) QUALIFY row_number() OVER (PARTITION BY form ORDER BY c DESC, cls) = 1)
+SELECT sample_id, CASE WHEN rule_cls IS NULL THEN 'benign' ELSE 'CWE-' || rule_cls END AS verdict FROM st LEFT JOIN sr USING (form) WHERE split = 'test'""")
 def rule_scan_b(spark, sf):
-    return B.structure_scan(base(spark, sf).where(TEST)).select("sample_id", "verdict")
+    """The form rules name the class that vulnerable training rows of the form have most; test classes are never read."""
+    s = base(spark, sf)
+    return B.structure_scan(s.where(TEST), B.learn_structure(s.where("split = 'train'"))).select("sample_id", "verdict")
 
 
 @R.query(f"{S}, {_RULES.format(3)} SELECT s.sample_id, h.sample_id IS NOT NULL AS flagged FROM sample s LEFT JOIN hit h USING (sample_id) WHERE split = 'test' AND is_vuln IS NOT NULL")
@@ -379,7 +383,7 @@ def w3_measured(spark, sf):
     train, test = s.where("split = 'train'"), s.where(TEST).cache()
     out = B.rule_scan(test, B.learn_rules(train, support=3), "rules").select("sample_id", "model", "verdict")
     out = out.union(B.rule_scan(test, B.learn_rules(train, support=2), "rules, extended").select("sample_id", "model", "verdict"))
-    out = out.union(B.structure_scan(test).select("sample_id", "model", "verdict"))
+    out = out.union(B.structure_scan(test, B.learn_structure(train)).select("sample_id", "model", "verdict"))
     for kind in ("bayes", "logistic"):
         out = out.union(B.student_predict(B.fit_student(train, kind=kind), test, f"student, {kind}"))
     return rate_df(out.join(test.select("sample_id", "lang", "is_vuln", "cls"), "sample_id"), ("lang",), kind="measured")

@@ -20,10 +20,13 @@ def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def cut(df: DataFrame) -> DataFrame:
-    """df written to the session's checkpoint folder; a local one only where none is set."""
+    """df written to the session's checkpoint folder. Where none is set, a local one on a local master (tests), else an error."""
     sc = df.sparkSession.sparkContext
     if not sc.getCheckpointDir():
-        sc.setCheckpointDir(sc.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="detectlab-"))
+        named = sc.getConf().get("spark.checkpoint.dir") or df.sparkSession.conf.get("spark.checkpoint.dir", None)
+        if not named and not (sc.master == "local" or sc.master.startswith("local[")):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        sc.setCheckpointDir(named or tempfile.mkdtemp(prefix="detectlab-"))
     return df.checkpoint()
 
 
@@ -137,7 +140,7 @@ def fix_patches(spark: SparkSession, sf_dir: str, *, sparse: bool = False) -> Da
     return vulns.join(lines, "vuln_id").select("project", "vuln_id", "fn_id").distinct()
 
 
-def patch_sql(sparse: bool = True) -> str:
+def patch_sql(sparse: bool = False) -> str:
     return f"""
 patch AS (
   SELECT DISTINCT r_name AS project, o_orderkey AS vuln_id, 'p' || l_partkey AS fn_id

@@ -81,3 +81,14 @@ def test_rules_past_the_500th(spark, monkeypatch, most):
     assert rules.count() == 600
     assert {r.sample_id: (r.verdict, r.word) for r in B.rule_scan(make(test), rules).collect()} == {10: ("CWE-7", text(599)), 11: ("benign", None), 12: ("CWE-7", text(3))}
     assert {r.sample_id: r.flagged for r in B.guard_scan(make(test), rules).collect()} == {10: True, 11: False, 12: True}
+
+
+def test_classes_of_test_rows_are_never_read(spark):
+    s = samples(spark, "/root/testdata/sf0.01", labelled=True)
+    train, test = s.where("split = 'train'"), s.where("split = 'test'")
+    other = test.selectExpr("*", "'CWE-99' AS x").drop("cwe", "cls").withColumnRenamed("x", "cwe").selectExpr("*", "99 AS cls")
+    learned, model = B.learn_structure(train), B.fit_student(train)
+    for scan in (lambda d: B.structure_scan(d, learned), lambda d: B.student_predict(model, d)):
+        got = {r.sample_id: r.verdict for r in scan(test).collect()}
+        assert got == {r.sample_id: r.verdict for r in scan(other).collect()} and "CWE-99" not in got.values()
+        assert len(set(got.values())) > 1
