@@ -16,6 +16,8 @@ from __future__ import annotations
 
 import hashlib
 import re
+from bisect import bisect_left
+from itertools import accumulate
 from dataclasses import dataclass
 
 import numpy as np
@@ -36,7 +38,8 @@ _PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 _DIGITS = re.compile("[0-9]+")
 _TOKEN = re.compile(r"[^\x20\x09-\x0D]+")
 _ACTIVE = re.compile(r"[0-9@]")
-_NODE = re.compile(r"[^\x20\x09-\x0D]*[0-9@][^\x20\x09-\x0D]*")
+_SPACE = re.compile(r"[\x20\x09-\x0D]")
+_BLANKS = " \t\n\r\x0b\x0c"  # the same characters
 
 
 def luhn(digits: str) -> bool:
@@ -147,6 +150,17 @@ class Graph:
     far: list[tuple[int, int]]
 
 
+def active_tokens(text: str):
+    """(start, end) of the tokens with a digit or an at sign; every character is looked at a fixed number of times."""
+    end = 0
+    while m := _ACTIVE.search(text, end):
+        at = m.start()
+        start = 1 + max(end - 1, *(text.rfind(c, end, at) for c in _BLANKS))
+        stop = _SPACE.search(text, at)
+        end = stop.start() if stop else len(text)
+        yield start, end
+
+
 def graph_of(texts: list[str | None], bases: list[list[tuple[int, int, int]]]) -> Graph:
     g = Graph([], [], [], [], [], [], [])
     for t, (text, spans) in enumerate(zip(texts, bases, strict=True)):
@@ -154,21 +168,21 @@ def graph_of(texts: list[str | None], bases: list[list[tuple[int, int, int]]]) -
             continue
         last: dict[str, int] = {}
         at, end_before = 0, -2
-        for m in _NODE.finditer(text):
-            n = len(g.text)
-            gap = text[max(0, m.start() - 24) : m.start()].rstrip(" \t\n\r\x0b\x0c")
+        for start, end in active_tokens(text):
+            n, token = len(g.text), text[start:end]
+            gap = text[max(0, start - 24) : start].rstrip(_BLANKS)
             before = (_TOKEN.findall(gap) or [""])[-1]
-            while at < len(spans) and spans[at][2] <= m.start():
+            while at < len(spans) and spans[at][2] <= start:
                 at += 1
-            label = next((k + 1 for s, k, e in spans[at : at + 8] if s < m.end() and e > m.start()), 0)
+            label = next((k + 1 for s, k, e in spans[at : at + 8] if s < end and e > start), 0)
             g.text.append(t)
-            g.span.append(m.span())
-            g.code.append(_features(m[0], before))
+            g.span.append((start, end))
+            g.code.append(_features(token, before))
             g.label.append(label)
-            if end_before >= 0 and not text[end_before : m.start()].strip(" \t\n\r\x0b\x0c"):
+            if end_before >= 0 and not text[end_before:start].strip(_BLANKS):
                 g.near.append((n - 1, n))
-            end_before = m.end()
-            key = _key(m[0])
+            end_before = end
+            key = _key(token)
             g.group.append(n)
             if len(key) >= 4:
                 if key in last:
@@ -188,7 +202,8 @@ class Field:
     default: np.ndarray
 
     def infer(self, g: Graph, rounds: int = 30, damp: float = 0.3) -> np.ndarray:
-        """Label shares of every node by loopy sum-product; labels of fixed patterns are observed."""
+        """Label shares of every node by loopy sum-product; labels of fixed patterns are observed. The messages of a
+        text stop when none of its own moves, so that its labels don't depend on the texts beside it."""
         n, k = len(g.text), len(KINDS) + 1
         own = np.array([self.own.get(c, self.default) for c in g.code]).reshape(n, k)
         seen = np.array(g.label, np.int64)
@@ -202,7 +217,8 @@ class Field:
         src, dst = np.concatenate([edges[:, 0], edges[:, 1]]), np.concatenate([edges[:, 1], edges[:, 0]])
         pot = np.concatenate([pot, pot.transpose(0, 2, 1)])
         back = np.concatenate([np.arange(len(edges)) + len(edges), np.arange(len(edges))])
-        msg = np.zeros((len(src), k))
+        msg, of = np.zeros((len(src), k)), np.array(g.text, np.int64)[src]
+        live = np.ones(len(src), bool)
         for _ in range(rounds):
             total = own.copy()
             np.add.at(total, dst, msg)
@@ -211,9 +227,11 @@ class Field:
             new = top + np.log(np.exp(out - top[:, None]).sum(1))
             new -= new.max(1, keepdims=True)
             new = damp * msg + (1 - damp) * new
-            moved = np.abs(new - msg).max()
-            msg = new
-            if moved < 1e-4:
+            moved = np.zeros(of.max() + 1)
+            np.maximum.at(moved, of, np.abs(new - msg).max(1))
+            msg = np.where(live[:, None], new, msg)
+            live &= moved[of] >= 1e-4
+            if not live.any():
                 break
         np.add.at(own, dst, msg)
         e = np.exp(own - own.max(1, keepdims=True))
@@ -296,6 +314,8 @@ def add_spans(texts: list[str | None], field: Field, sure: float = 0.9) -> tuple
     if g.text:
         share = field.infer(g)
         best = share[:, 1:].argmax(1)
+        starts = [[a for a, _, _ in b] for b in bases]
+        reach = [list(accumulate((b for _, _, b in x), max)) for x in bases]  # the furthest end so far
         for n in np.flatnonzero((share[:, 1:].max(1) >= sure) & (np.array(g.label) == 0)).tolist():
             t, (s, e) = g.text[n], g.span[n]
             text = texts[t]
@@ -303,7 +323,8 @@ def add_spans(texts: list[str | None], field: Field, sure: float = 0.9) -> tuple
                 s += 1
             while e > s and text[e - 1] in _EDGE:
                 e -= 1
-            if e > s and not any(a < e and b > s for a, _, b in bases[t]):
+            before = bisect_left(starts[t], e)
+            if e > s and not (before and reach[t][before - 1] > s):
                 full[t].append((s, int(best[n]), e))
     return bases, [sorted(x) for x in full]
 
