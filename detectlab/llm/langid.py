@@ -59,19 +59,26 @@ def count_grams(texts) -> np.ndarray:
     return np.stack([np.bincount(code[a:b], minlength=GRAMS) for a, b in zip(start, end, strict=True)]) if len(start) else np.zeros((0, GRAMS), np.int64)
 
 
-def train_svm(x: np.ndarray, y: np.ndarray, *, epochs: int = 12, ridge: float = 1e-4, seed: int = 3) -> tuple[np.ndarray, float]:
-    """Linear SVM by stochastic subgradients on hinge loss, averaged over the last half. y: -1 or 1, classes weighted alike."""
-    rnd, w, b = np.random.default_rng(seed), np.zeros(x.shape[1]), 0.0
-    weight = np.where(y > 0, 0.5 / max(1, (y > 0).sum()), 0.5 / max(1, (y < 0).sum())) * len(y)
-    sw, sb, n, t = np.zeros_like(w), 0.0, 0, 0
+Sparse = tuple[np.ndarray, np.ndarray]
+
+
+def train_svms(x: list[Sparse], y: np.ndarray, *, epochs: int = 12, ridge: float = 1e-4, seed: int = 3) -> tuple[np.ndarray, np.ndarray]:
+    """Linear SVMs, a column of y (-1 or 1) each, by stochastic subgradients on hinge loss, averaged over the last half.
+    x: (places, values) of each row. The two sides of a machine weigh alike. Weights (grams x machines) and biases."""
+    rnd, rows, machines = np.random.default_rng(seed), *y.shape
+    weight = np.where(y > 0, 0.5 / np.maximum(1, (y > 0).sum(0)), 0.5 / np.maximum(1, (y < 0).sum(0))) * rows * y
+    w, b, shrunk = np.zeros((GRAMS, machines)), np.zeros(machines), 1.0  # the weights are shrunk * w
+    sw, sb, n, t = np.zeros_like(w), np.zeros_like(b), 0, 0
     for epoch in range(epochs):
-        for i in rnd.permutation(len(y)):
+        for i in rnd.permutation(rows):
             t += 1
-            rate = 1 / (ridge * (t + 1000))
-            if y[i] * (x[i] @ w + b) < 1:
-                w += min(rate, 50.0) * ridge * 100 * weight[i] * y[i] * x[i]
-                b += 0.01 * weight[i] * y[i]
-            w *= 1 - ridge
+            at, value = x[i]
+            pull = np.where(y[i] * (shrunk * (value @ w[at]) + b) < 1, weight[i], 0.0)
+            if pull.any():
+                w[at] += np.outer(value, pull * (100 / (t + 1000) / shrunk))
+                b += 0.01 * pull
+            shrunk *= 1 - ridge
+        w, shrunk = w * shrunk, 1.0
         if epoch >= epochs // 2:
             sw, sb, n = sw + w, sb + b, n + 1
     return sw / max(1, n), sb / max(1, n)
@@ -79,11 +86,13 @@ def train_svm(x: np.ndarray, y: np.ndarray, *, epochs: int = 12, ridge: float =
 
 @dataclass
 class Model:
-    """Machines: (weights, bias) in whole numbers. family: one a family; pair: (language, other) -> machine for the first."""
+    """Machines: (weights, bias) in whole numbers. family: one a family; pair: (language, other) -> machine for the first.
+    common: the language with the most rows to learn from."""
 
     languages: dict[str, list[str]] = field(default_factory=dict)
     family: dict[str, tuple[np.ndarray, int]] = field(default_factory=dict)
     pair: dict[tuple[str, str], tuple[np.ndarray, int]] = field(default_factory=dict)
+    common: str = "und"
 
     def predict(self, texts) -> tuple[list[str], list[float]]:
         code, offsets = _grams(texts)
@@ -126,7 +135,7 @@ class Model:
             if not _has_letter(strings[d]):
                 lang[d], score[d] = "und", 0.0
             elif not used[d]:  # one or two letters: the language with the most texts learned
-                lang[d] = self.languages[names[0]][0]
+                lang[d] = self.common
         return lang.tolist(), score.tolist()
 
 
@@ -134,16 +143,17 @@ def _has_letter(text: str | None) -> bool:
     return bool(text) and (text[:64].isalpha() or any(map(str.isalpha, text)))
 
 
-def fit(docs: DataFrame, *, per_language: int = 600, languages: int = 64, seed: int = 9) -> Model:
-    """Learns from text and lang of rows that are not held out: at most per_language rows of each of
-    at most ``languages`` languages (the most frequent), picked by hash of doc_id."""
+def fit(docs: DataFrame, *, per_language: int = 600, most_rows: int = 40_000, seed: int = 9) -> Model:
+    """Learns from text and lang of rows that are not held out: at most per_language rows of each language and
+    most_rows in all (one a language at least), picked by hash of doc_id. Every language that a label names is learned."""
     rows = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id")))
     narrow = rows.select("doc_id", "lang", F.xxhash64(F.lit(seed), "doc_id").alias("order"))
-    most = [r.lang for r in narrow.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(languages).collect()]
+    most = {r.lang: k for k, r in enumerate(narrow.groupBy("lang").count().orderBy(F.desc("count"), "lang").collect())}
+    per_language = max(1, min(per_language, most_rows // max(1, len(most))))
     # one id from each of many buckets: partial aggregation, whatever share of the rows a language has
-    spread = narrow.where(F.col("lang").isin(most)).groupBy("lang", F.pmod("order", F.lit(per_language)).alias("bucket")).agg(F.min(F.struct("order", "doc_id")).alias("p"))
+    spread = narrow.groupBy("lang", F.pmod("order", F.lit(per_language)).alias("bucket")).agg(F.min(F.struct("order", "doc_id")).alias("p"))
     picked = spread.select("lang", "p.doc_id").withColumn("n", F.row_number().over(Window.partitionBy("lang").orderBy("doc_id"))).where(F.col("n") <= per_language).select("doc_id")
-    texts = rows.join(F.broadcast(picked.distinct()), "doc_id").select("doc_id", "lang", "text")  # at most per_language * languages ids
+    texts = rows.join(F.broadcast(picked.distinct()), "doc_id").select("doc_id", "lang", "text")  # at most most_rows ids, or one a language
 
     def run(batches):
         for batch in batches:
@@ -160,27 +170,29 @@ def fit(docs: DataFrame, *, per_language: int = 600, languages: int = 64, seed:
     model = Model()
     if not found:
         return model
-    x = np.zeros((len(found), GRAMS), np.float32)
-    for k, r in enumerate(found):
+    x = []
+    for r in found:
         n = len(r.grams) // 6
-        at, c = np.frombuffer(r.grams, np.uint16, n), np.frombuffer(r.grams, np.uint32, n, 2 * n).astype(np.float32)
-        x[k, at] = c / c.sum()
-    scale = 1 / max(1e-9, float(np.sqrt((x**2).sum(1)).mean()))
-    x *= scale
+        at, c = np.frombuffer(r.grams, np.uint16, n).astype(np.int64), np.frombuffer(r.grams, np.uint32, n, 2 * n).astype(float)
+        x.append((at, c / c.sum()))
+    scale = 1 / max(1e-9, float(np.mean([np.sqrt((v**2).sum()) for _, v in x])))
+    x = [(at, v * scale) for at, v in x]
     lang = np.array([r.lang for r in found], object)
-    names = sorted(set(lang.tolist()), key=lambda c: (most.index(c), c))
+    names = sorted(set(lang.tolist()), key=lambda c: (most[c], c))
+    model.common = names[0]
     for c in names:
         model.languages.setdefault(FAMILIES.get(c, f"other {c}"), []).append(c)
     fam = np.array([FAMILIES.get(c, f"other {c}") for c in lang], object)
     whole = lambda w, b: (np.round(w * scale * SCALE).astype(np.int64), int(round(b * SCALE)))
     if len(model.languages) > 1:
-        for f in model.languages:
-            model.family[f] = whole(*train_svm(x, np.where(fam == f, 1, -1)))
+        w, bias = train_svms(x, np.stack([np.where(fam == f, 1, -1) for f in model.languages], 1))
+        model.family = {f: whole(w[:, k], bias[k]) for k, f in enumerate(model.languages)}
     for langs in model.languages.values():
         for i, a in enumerate(langs):
             for b in langs[i + 1 :]:
-                own = (lang == a) | (lang == b)
-                model.pair[a, b] = whole(*train_svm(x[own], np.where(lang[own] == a, 1, -1)))
+                own = np.flatnonzero((lang == a) | (lang == b))
+                w, bias = train_svms([x[k] for k in own.tolist()], np.where(lang[own] == a, 1, -1)[:, None])
+                model.pair[a, b] = whole(w[:, 0], bias[0])
     return model
 
 
