@@ -11,6 +11,7 @@ from __future__ import annotations
 import heapq
 from fractions import Fraction
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -46,20 +47,20 @@ def sainte_lague(weights: list[float], seats: int) -> list[int]:
     All seats whose quotient is above a common divisor are given at once; only the
     last few are dealt one by one.
     """
-    total = sum(weights)
+    total, w = sum(weights), np.asarray(weights, float)
     if seats <= 0 or total <= 0:
         return [0] * len(weights)
     low, high = 0.0, 4.0 * total
     for _ in range(200):  # smallest divisor found that gives no more than all seats
         mid = (low + high) / 2
-        if sum(int(w / mid + 0.5) for w in weights) <= seats:
+        if np.floor(w / mid + 0.5).sum() <= seats:
             high = mid
         else:
             low = mid
         if high - low <= 1e-13 * high:
             break
-    out = [int(w / (high * (1 + 1e-9)) + 0.5) for w in weights]
-    queue = [(-Fraction(w) / (2 * out[i] + 1), i) for i, w in enumerate(weights) if w > 0]
+    out = np.floor(w / (high * (1 + 1e-9)) + 0.5).astype(np.int64).tolist()
+    queue = [(-Fraction(v) / (2 * out[i] + 1), i) for i, v in enumerate(weights) if v > 0]
     heapq.heapify(queue)
     for _ in range(seats - sum(out)):
         _, i = heapq.heappop(queue)
@@ -68,13 +69,14 @@ def sainte_lague(weights: list[float], seats: int) -> list[int]:
     return out
 
 
-def takes(docs: DataFrame, *, weights: tuple[float, ...] = (1, 2, 3), share: float = 1.0, most: int = 3, block_words: int = 64, shard_words: int = 1 << 18, seed: int = 17) -> DataFrame:
+def takes(docs: DataFrame, *, weights: tuple[float, ...] = (1, 2, 3), share: float = 1.0, most: int = 3, block_words: int = 64, shard_words: int = 1 << 18, most_shards: int = 1 << 18, seed: int = 17) -> DataFrame:
     """doc_id, row (hash of the row), size, source_size, target, taken. One row per input row.
 
     Sources by code point, null last, get the weights in turn. taken is the words
     the mix takes, repeats counted, at most ``most`` times the document's size.
     Null or empty text has size 0 and is never taken. Repeated rows count each. An
-    empty table gives no rows. The names of sources, one row each, go to the
+    empty table gives no rows. A source has most_shards shards at most, larger ones
+    beyond that, so that one task can hold their counts. The names of sources, one row each, go to the
     driver; documents never do.
     """
     spark = docs.sparkSession
@@ -84,7 +86,7 @@ def takes(docs: DataFrame, *, weights: tuple[float, ...] = (1, 2, 3), share: flo
     found = sorted(((r.source, r.size) for r in sized.groupBy("source").agg(F.sum("size").alias("size")).collect()), key=lambda x: (x[0] is None, x[0] or ""))
     goal = targets([n for _, n in found], [weights[k % len(weights)] for k in range(len(found))], most, share * sum(n for _, n in found))
     quota = sainte_lague(goal, round(sum(goal) / block_words))
-    shards = [max(1, -(-n // shard_words)) for _, n in found]
+    shards = [min(most_shards, max(1, -(-n // shard_words))) for _, n in found]
     names = spark.createDataFrame(
         [(k, s, n, float(g), q, m) for k, ((s, n), g, q, m) in enumerate(zip(found, goal, quota, shards, strict=True))],
         "sid int, source string, source_size long, target double, quota long, shards long",
