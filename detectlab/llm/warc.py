@@ -162,12 +162,22 @@ def _open(uri: str, mode: str):
 
 
 
-def plan_records(pages: DataFrame, min_bytes: int = 0) -> DataFrame:
-    """page_id, url, html, first (the response's page_id, or null if the page is the response itself)."""
+def plan_records(pages: DataFrame, min_bytes: int = 0, *, broadcast_rows: int = 100_000, salts: int = 64) -> DataFrame:
+    """page_id, url, html, first (the response's page_id, or null if the page is the response itself).
+
+    broadcast_rows: payloads of several pages (100 bytes each) up to which they are broadcast, so that no html is
+    shuffled. More are joined by payload and one of ``salts`` numbers of the page, as one payload may be that of many pages.
+    """
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.coalesce(F.col("html").cast("string"), F.lit("")).alias("html"))
     rows = rows.withColumn("key", F.sha2("html", 256)).withColumn("rank", F.coalesce("page_id", F.lit(_LAST)))
     least = rows.where(F.octet_length("html") >= min_bytes).groupBy("key").agg(F.min("rank").alias("least"), F.count("*").alias("n")).where("n > 1").drop("n")
-    joined = rows.join(least.withColumnRenamed("key", "k"), F.col("key") == F.col("k"), "left")
+    least = cut(least.withColumnRenamed("key", "k"))
+    if least.count() <= broadcast_rows:
+        joined = rows.join(F.broadcast(least), F.col("key") == F.col("k"), "left")
+    else:
+        least = least.withColumn("s", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
+        rows = rows.withColumn("salt", F.pmod(F.xxhash64("page_id", "url"), F.lit(salts)).cast("int"))
+        joined = rows.join(least, (F.col("key") == F.col("k")) & (F.col("salt") == F.col("s")), "left")
     return joined.select("page_id", "url", "html", F.when(F.col("rank") > F.col("least"), F.col("least")).alias("first"))
 
 
@@ -243,7 +253,8 @@ def read_archives(manifest: DataFrame, *, payloads: bool = True, on_error: str =
                 yield table(rows)
 
     kinds = {pa.int64(): "long", pa.string(): "string", pa.binary(): "binary"}
-    return manifest.select("uri").repartition("uri").mapInArrow(run, ", ".join(f"{c} {kinds[t]}" for c, t in _READ.items()))
+    tasks = max(1, min(manifest.count(), 100_000))  # named: a list of archives is few bytes, what they hold is not
+    return manifest.select("uri").repartition(tasks, "uri").mapInArrow(run, ", ".join(f"{c} {kinds[t]}" for c, t in _READ.items()))
 
 
 def archive(pages: DataFrame, *, min_bytes: int = 0) -> tuple[DataFrame, DataFrame]:
