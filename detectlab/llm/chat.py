@@ -2,13 +2,16 @@
 
 A hidden state is a role and whether the line opens a turn. A line is seen as two
 symbols, its speaker marker and its shape (length, how it ends, what it starts
-with); the model is counted on transcripts whose roles are known. Viterbi's path over a
+with). Who a marker stands for is read off the whole transcript: names that come again
+in the way most markers are written are its speakers, known names or not, and a
+known name beside the one that its role goes by is a word of the text. The model is counted on transcripts whose roles are known. Viterbi's path over a
 transcript's lines gives roles; a marker line's marker is cut off the text.
 """
 
 from __future__ import annotations
 
 import re
+from collections import Counter
 from dataclasses import dataclass
 
 import numpy as np
@@ -20,24 +23,53 @@ ROLES = ("system", "user", "assistant")
 
 #: Names of speakers, by role.
 NAMES = {"system": ("system", "sys", "instructions", "context"), "user": ("user", "human", "customer", "question", "q", "prompter", "me", "usr"), "assistant": ("assistant", "bot", "ai", "agent", "answer", "a", "model", "gpt")}
+#: Of these, such as are words of ordinary text too.
+WORDS = ("instructions", "context", "customer", "question", "q", "me", "agent", "answer", "a", "model")
 _BY_NAME = {n: k for k, r in enumerate(ROLES) for n in NAMES[r]}
 #: Ways to mark a speaker at the start of a line; {} is the name.
-MARKERS = (r"<\|(?:im_start\|>)?\s*(\w+)\s*(?:\|>)?", r"\[(?:/)?(\w+)\]:?", r"#{1,4}\s*(\w+)\s*:?(?=\s*$|\s*\n|:)", r"\*\*(\w+)\s*:?\*\*:?", r"(\w+)\s*:", r"(\w+)\s*>+")
+MARKERS = (r"<(\w+)>", r"<\|(?:im_start\|>)?\s*(\w+)\s*(?:\|>)?", r"\[(?:/)?(\w+)\]:?", r"#{1,4}\s*(\w+)\s*:?(?=\s*$|\s*\n|:)", r"\*\*(\w+)\s*:?\*\*:?", r"(\w+)\s*:", r"(\w+)\s*>+")
 _MARKER = re.compile(r"^[ \t]*(?:" + "|".join(f"(?:{m})" for m in MARKERS) + r")[ \t]*")
-N_MARKS, N_SHAPES = 5, 36
+#: Marker symbols: 0 none, role + 1, then these.
+OTHER, BESIDE, FIRST, SECOND = 4, 5, 6, 7
+N_MARKS, N_SHAPES = 8, 36
 STATES = [(r, o) for r in range(len(ROLES)) for o in (0, 1)]  # o: 0 opens a turn, 1 goes on
 
 
-def marker(line: str) -> tuple[int, int]:
-    """(0 none, role + 1, or 4 some other name; length of the marker)."""
+def marker(line: str) -> tuple[int, str, int] | None:
+    """(way it is written, name in lower case, length), or None."""
     m = _MARKER.match(line[:200])
     if not m:
-        return 0, 0
-    name = next(g for g in m.groups() if g is not None).lower()
-    role = _BY_NAME.get(name)
-    if role is None:
-        return (4, 0) if len(name) <= 12 and not line[m.end() :].startswith("//") else (0, 0)
-    return role + 1, m.end()
+        return None
+    way = next(k for k, g in enumerate(m.groups()) if g is not None)
+    name = m.groups()[way].lower()
+    if name not in _BY_NAME and (len(name) > 12 or line[m.end() :].startswith("//")):
+        return None
+    return way, name, m.end()
+
+
+def speakers(marks: list[tuple[int, str, int] | None]) -> dict[tuple[int, str], int]:
+    """Symbol of each (way, name) of a transcript. The way is that of most markers (then the first). There, of the
+    known names of a role only those as frequent as the most frequent one stand for it, if that one comes again. Where
+    user and assistant have such names, ordinary words that come once stand for nobody, but for the first marker of all.
+    Unknown names that come again are speakers where user or assistant goes by no known name: the role left, or the first and the second of them."""
+    times, ways = Counter((w, n) for w, n, _ in filter(None, marks)), Counter(w for w, _, _ in filter(None, marks))
+    if not ways:
+        return {}
+    main = ways.most_common(1)[0][0]
+    tops = [max((c for (w, n), c in times.items() if w == main and _BY_NAME.get(n) == r), default=0) for r in range(len(ROLES))]
+    out, settled = {}, min(tops[1:]) > 1
+    for k, (way, name) in enumerate(times):
+        role = _BY_NAME.get(name)
+        top = 0 if role is None else tops[role]
+        own = role is not None and (not (settled and k and name in WORDS) if top < 2 else way == main and times[way, name] == top)
+        out[way, name] = OTHER if role is None else role + 1 if own else BESIDE
+    left = [r for r in (1, 2) if not any(w == main and s == r + 1 for (w, _), s in out.items())]
+    new = [x for x, c in times.items() if x[0] == main and out[x] == OTHER and c > 1]
+    if len(left) == 1 and len(new) == 1:
+        out[new[0]] = (FIRST, SECOND)[left[0] - 1]
+    elif len(left) == 2 and len(new) > 1:
+        out[new[0]], out[new[1]] = FIRST, SECOND
+    return out
 
 
 def shape(text: str) -> int:
@@ -52,7 +84,10 @@ def observe(text: str) -> tuple[list[str], np.ndarray, np.ndarray, list[int]]:
     """Lines, their marker and shape symbols, and the lengths of the markers."""
     lines = text.split("\n")
     marks = [marker(x) for x in lines]
-    return lines, np.array([m for m, _ in marks]), np.array([shape(x[c:]) for x, (_, c) in zip(lines, marks, strict=True)]), [c for _, c in marks]
+    who = speakers(marks)
+    seen = [who[m[:2]] if m else 0 for m in marks]
+    cuts = [m[2] if m and s not in (OTHER, BESIDE) else 0 for m, s in zip(marks, seen, strict=True)]
+    return lines, np.array(seen), np.array([shape(x[c:]) for x, c in zip(lines, cuts, strict=True)]), cuts
 
 
 @dataclass
@@ -82,9 +117,17 @@ def from_counts(start, step, mark, look, prior: float = 0.1) -> Model:
     """With priors: a line can't go on in another role than the one before, and names open turns."""
     ok = np.array([[b[1] == 0 or a[0] == b[0] for b in STATES] for a in STATES])
     first = np.array([o == 0 for _, o in STATES])
-    named = np.array([[20 if m == (0 if o else r + 1) else 2 if m == (4 if o else 0) else 0.1 for m in range(N_MARKS)] for r, o in STATES])  # a turn opens with its role's name
+    own = lambda r: {r + 1, (0, FIRST, SECOND)[r]} - {0}
+    named = np.array([[20 if m in ({0} if o else own(r)) else 2 if m in ({OTHER, BESIDE} if o else {0}) else 0.1 for m in range(N_MARKS)] for r, o in STATES])  # a turn opens with its role's name
     normal = lambda x: np.log(x / x.sum(-1, keepdims=True))
-    return Model(np.log((start + prior) / (start + prior).sum()) + np.where(first, 0, -20.0), normal(np.where(ok, step + 5.0, 1e-9)), normal(mark + named), normal(look + 1.0))
+
+
+    def blend(seen: np.ndarray, common: np.ndarray, trust: float = 0.9) -> np.ndarray:
+        """Shares seen in a state, mixed with common ones, so that what no state has shown speaks for none, however few lines a state has."""
+        n, common = seen.sum(1, keepdims=True), common / common.sum(1, keepdims=True)
+        return np.log(np.where(n > 0, trust * seen / np.maximum(n, 1) + (1 - trust) * common, common))
+
+    return Model(np.log((start + prior) / (start + prior).sum()) + np.where(first, 0, -20.0), normal(np.where(ok, step + 5.0, 1e-9)), blend(mark, named), blend(look, look.sum(0, keepdims=True) + np.ones_like(look)))
 
 
 def count(texts: list[str], roles: list[list[tuple[int, int]]]) -> np.ndarray:
