@@ -8,6 +8,7 @@ from pyspark.sql.window import Window
 
 from detectlab.functions import simulate
 from detectlab.functions.tokens import held
+from detectlab.sources.tables import cut
 
 LENGTH_CUT = 32_000
 
@@ -98,7 +99,7 @@ def build_prompt(samples: DataFrame, *, system: str = "You judge code.", shots:
     """sample_id, prompt: system line, step-wise instruction, what is asked for, then the code."""
     parts = [F.lit(system), F.lit("Think step by step.")]
     if budget:
-        parts.append(F.lit(f"Think for up to {budget} tokens."))
+        parts.append(F.lit(f"Reason within {budget} tokens."))
     if policy is not None:
         parts.append(F.concat(F.lit("Choose among: "), F.array_join(policy, ", ")))
     if hint is not None:
@@ -151,6 +152,16 @@ def parse_answer(df: DataFrame, column: str = "chain") -> DataFrame:
     return df.withColumns({"said": F.when(kind != "", kind), "said_classes": classes, "said_well": well})
 
 
+def places(df: DataFrame, *order: str, name: str = "place") -> DataFrame:
+    """Adds the row's place, from 1, in the whole order. Rows are dealt in ranges of it, numbered in each, and moved by
+    the rows of the ranges before: no task holds more than its range."""
+    ranged = cut(cut(df).repartitionByRange(*order).withColumn("range_no", F.spark_partition_id()))
+    before = Window.orderBy("range_no").rowsBetween(Window.unboundedPreceding, -1)  # a row a range
+    moved = ranged.groupBy("range_no").agg(F.count("*").alias("n")).select("range_no", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("moved"))
+    inside = F.row_number().over(Window.partitionBy("range_no").orderBy(*order))
+    return ranged.join(F.broadcast(moved), "range_no").withColumn(name, inside + F.col("moved")).drop("range_no", "moved")
+
+
 def condense(records: DataFrame, column: str = "chain") -> DataFrame:
     """Adds condensed: each sentence once, the final section kept."""
     body = F.regexp_extract(column, r"(?s)^(.*?)\s*(?:Final Answer:|$)", 1)

@@ -61,7 +61,7 @@ def length_pairs(attempts: DataFrame) -> DataFrame:
 def dpo_loss(df: DataFrame, beta: float = 0.1) -> DataFrame:
     """Adds loss = -log sigmoid(beta * (chosen - rejected)) of the columns chosen_ratio and rejected_ratio (log ratios to the reference)."""
     margin = F.lit(beta) * (F.col("chosen_ratio") - F.col("rejected_ratio"))
-    return df.withColumn("loss", F.log1p(F.exp(-margin)))
+    return df.withColumn("loss", F.greatest(-margin, F.lit(0.0)) + F.log1p(F.exp(-F.abs(margin))))  # no overflow at any margin
 
 
 def outcome_reward(levels: tuple[float, ...] = LEVELS) -> Column:

@@ -41,7 +41,7 @@ def teacher_attempts(spark, sf):
     return log(spark, sf).groupBy("model").agg(F.count("*").alias("answers"), F.countDistinct("sample_id").alias("samples"), F.count_if(F.col("verdict") == G.truth()).alias("right_answers"), F.sum("out_tokens").alias("tokens"))
 
 
-@R.query(f"{S} SELECT sample_id, md5('You judge code.' || chr(10) || 'Think step by step.' || chr(10) || 'Think for up to 500 tokens.' || chr(10) || 'Choose among: ' || cwe || ', CWE-0' || chr(10) || 'Code:' || chr(10) || code) AS prompt_md5 FROM sample")
+@R.query(f"{S} SELECT sample_id, md5('You judge code.' || chr(10) || 'Think step by step.' || chr(10) || 'Reason within 500 tokens.' || chr(10) || 'Choose among: ' || cwe || ', CWE-0' || chr(10) || 'Code:' || chr(10) || code) AS prompt_md5 FROM sample")
 def prompts(spark, sf):
     s = samples(spark, sf)
     out = G.build_prompt(s, budget=500, policy=F.array("cwe", F.lit("CWE-0")))
@@ -196,9 +196,7 @@ _CURR = f"{_STAGE1}, curr AS (SELECT sample_id, model, attempt, stage, CASE stag
 
 @R.query(f"{_CURR} SELECT sample_id, model, attempt, stage, key, row_number() OVER (ORDER BY key, sample_id, model)::INT AS place FROM curr")
 def curriculum(spark, sf):
-    from pyspark.sql.window import Window
-
-    return two_stages(spark, sf).select("sample_id", "model", "attempt", "stage", "key").withColumn("place", F.row_number().over(Window.orderBy("key", "sample_id", "model")))
+    return G.places(two_stages(spark, sf).select("sample_id", "model", "attempt", "stage", "key"), "key", "sample_id", "model")
 
 
 @R.query(f"{_CURR}, p AS (SELECT *, sample_id % 8 AS shard, (sum(tokens) OVER (PARTITION BY sample_id % 8 ORDER BY key, sample_id, model, stage) - 1) // 32000 AS pack FROM curr) SELECT shard, pack::BIGINT AS pack, count(*) AS records, sum(tokens)::BIGINT AS tokens FROM p GROUP BY ALL")

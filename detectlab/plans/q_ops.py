@@ -198,7 +198,7 @@ def op_udtf(spark, sf):
     @F.udtf(returnType="a string, b string")
     class Pairs:
         def eval(self, text: str):
-            w = text.split(" ")
+            w = (text or "").split(" ")
             yield from zip(w, w[1:], strict=False)
 
     spark.udtf.register("word_pairs", Pairs)
