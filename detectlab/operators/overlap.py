@@ -9,8 +9,6 @@ from detectlab.functions.tokens import gram_hashes, held, tokens, winnow
 from detectlab.sources.tables import cut
 
 N = 20
-#: Fingerprints of 10 tokens over windows of 11: every shared run of 20 tokens has one in common.
-WINNOW = (10, 11)
 #: Grams of the smaller side up to which they are broadcast (8 bytes each).
 PROBE_ROWS = 5_000_000
 
@@ -31,40 +29,52 @@ def _small(df: DataFrame) -> DataFrame:
     return F.broadcast(df) if df.count() <= PROBE_ROWS else df
 
 
-def overlap_pairs(a: DataFrame, b: DataFrame, *, a_id: str, b_id: str, a_text: str = "text", b_text: str = "text", n: int = N, strategy: str = "grams") -> DataFrame:
-    """a_id, b_id of rows that share a run of n tokens. strategy 'winnow' shuffles fingerprints and verifies the candidates."""
-    if strategy == "winnow":
-        k, w = n // 2, n - n // 2 + 1
+def fingerprints(df: DataFrame, id_column: str, text: str, n: int = N) -> DataFrame:
+    """id, f: the least hash of n // 2 tokens in each run of n, so that rows that share a run share one of these."""
+    k = n // 2
+    t = held(df.select(F.col(id_column).alias("id"), F.col(text).alias("text")), t=tokens("text")).where(F.size("t") >= n)
+    return held(t, g=gram_hashes(F.col("t"), k)).select("id", F.explode(winnow(F.col("g"), n - k + 1)).alias("f"))
+
 
-        def prints(df, i, text):
-            t = held(df.select(F.col(i).alias("id"), F.col(text).alias("text")), t=tokens("text"))
-            return held(t, g=gram_hashes(F.col("t"), k)).select("id", F.explode(winnow(F.col("g"), w)).alias("h"))
+def _of(df: DataFrame, id_column: str, ids: DataFrame) -> DataFrame:
+    """Rows of df whose id is among ids (id)."""
+    return df.join(ids.withColumnRenamed("id", id_column), id_column, "left_semi")
 
-        left, right = prints(a, a_id, a_text), prints(b, b_id, b_text)
-    else:
-        left, right = distinct_grams(a, a_id, a_text, n), distinct_grams(b, b_id, b_text, n)
-    right = _small(right.withColumnRenamed("id", "b"))
-    found = left.withColumnRenamed("id", "a").join(right, "h").select("a", "b").distinct()
-    return _verify(found, a, b, a_id, b_id, a_text, b_text, n)
+
+def shared_grams(a: DataFrame, b: DataFrame, *, a_id: str, b_id: str, a_text: str = "text", b_text: str = "text", n: int = N, strategy: str = "winnow") -> tuple[DataFrame, DataFrame]:
+    """(id, h) of a and of b; of a, with strategy 'winnow', only of rows that share a fingerprint with b. Other rows
+    have no gram in common, and no text goes to a pair of rows."""
+    if strategy == "winnow":
+        marks = cut(fingerprints(b, b_id, b_text, n).select("f").distinct())
+        a = _of(a, a_id, cut(fingerprints(a, a_id, a_text, n).join(_small(marks), "f", "left_semi").select("id").distinct()))
+    return distinct_grams(a, a_id, a_text, n), cut(distinct_grams(b, b_id, b_text, n))
 
 
-def _verify(found: DataFrame, a: DataFrame, b: DataFrame, a_id: str, b_id: str, a_text: str, b_text: str, n: int) -> DataFrame:
-    """Candidates whose texts do share a run: grams compared as tokens, for the few pairs left."""
-    gram = lambda t: F.array_distinct(F.transform(F.sequence(F.lit(0), F.size(t) - n), lambda i: F.slice(t, i + 1, n)))
-    one, two = a.select(F.col(a_id).alias("a"), F.col(a_text).alias("xa")), b.select(F.col(b_id).alias("b"), F.col(b_text).alias("xb"))
-    both = held(found.join(one, "a").join(two, "b"), ta=tokens("xa"), tb=tokens("xb")).where((F.size("ta") >= n) & (F.size("tb") >= n))
-    return both.where(F.arrays_overlap(gram(F.col("ta")), gram(F.col("tb")))).select(F.col("a").alias(a_id), F.col("b").alias(b_id))
+def overlap_pairs(a: DataFrame, b: DataFrame, *, a_id: str, b_id: str, a_text: str = "text", b_text: str = "text", n: int = N, strategy: str = "grams") -> DataFrame:
+    """a_id, b_id of rows that share a run of n tokens. strategy 'winnow' makes grams only of rows that share a fingerprint."""
+    left, right = shared_grams(a, b, a_id=a_id, b_id=b_id, a_text=a_text, b_text=b_text, n=n, strategy=strategy)
+    return left.join(_small(right.withColumnRenamed("id", "_other")), "h").select(F.col("id").alias(a_id), F.col("_other").alias(b_id)).distinct()
 
 
 def decontaminate(train: DataFrame, test: DataFrame, *, train_id: str, test_id: str, drop: str = "train", n: int = N) -> DataFrame:
-    """The kept rows: of train without overlaps with test (drop 'train'), of test (drop 'test'), or ids of both with their side (drop 'both')."""
-    pairs = cut(overlap_pairs(train, test, a_id=train_id, b_id=test_id, n=n))
-    clean = lambda df, c: df.join(pairs.select(c).distinct(), c, "left_anti")
+    """The kept rows: of train without overlaps with test (drop 'train'), of test (drop 'test'), or ids of both with their side (drop 'both').
+    Sides meet in semi-joins on grams: no pairs are made, however common a run is."""
+    left, right = shared_grams(train, test, a_id=train_id, b_id=test_id, n=n)
+    hit = lambda one, other: cut(one.join(_small(cut(other.select("h").distinct())), "h", "left_semi").select("id").distinct())
+    clean = lambda df, c, gone: df.join(gone.withColumnRenamed("id", c), c, "left_anti")
     if drop == "train":
-        return clean(train, train_id)
+        return clean(train, train_id, hit(left, right))
+    met = hit(right, left.join(_small(right.select("h").distinct()), "h", "left_semi"))
     if drop == "test":
-        return clean(test, test_id)
-    return clean(train, train_id).select(F.lit("train").alias("side"), F.col(train_id).alias("id")).union(clean(test, test_id).select(F.lit("test").alias("side"), F.col(test_id).alias("id")))
+        return clean(test, test_id, met)
+    return clean(train, train_id, hit(left, right)).select(F.lit("train").alias("side"), F.col(train_id).alias("id")).union(clean(test, test_id, met).select(F.lit("test").alias("side"), F.col(test_id).alias("id")))
+
+
+def decontaminate_chain(train: DataFrame, test: DataFrame, *, train_id: str, test_id: str, n: int = N) -> tuple[DataFrame, DataFrame]:
+    """(train, test) kept after three passes: train rows that overlap with test go, then within train and within test all but the first of an overlap."""
+    rest = decontaminate(train, test, train_id=train_id, test_id=test_id, n=n)
+    one = lambda df, c: _of(df, c, dedup(df, c, "text", "first", n).where("kept").select("id"))
+    return one(rest, train_id), one(test, test_id)
 
 
 def exact_dedup(df: DataFrame, id_column: str, text: str) -> DataFrame:
@@ -72,11 +82,19 @@ def exact_dedup(df: DataFrame, id_column: str, text: str) -> DataFrame:
     return df.groupBy(F.sha2(F.col(text), 256).alias("digest")).agg(F.min(id_column).alias(id_column), F.count("*").alias("copies")).select(id_column, "copies")
 
 
+def repeated_grams(df: DataFrame, id_column: str, text: str, n: int = N) -> DataFrame:
+    """id, h of rows that share a fingerprint with another row: a superset of the grams that two rows have."""
+    prints = fingerprints(df, id_column, text, n)
+    twice = cut(prints.groupBy("f").agg(F.min("id").alias("low"), F.max("id").alias("high")).where("low < high").select("f"))
+    ids = cut(prints.join(_small(twice), "f", "left_semi").select("id").distinct())
+    return distinct_grams(_of(df, id_column, ids), id_column, text, n)
+
+
 def star_edges(df: DataFrame, id_column: str, text: str, n: int = N) -> DataFrame:
     """id, first: for each gram, every id with it but the lowest, and the lowest. Linear in the rows of a gram, however common it is."""
-    g = distinct_grams(df, id_column, text, n)
-    least = g.groupBy("h").agg(F.min("id").alias("first"), F.max("id").alias("last")).where("last > first").select("h", "first")
-    return g.join(least, "h").where("id > first").select("id", "first").distinct()
+    g = cut(repeated_grams(df, id_column, text, n))
+    least = cut(g.groupBy("h").agg(F.min("id").alias("first"), F.max("id").alias("last")).where("last > first").select("h", "first"))
+    return g.join(_small(least), "h").where("id > first").select("id", "first").distinct()
 
 
 def components(edges: DataFrame, rounds: int = 50) -> DataFrame:
@@ -107,7 +125,7 @@ def dedup(df: DataFrame, id_column: str, text: str, mode: str = "first", n: int
         return ids.join(part, "id", "left").select("id", (F.col("component").isNull() | (F.col("component") == F.col("id"))).alias("kept"))
     if mode != "greedy":
         raise ValueError(mode)
-    g = cut(distinct_grams(df, id_column, text, n))
+    g = cut(repeated_grams(df, id_column, text, n))
     shared = g.groupBy("h").agg(F.count("*").alias("c")).where("c > 1").select("h")
     g = cut(g.join(shared, "h"))
     kept, gone = None, None

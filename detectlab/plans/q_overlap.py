@@ -90,6 +90,19 @@ def dedup_component(spark, sf):
     return overlap.dedup(_tables(spark, sf)[0], "doc_id", "text", "component")
 
 
+_WITHIN = "{0}low AS (SELECT g, min(id) AS first FROM {0} GROUP BY g), {0}gone AS (SELECT DISTINCT id FROM {0} JOIN {0}low USING (g) WHERE id > first)"
+
+
+@R.query(f"""WITH {_PAIRS}, r AS (SELECT * FROM d WHERE id NOT IN (SELECT doc_id FROM pair)), {_WITHIN.format('r')}, {_WITHIN.format('b')}
+SELECT 'train' AS side, doc_id AS id FROM documents WHERE doc_id NOT IN (SELECT doc_id FROM pair) AND doc_id NOT IN (SELECT id FROM rgone)
+UNION ALL SELECT 'test', item_id FROM benchmark WHERE item_id NOT IN (SELECT id FROM bgone)""")
+def decontaminate_chain(spark, sf):
+    """Between the sets, then within train, then within test."""
+    docs, bench = _tables(spark, sf)
+    train, test = overlap.decontaminate_chain(docs, bench, train_id="doc_id", test_id="item_id")
+    return train.select(F.lit("train").alias("side"), F.col("doc_id").alias("id")).union(test.select(F.lit("test").alias("side"), F.col("item_id").alias("id")))
+
+
 @R.query()
 def dedup_greedy(spark, sf):
     return overlap.dedup(_tables(spark, sf)[0], "doc_id", "text", "greedy")
