@@ -84,7 +84,7 @@ def exact_dedup(df: DataFrame, id_column: str, text: str) -> DataFrame:
 
 def repeated_grams(df: DataFrame, id_column: str, text: str, n: int = N) -> DataFrame:
     """id, h of rows that share a fingerprint with another row: a superset of the grams that two rows have."""
-    prints = fingerprints(df, id_column, text, n)
+    prints = cut(fingerprints(df, id_column, text, n))  # a sixth of the grams; read twice
     twice = cut(prints.groupBy("f").agg(F.min("id").alias("low"), F.max("id").alias("high")).where("low < high").select("f"))
     ids = cut(prints.join(_small(twice), "f", "left_semi").select("id").distinct())
     return distinct_grams(_of(df, id_column, ids), id_column, text, n)

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from importlib import import_module
 
-MODULES = ("q_corpus", "q_overlap", "q_generate", "q_scores", "q_project", "q_ops")
+MODULES = ("q_corpus", "q_overlap", "q_generate", "q_scores", "q_project", "q_ops", "q_more")
 
 
 def collect() -> tuple[dict, dict]:
