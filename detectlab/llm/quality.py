@@ -1,11 +1,15 @@
 """Quality rules whose limits come from the corpus itself.
 
 Each document gets a few counts. For every language and source a mergeable
-quantile sketch of each measure is kept: a count per bin, with bins of a
-thirty-second of a power of two, so that sketches add up across partitions,
-days or sources and a quantile is off by about 3 % at most. Limits are
-Tukey fences (quartile plus a multiple of the quartile range) from the sketch of
-(language, source), or of the language, or of everything where a group is small.
+quantile sketch of each measure is kept: a count per bin, with 128 bins for each
+power of two, so that sketches add up across partitions, days or sources and a
+quantile is off by less than 1 %. Limits are fences from the sketch of (language,
+source), or of the language, or of everything where a group is small: a quantile
+plus a multiple of its distance to another one of the same sketch. No limit has a
+fixed part. Shares of words, lines and characters are taken at their lower bound, the
+count less three times its square root, so that a few by chance in a short
+text say nothing. A group that holds little but copies of a few texts has hardly any spread of its
+own; at least a stated part of what is usual within groups, of its language and of all, is taken.
 """
 
 from __future__ import annotations
@@ -25,20 +29,31 @@ SYMBOLS = "#*$%&|<>"  # fixed values
 COUNTS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines")
 #: measure -> what it counts in ten-thousandths, and of what
 MEASURES = {"symbol_share": ("n_symbols", "word_chars"), "dup_line_share": ("n_dup_lines", "n_lines"), "repeat_share": ("n_repeat_words", "n_words"), "word_length": ("word_chars", "n_words")}
+SHARES = ("symbol_share", "dup_line_share", "repeat_share")
+
+
+@dataclass(frozen=True)
+class Fence:
+    """The upper limit is ``reach`` times the distance of two quantiles (in per cent) above the higher one.
+    below: there is a lower limit likewise."""
+
+    low: int
+    high: int
+    reach: int
+    below: bool = False
 
 
 @dataclass(frozen=True)
 class Rules:
-    """min_words, max_repeat: base rules. reach: quartile ranges beyond a quartile. slack: the least distance
-    from the quartile to its limit, by measure. both: measures with a lower limit too. min_group: documents
-    that a group's own sketch must hold. broadcast_rows: limits above which the join shuffles instead."""
+    """min_words, max_repeat: base rules. fences: by measure, in the order of MEASURES. least_spread: per cent of the
+    median spread within groups, of its language and of all, that a group has at least. min_group: documents that a group's own sketch
+    must hold. broadcast_rows: limits above which the join shuffles instead."""
 
     min_words: int = 50
     max_repeat: int = 50
-    reach: int = 3
-    slack: tuple[tuple[str, int], ...] = (("symbol_share", 200), ("dup_line_share", 4000), ("repeat_share", 3000), ("word_length", 15000))
-    both: tuple[str, ...] = ("word_length",)
-    min_group: int = 30
+    fences: tuple[Fence, ...] = (Fence(25, 75, 3), Fence(50, 90, 3), Fence(50, 99, 3), Fence(25, 75, 5, below=True))
+    least_spread: int = 50
+    min_group: int = 100
     broadcast_rows: int = 100_000
 
 
@@ -102,18 +117,19 @@ def base_failed(rules: Rules) -> Column:
 
 def measure(name: str) -> Column:
     part, whole = MEASURES[name]
-    return F.expr(f"10000 * {part} div greatest({whole}, 1)")
+    counted = f"greatest({part} - cast(ceil(3 * sqrt({part})) as long), 0)" if name in SHARES else part
+    return F.expr(f"10000 * {counted} div greatest({whole}, 1)")
 
 
 def bin_of(value: Column) -> Column:
-    """Sketch bin: the value itself below 64, else its six leading bits and how many follow."""
-    follow = F.greatest(F.length(F.bin(value)) - 6, F.lit(0))
-    return (follow * 32 + F.call_function("shiftright", value, follow)).cast("long")
+    """Sketch bin: the value itself below 256, else its eight leading bits and how many follow."""
+    follow = F.greatest(F.length(F.bin(value)) - 8, F.lit(0))
+    return (follow * 128 + F.call_function("shiftright", value, follow)).cast("long")
 
 
 def floor_of(b: Column) -> Column:
     """The smallest value of a bin."""
-    return F.when(b < 64, b).otherwise(F.call_function("shiftleft", b % 32 + 32, (F.floor(b / 32) - 1).cast("int")))
+    return F.when(b < 256, b).otherwise(F.call_function("shiftleft", b % 128 + 128, (F.floor(b / 128) - 1).cast("int")))
 
 
 def group_key(column: str) -> Column:
@@ -136,28 +152,38 @@ def sketches(counted: DataFrame, rules: Rules) -> DataFrame:
     return fine.select("measure", "bin", "docs", F.inline(levels)).groupBy("level", "lang_key", "source_key", "measure", "bin").agg(F.sum("docs").alias("docs"))
 
 
-def quantiles(sketch: DataFrame) -> DataFrame:
-    """First and third quartile of every group and measure: the smallest bin that holds the rank."""
+def _by_measure(values: dict[str, object]) -> Column:
+    return F.create_map(*[F.lit(x) for kv in values.items() for x in kv])[F.col("measure")]
+
+
+def quantiles(sketch: DataFrame, rules: Rules) -> DataFrame:
+    """(level, lang_key, source_key, measure, n, q_low, q_high): the two quantiles of the measure's fence, each from the smallest bin that holds the rank: its least value and its greatest."""
     keys = ["level", "lang_key", "source_key", "measure"]
     held = sketch.groupBy(*keys).agg(F.sum("docs").alias("n"), F.array_sort(F.collect_list(F.struct("bin", "docs"))).alias("bins"))
+    fences = dict(zip(MEASURES, rules.fences, strict=True))
 
-    def at(q: int) -> Column:  # the bins of one group are at most 64 + 32 * 58
+    def bin_at(q: Column) -> Column:  # the bins of one group are at most 256 + 128 * 56
         walked = F.aggregate(
             "bins",
             F.struct(F.lit(0).cast("long").alias("seen"), F.lit(None).cast("long").alias("hit")),
             lambda acc, x: F.struct((acc.seen + x.docs).alias("seen"), F.coalesce(acc.hit, F.when((acc.seen + x.docs) * 100 >= F.col("n") * q, x.bin)).alias("hit")),
         )
-        return floor_of(walked.hit)
-
-    return held.select(*keys, "n", at(25).alias("q25"), at(75).alias("q75"))
-
-
-def limits(sketch: DataFrame, rules: Rules) -> DataFrame:
-    """lang_key, source_key, level and <measure>_low, <measure>_high: one row per group of level 0, and the wider levels."""
-    slack = F.create_map(*[F.lit(x) for kv in rules.slack for x in kv])
-    width = F.greatest(F.lit(rules.reach) * (F.col("q75") - F.col("q25")), slack[F.col("measure")])
-    two = F.col("measure").isin(*rules.both)
-    q = quantiles(sketch).select("level", "lang_key", "source_key", "measure", "n", (F.col("q75") + width).alias("high"), F.when(two, F.col("q25") - width).otherwise(F.lit(-1)).alias("low"))
+        return walked.hit
+
+    return held.select(*keys, "n", floor_of(bin_at(_by_measure({m: f.low for m, f in fences.items()}))).alias("q_low"), (floor_of(bin_at(_by_measure({m: f.high for m, f in fences.items()})) + 1) - 1).alias("q_high"))
+
+
+def limits(found: DataFrame, rules: Rules) -> DataFrame:
+    """lang_key, source_key, level and a struct (low, high) a measure: one row per group of level 0, and the wider levels. found: quantiles()."""
+    fences = dict(zip(MEASURES, rules.fences, strict=True))
+    own = F.col("q_high") - F.col("q_low")
+    groups = found.where((F.col("level") == 0) & (F.col("n") >= rules.min_group)).withColumn("own", own)
+    least = F.floor(F.expr("percentile_disc(0.5) WITHIN GROUP (ORDER BY own)") * rules.least_spread / 100)
+    usual = found.join(groups.groupBy("lang_key", "measure").agg(least.alias("of_lang")), ["lang_key", "measure"], "left")
+    usual = usual.join(F.broadcast(groups.groupBy("measure").agg(least.alias("of_all"))), "measure", "left")  # a row a measure
+    width = F.greatest(own, "of_lang", "of_all") * _by_measure({m: f.reach for m, f in fences.items()})
+    low = F.when(_by_measure({m: f.below for m, f in fences.items()}), F.col("q_low") - width).otherwise(F.lit(-1))
+    q = usual.select("level", "lang_key", "source_key", "measure", "n", (F.col("q_high") + width).alias("high"), low.alias("low"))
     by = {m: F.max(F.when(F.col("measure") == m, F.struct("low", "high"))).alias(m) for m in MEASURES}
     return q.groupBy("level", "lang_key", "source_key").agg(F.max("n").alias("n"), *by.values()).where((F.col("level") == 2) | (F.col("n") >= rules.min_group))
 
@@ -166,11 +192,12 @@ def verdicts(docs: DataFrame, rules: Rules = Rules()) -> DataFrame:
     """doc (struct of all columns), COUNTS, base_failed, kept. One row per input row.
 
     Null or empty text has no words and fails. Null language or source is a group
-    of its own. Repeated rows count each. An empty table gives no rows.
+    of its own. Repeated rows count each. A measure equal to its limit is within it; where both quantiles
+    of a fence tie, there and in most groups, they are the limit. An empty table gives no rows.
     """
     counted = with_counts(docs)
     narrow = counted.select("doc.lang", "doc.source", *COUNTS)
-    found = cut(limits(sketches(narrow, rules), rules))
+    found = cut(limits(cut(quantiles(sketches(narrow, rules), rules)), rules))
     few = found.count() <= rules.broadcast_rows
     small = (lambda d: F.broadcast(d)) if few else (lambda d: d)
     out = counted.withColumns({"lang_key": group_key("doc.lang"), "source_key": group_key("doc.source"), "base_failed": base_failed(rules)} | {m: measure(m) for m in MEASURES})

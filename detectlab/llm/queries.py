@@ -82,24 +82,33 @@ c AS (
     coalesce(n_dup_lines, 0)::BIGINT AS n_dup_lines, coalesce(n_repeat_words, 0)::BIGINT AS n_repeat_words, coalesce(n_lines, 0)::BIGINT AS n_lines
   FROM w LEFT JOIN rep USING (doc_id) LEFT JOIN ln USING (doc_id)),
 f AS (SELECT *, n_words < 50 OR 100 * n_repeat_words > 50 * n_words AS base_failed FROM c),
+h AS (
+  SELECT *, greatest(n_symbols - ceil(3 * sqrt(n_symbols))::BIGINT, 0) AS symbols, greatest(n_dup_lines - ceil(3 * sqrt(n_dup_lines))::BIGINT, 0) AS dups,
+    greatest(n_repeat_words - ceil(3 * sqrt(n_repeat_words))::BIGINT, 0) AS repeats FROM f),
 m AS (
   SELECT doc_id, lang_key, source_key, base_failed, unnest([
-    {{'measure': 'symbol_share', 'v': 10000 * n_symbols // greatest(word_chars, 1)}}, {{'measure': 'dup_line_share', 'v': 10000 * n_dup_lines // greatest(n_lines, 1)}},
-    {{'measure': 'repeat_share', 'v': 10000 * n_repeat_words // greatest(n_words, 1)}}, {{'measure': 'word_length', 'v': 10000 * word_chars // greatest(n_words, 1)}}], recursive := true)
-  FROM f),
-b AS (SELECT *, greatest(length(bin(v)) - 6, 0) AS e FROM m),
+    {{'measure': 'symbol_share', 'v': 10000 * symbols // greatest(word_chars, 1)}}, {{'measure': 'dup_line_share', 'v': 10000 * dups // greatest(n_lines, 1)}},
+    {{'measure': 'repeat_share', 'v': 10000 * repeats // greatest(n_words, 1)}}, {{'measure': 'word_length', 'v': 10000 * word_chars // greatest(n_words, 1)}}], recursive := true)
+  FROM h),
+b AS (SELECT *, greatest(length(bin(v)) - 8, 0) AS e FROM m),
 s AS (
-  SELECT level, CASE WHEN level < 2 THEN lang_key ELSE '' END AS lk, CASE WHEN level < 1 THEN source_key ELSE '' END AS sk, measure, e * 32 + (v >> e) AS bin, count(*) AS docs
+  SELECT level, CASE WHEN level < 2 THEN lang_key ELSE '' END AS lk, CASE WHEN level < 1 THEN source_key ELSE '' END AS sk, measure, e * 128 + (v >> e) AS bin, count(*) AS docs
   FROM b, (VALUES (0), (1), (2)) l(level) WHERE NOT base_failed GROUP BY ALL),
 r AS (SELECT *, sum(docs) OVER (PARTITION BY level, lk, sk, measure ORDER BY bin) AS seen, sum(docs) OVER (PARTITION BY level, lk, sk, measure) AS n,
-    CASE WHEN bin < 64 THEN bin ELSE (bin % 32 + 32) << (bin // 32 - 1)::INT END AS low FROM s),
+    CASE WHEN bin < 256 THEN bin ELSE (bin % 128 + 128) << (bin // 128 - 1)::INT END AS low,
+    CASE WHEN bin < 255 THEN bin ELSE (((bin + 1) % 128 + 128) << ((bin + 1) // 128 - 1)::INT) - 1 END AS top FROM s),
+fence(measure, q_low, q_high, reach) AS (VALUES ('symbol_share', 25, 75, 3), ('dup_line_share', 50, 90, 3), ('repeat_share', 50, 99, 3), ('word_length', 25, 75, 5)),
 q AS (
-  SELECT level, lk, sk, measure, max(n) AS n, min(low) FILTER (seen * 100 >= n * 25) AS q25, min(low) FILTER (seen * 100 >= n * 75) AS q75,
-    CASE measure WHEN 'symbol_share' THEN 200 WHEN 'dup_line_share' THEN 4000 WHEN 'repeat_share' THEN 3000 ELSE 15000 END AS slack
-  FROM r GROUP BY level, lk, sk, measure),
+  SELECT level, lk, sk, measure, reach, max(n) AS n, min(low) FILTER (seen * 100 >= n * q_low) AS lo, min(top) FILTER (seen * 100 >= n * q_high) AS hi
+  FROM r JOIN fence USING (measure) GROUP BY level, lk, sk, measure, reach),
+usual AS (SELECT * FROM q WHERE level = 0 AND n >= 100),
+wide AS (
+  SELECT q.*, reach * greatest(q.hi - q.lo, of_lang, of_all) AS width
+  FROM q LEFT JOIN (SELECT lk, measure, quantile_disc(hi - lo, 0.5) * 50 // 100 AS of_lang FROM usual GROUP BY lk, measure) USING (lk, measure)
+    LEFT JOIN (SELECT measure, quantile_disc(hi - lo, 0.5) * 50 // 100 AS of_all FROM usual GROUP BY measure) USING (measure)),
 lim AS (
-  SELECT level, lk, sk, measure, q75 + greatest(3 * (q75 - q25), slack) AS high, CASE WHEN measure = 'word_length' THEN q25 - greatest(3 * (q75 - q25), slack) ELSE -1 END AS low
-  FROM q WHERE level = 2 OR n >= 30),
+  SELECT level, lk, sk, measure, hi + width AS high, CASE WHEN measure = 'word_length' THEN lo - width ELSE -1 END AS low
+  FROM wide WHERE level = 2 OR n >= 100),
 fit AS (
   SELECT doc_id, bool_and(coalesce(v BETWEEN coalesce(a.low, g.low, h.low) AND coalesce(a.high, g.high, h.high), true)) AS fits
   FROM b LEFT JOIN lim a ON a.level = 0 AND a.lk = lang_key AND a.sk = source_key AND a.measure = b.measure
