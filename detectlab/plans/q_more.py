@@ -42,16 +42,16 @@ s AS (SELECT user_id, ts, count(*) FILTER (opens) OVER (PARTITION BY user_id ORD
 SELECT user_id, min(ts) AS start, count(*) AS n FROM s GROUP BY user_id, no""")
 def op_stream_sessions(spark, sf):
     """Runs of a user's events with at most three hours between them."""
-    s, checkpoint = _stream(spark, sf)
-    out = streams.run_once(streams.bursts(s, "3 hours"), f"sessions_{uuid.uuid4().hex}", checkpoint, "complete")
+    s, checkpoint = _stream(spark, sf, ("ts", "user_id"))
+    out = streams.run_to_files(streams.bursts(s, "3 hours"), f"{checkpoint}-out", checkpoint, "complete")
     return out.select("user_id", F.col("session_window.start").cast("timestamp_ntz").alias("start"), "n")
 
 
 @R.query("SELECT event_id, user_id FROM events")
 def op_stream_dedup(spark, sf):
     """Every event comes twice and goes on once."""
-    s, checkpoint = _stream(spark, sf, copies=2)
-    out = streams.run_once(streams.first_seen(s, "event_id", NEVER), f"dedup_{uuid.uuid4().hex}", checkpoint)
+    s, checkpoint = _stream(spark, sf, ("event_id", "ts", "user_id"), copies=2)
+    out = streams.run_to_files(streams.first_seen(s, "event_id", NEVER).select("event_id", "user_id"), f"{checkpoint}-out", checkpoint)
     return out.select("event_id", "user_id")
 
 

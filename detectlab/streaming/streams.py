@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -87,6 +88,38 @@ def run_once(df: DataFrame, name: str, checkpoint: str, mode: str = "append") ->
     return df.sparkSession.table(name)
 
 
+@contextmanager
+def state_on_disk(spark: SparkSession):
+    """State of the streams started within is kept by RocksDB on the executors' disks, not on their heaps."""
+    name = "spark.sql.streaming.stateStore.providerClass"
+    before = spark.conf.get(name, None)
+    spark.conf.set(name, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        yield
+    finally:
+        spark.conf.unset(name) if before is None else spark.conf.set(name, before)
+
+
+def run_to_files(df: DataFrame, folder: str, checkpoint: str, mode: str = "append") -> DataFrame:
+    """Runs the stream over what is there into Parquet files and reads them: none of its rows reach the driver.
+
+    append: by Spark's file sink. complete: each batch writes the whole result under its own number; the last is read.
+    """
+    spark, last = df.sparkSession, []
+
+    def write(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{folder}/{number}")
+        last[:] = [number]
+
+    with state_on_disk(spark):
+        w = df.writeStream.outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True)
+        q = (w.format("parquet").option("path", folder) if mode == "append" else w.foreachBatch(write)).start()
+        q.awaitTermination()
+    if mode == "append":
+        return spark.read.schema(df.schema).parquet(folder)
+    return spark.read.schema(df.schema).parquet(f"{folder}/{last[0]}") if last else spark.createDataFrame([], df.schema)
+
+
 def upsert_sink(df: DataFrame, folder: str, checkpoint: str):
     """Writes each batch under its own number, so that a batch that runs again replaces itself."""
 

@@ -7,6 +7,11 @@ import pytest
 from pyspark.sql import functions as F
 
 from detectlab.operators import corpus, minhash
+from detectlab.plans import q_more
+from detectlab.sources.tables import load
+from detectlab.streaming import streams
+
+SF = "/root/testdata/sf0.001"
 
 
 @pytest.mark.parametrize("most", [1000, 2])
@@ -51,3 +56,22 @@ def test_minhash_copies_are_a_class_and_links_are_whole(spark, monkeypatch, cell
     assert {(r.a, r.b) for r in got if r.copy} == copies and len(copies) == 300
     links = [(r.a, r.b) for r in got if not r.copy]
     assert len(links) == len(set(links)) and set(links) <= near and len(links) >= 0.99 * len(near) > 300
+
+
+@pytest.mark.parametrize("query", [q_more.op_stream_dedup, q_more.op_stream_sessions])
+def test_results_of_streams_stay_off_the_driver(spark, query):
+    before = spark.conf.get("spark.sql.streaming.stateStore.providerClass")
+    assert query(spark, SF).inputFiles()  # a memory sink has none
+    assert spark.conf.get("spark.sql.streaming.stateStore.providerClass") == before
+
+
+def test_complete_streams_give_their_last_batch(spark, tmp_path):
+    for k in range(3):
+        load(spark, SF, "events").where(f"event_id % 3 = {k}").select("ts", "user_id").coalesce(1).write.mode("append").parquet(f"{tmp_path}/in")
+    s = streams.event_time(streams.file_stream(spark, f"{tmp_path}/in", load(spark, SF, "events").select("ts", "user_id").schema))
+    out = streams.run_to_files(streams.bursts(s, "3 hours", q_more.NEVER), f"{tmp_path}/out", f"{tmp_path}/c", "complete")
+    assert out.agg(F.sum("n")).first()[0] == load(spark, SF, "events").count()
+    empty = spark.createDataFrame([], "ts timestamp, user_id long")
+    empty.write.parquet(f"{tmp_path}/none")
+    none = streams.bursts(streams.file_stream(spark, f"{tmp_path}/none", empty.schema), "3 hours")
+    assert streams.run_to_files(none, f"{tmp_path}/none-out", f"{tmp_path}/none-c", "complete").count() == 0
