@@ -7,7 +7,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from detectlab.operators import corpus, minhash
-from detectlab.plans import q_more
+from detectlab.plans import q_more, q_ops
 from detectlab.sources.tables import load
 from detectlab.streaming import streams
 
@@ -75,3 +75,14 @@ def test_complete_streams_give_their_last_batch(spark, tmp_path):
     empty.write.parquet(f"{tmp_path}/none")
     none = streams.bursts(streams.file_stream(spark, f"{tmp_path}/none", empty.schema), "3 hours")
     assert streams.run_to_files(none, f"{tmp_path}/none-out", f"{tmp_path}/none-c", "complete").count() == 0
+
+
+def test_the_feed_gives_the_table(spark, tmp_path):
+    """Null and empty texts, more rows than a page, and no row."""
+    rows = [(k, None if k == 3 else "é" * (k % 7)) for k in range(2500)]
+    spark.createDataFrame(rows, "doc_id long, text string").coalesce(1).write.parquet(f"{tmp_path}/a/documents.parquet")
+    out = q_ops.op_data_source(spark, f"{tmp_path}/a")
+    assert sorted((r.sample_id, r.chars) for r in out.collect()) == [(k, None if t is None else len(t)) for k, t in rows]
+    assert out.rdd.getNumPartitions() == 3
+    spark.createDataFrame([], "doc_id long, text string").write.parquet(f"{tmp_path}/b/documents.parquet")
+    assert q_ops.op_data_source(spark, f"{tmp_path}/b").count() == 0
