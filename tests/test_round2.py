@@ -7,8 +7,9 @@ import pytest
 from pyspark.sql import functions as F
 
 from detectlab.operators import corpus, minhash
-from detectlab.plans import q_more, q_ops
-from detectlab.sources.tables import load
+from detectlab.operators import graph as G
+from detectlab.plans import q_more, q_ops, q_project
+from detectlab.sources.tables import call_edges, code, coded_edges, entries, load
 from detectlab.streaming import streams
 
 SF = "/root/testdata/sf0.001"
@@ -86,3 +87,22 @@ def test_the_feed_gives_the_table(spark, tmp_path):
     assert out.rdd.getNumPartitions() == 3
     spark.createDataFrame([], "doc_id long, text string").write.parquet(f"{tmp_path}/b/documents.parquet")
     assert q_ops.op_data_source(spark, f"{tmp_path}/b").count() == 0
+
+
+def test_coded_edges_count_the_same_paths(spark):
+    """Levels by codes, from the edges of a level's kinds alone, are those by names; nothing is shuffled twice."""
+    named = G.level_counts(call_edges(spark, SF), entries(spark, SF))
+    coded = G.level_counts(coded_edges(spark, SF), load(spark, SF, "region").select(code("r", "r_regionkey").alias("entry")))
+    name = lambda c: F.concat(F.element_at(F.split(F.lit("r,n,s,c,o,p"), ","), (F.pmod(c, F.lit(8)) + 1).cast("int")), F.floor(F.col(c) / 8).cast("string"))
+    got = coded.select(name("entry").alias("entry"), name("node").alias("node"), "d", "c")
+    assert got.exceptAll(named).count() == named.exceptAll(got).count() == 0 < named.count()
+
+
+def test_sweep_of_no_pairs_is_empty(spark, tmp_path):
+    """As in SQL; and repeated lines of an order are one call."""
+    for t in ("region", "nation", "supplier", "customer", "orders", "lineitem", "part"):
+        df = load(spark, SF, t)
+        (df.limit(0) if t == "lineitem" else df).write.parquet(f"{tmp_path}/a/{t}.parquet")
+        (df.union(df) if t == "lineitem" else df).write.parquet(f"{tmp_path}/b/{t}.parquet")
+    assert q_project.path_sweep(spark, f"{tmp_path}/a").count() == 0
+    assert sorted(q_project.path_sweep(spark, f"{tmp_path}/b").collect()) == sorted(q_project.path_sweep(spark, SF).collect())
