@@ -106,3 +106,16 @@ def test_sweep_of_no_pairs_is_empty(spark, tmp_path):
         (df.union(df) if t == "lineitem" else df).write.parquet(f"{tmp_path}/b/{t}.parquet")
     assert q_project.path_sweep(spark, f"{tmp_path}/a").count() == 0
     assert sorted(q_project.path_sweep(spark, f"{tmp_path}/b").collect()) == sorted(q_project.path_sweep(spark, SF).collect())
+
+
+@pytest.mark.parametrize("most", [1_000_000, 5])
+def test_edges_of_one_signature_come_from_many_tasks(spark, monkeypatch, most):
+    monkeypatch.setattr(G, "TAKEN_ROWS", most)
+    monkeypatch.setattr(G, "TASK_EDGES", 1000)
+    monkeypatch.setattr(G, "BLOCK", 7)
+    rows = [(f"f{k}", 1, ["int"], k % 2 == 0, k % 3 == 0) for k in range(200)] + [("g", 2, ["int", "a"], True, True), ("h", 2, ["int", "a"], True, False), ("i", 3, None, False, True)]
+    out = G.indirect_edges(spark.createDataFrame(rows, "fn_id string, arity int, param_types array<string>, address_taken boolean, pointer_site boolean"), materialise=True)
+    want = [(a[0], b[0]) for a in rows for b in rows if a[4] and b[3] and a[:1] != b[:1] and a[1:3] == b[1:3]]
+    assert sorted((r.src, r.dst) for r in out.select("src", "dst").collect()) == sorted(want)
+    if most > 5:
+        assert out.select(F.spark_partition_id()).distinct().count() >= 6
