@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from detectlab.functions import simulate
-from detectlab.sources.tables import cut
+from detectlab.sources.tables import KINDS, cut
 
 #: Classes that count as one. Fixed values.
 MERGE = {"CWE-125": "CWE-119", "CWE-787": "CWE-119", "CWE-415": "CWE-416"}
@@ -39,6 +39,223 @@ def initial_context(paths: DataFrame, bodies: DataFrame, budget: int) -> DataFra
     return rows.groupBy("entry", "target").agg(F.count("*").alias("functions"), F.max("upto").alias("chars"), x.alias("x")).withColumn("context", F.array_join(F.transform("x", lambda r: r.code), "\n")).drop("x")
 
 
+#: Paths of a packed block's rows at once, of a task, and of a part of a task; bytes of texts from which tasks get larger.
+PACK_ROWS, TASK_PATHS, PART_PATHS, TASK_TEXT = 500_000, 6_000_000, 400_000, 100_000_000
+
+
+def context_digests(paths: DataFrame, docs: DataFrame, budget: int, about: int, k: int = 3, seed: int = 1) -> DataFrame:
+    """entry, target, functions, chars, context_md5: the digest of what initial_context makes of k paths a pair, as graph.sample_paths takes them.
+
+    paths (target, tail): all paths, by codes of nodes, tail from the end; about: how many. A node's body is the document
+    numbered as its key, modulo their count. Paths go to tasks by target, packed by column, and a text goes once to a task;
+    there pairs are sampled, filled up to the budget and hashed. Texts wait in a file without a name, parts of the targets in turn.
+    """
+    spark = paths.sparkSession
+    n, size = docs.agg(F.count("*"), F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()
+    tasks = max(1, min(spark.sparkContext.defaultParallelism, -(-about // 50_000)), -(-about // int(TASK_PATHS * max(1, size / TASK_TEXT))))
+    parts = max(1, -(-about // (tasks * PART_PATHS)))
+    kinds = "task int, part int, id long, size int, data binary"
+    packed = paths.mapInArrow(lambda batches: _packed(batches, tasks, parts), kinds)
+    every = docs.select(F.explode(F.sequence(F.lit(0), F.lit(tasks - 1))).alias("task"), F.lit(-1).alias("part"), F.col("doc_id").cast("long").alias("id"), F.length("text").alias("size"), F.col("text").cast("binary").alias("data"))
+    met = every.union(packed).repartitionById(tasks, F.col("task")).sortWithinPartitions("task", "part")
+    out = "entry string, target string, functions long, chars long, context_md5 string"
+    return met.mapInArrow(lambda batches: _contexts(batches, n, budget, k, seed), out)
+
+
+def _packed(batches, tasks: int, parts: int):
+    """Blocks of paths of one length and part: the columns target and tail, sorted, by bytes of the same weight."""
+    import numpy as np
+    import pyarrow as pa
+
+    def blocks(held):
+        for width in sorted(held):
+            rows = np.concatenate(held[width])
+            where = ((rows[:, 0] >> 3).astype("u8") * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(33)).astype("i8") % (tasks * parts)
+            order = np.lexsort((rows[:, 1], rows[:, 0], where))
+            rows, where = rows[order], where[order]
+            cuts = np.flatnonzero(np.diff(where, prepend=-1))
+            for a, b in zip(cuts, [*cuts[1:], len(rows)], strict=True):
+                x = rows[a:b].copy()
+                x[1:, 0] -= rows[a : b - 1, 0]
+                data = pa.compress(np.ascontiguousarray(x.T).view("u1").reshape(width, b - a, 8).transpose(0, 2, 1).tobytes(), codec="zstd", asbytes=True)
+                yield int(where[a]) % tasks, int(where[a]) // tasks, width, int(b - a), data
+
+    def sent(held):
+        rows = list(blocks(held))
+        types = (pa.int32(), pa.int32(), pa.int64(), pa.int32(), pa.binary())
+        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), types, strict=True)], ["task", "part", "id", "size", "data"])
+
+    held, count = {}, 0
+    for batch in batches:
+        target, tails = batch.column(0).to_numpy(zero_copy_only=False), batch.column(1)
+        flat, ends = tails.flatten().to_numpy(zero_copy_only=False), np.cumsum(tails.value_lengths().to_numpy(zero_copy_only=False))
+        lengths = np.diff(ends, prepend=0)
+        for m in np.unique(lengths):
+            which = np.flatnonzero(lengths == m)
+            at = (ends[which] - m)[:, None] + np.arange(m)
+            held.setdefault(int(m) + 1, []).append(np.column_stack([target[which], flat[at]]))
+        count += len(target)
+        if count >= PACK_ROWS:
+            yield sent(held)
+            held, count = {}, 0
+    if count:
+        yield sent(held)
+
+
+def _by_name(codes):
+    """Numbers in the order of the nodes' names."""
+    import numpy as np
+
+    key, kind = codes >> 3, codes & 7
+    size = np.abs(key)
+    if len(codes) and size.max() >= 10**15:
+        each, at = np.unique(codes, return_inverse=True)
+        names = [_name(c) for c in each.tolist()]
+        place = np.empty(len(each), "i8")
+        place[sorted(range(len(each)), key=names.__getitem__)] = np.arange(len(each))
+        return place[at]
+    tens = 10 ** np.arange(16, dtype="i8")
+    digits = np.maximum(np.searchsorted(tens, size, "right"), 1)
+    letter = np.argsort(np.argsort(list(KINDS)))
+    letter = np.append(letter, [0] * (8 - len(letter)))[kind]
+    return ((letter * 2 + (key >= 0)) * 10**15 + size * tens[15 - digits]) * 16 + digits
+
+
+def _name(node: int) -> str:
+    return f"{KINDS[node & 7]}{node >> 3}"
+
+
+def _picked(rows, k: int, seed: int):
+    """Pairs (entry, target) and, for each row picked, its pair. rows: columns length, target and tail; repeats go."""
+    import numpy as np
+
+    length, target = rows[:, 0], rows[:, 1]
+    entry = rows[np.arange(len(rows)), length + 1]
+    names = [np.where(length >= j, _by_name(rows[:, j + 1]), -1) for j in range(1, rows.shape[1] - 1)]
+    order = np.lexsort((*names[::-1], length, entry, target))
+    rows, entry = rows[order], entry[order]
+    fresh = np.append(True, (rows[1:] != rows[:-1]).any(axis=1))
+    rows, entry = rows[fresh], entry[fresh]
+    first = np.flatnonzero(np.append(True, (rows[1:, 1] != rows[:-1, 1]) | (entry[1:] != entry[:-1])))
+    n = np.diff(np.append(first, len(rows)))
+    pairs = np.column_stack([entry[first], rows[first, 1]])
+    keys = pairs >> 3
+    if len(keys) and np.abs(keys).max() >= 10**14:  # products would leave 64 bits
+        keys = np.fmod(keys, 2147483647)
+    start = np.fmod(keys[:, 0] * 48271 + keys[:, 1] * 16807 + seed * 69621 + 12345, 2147483647)
+    which, at = [], []
+    for i in range(k):
+        r = np.where(n <= k, i, np.fmod(start + i * (n // k), n))
+        there = np.flatnonzero((i < n) & (r >= 0))
+        which.append(there)
+        at.append(first[there] + r[there])
+    return pairs, np.concatenate(which), rows[np.concatenate(at)]
+
+
+def _contexts(batches, n: int, budget: int, k: int, seed: int):
+    import tempfile
+
+    import numpy as np
+    import pyarrow as pa
+
+    def part(held, texts):
+        if not texts.ids.size:
+            return
+        wide = max(x.shape[1] for x in held)
+        rows = np.concatenate([np.pad(x, ((0, 0), (0, wide - x.shape[1])), constant_values=-1) for x in held])
+        pairs, pair, picked = _picked(rows, k, seed)
+        # nodes of each pair, once, at their least distance from the target
+        i, j = np.nonzero(np.arange(wide - 1)[None, :] <= picked[:, :1])
+        pair, far, node = pair[i], j + 1, picked[i, j + 1]
+        order = np.lexsort((far, node, pair))
+        pair, far, node = pair[order], far[order], node[order]
+        once = np.append(True, (pair[1:] != pair[:-1]) | (node[1:] != node[:-1]))
+        pair, far, node = pair[once], far[once], node[once]
+        order = np.lexsort((_by_name(node), far, pair))
+        pair, doc = pair[order], np.fmod(node[order] >> 3, n)
+        at = np.minimum(np.searchsorted(texts.ids, doc), len(texts.ids) - 1)
+        known = texts.ids[at] == doc
+        pair, at = pair[known], at[known]
+        size, some = texts.sizes[at], ~texts.null[at]
+        # running sums of a pair
+        first = np.flatnonzero(np.append(True, pair[1:] != pair[:-1])) if len(pair) else np.empty(0, "i8")
+        own = np.repeat(np.arange(len(first)), np.diff(np.append(first, len(pair))))
+        since = lambda x: (c := np.cumsum(x)) - (c - x)[first][own]
+        upto = since(size)
+        kept = (upto <= budget) & (since(some.astype("i8")) > 0)
+        pair, at, upto = pair[kept], at[kept], upto[kept]
+        if not len(pair):
+            return
+        first = np.flatnonzero(np.append(True, pair[1:] != pair[:-1]))
+        ends = np.append(first[1:], len(pair))
+        digests = texts.digests(at.tolist(), first.tolist(), ends.tolist())
+        entry, target = pairs[pair[first]].T
+        columns = [[_name(x) for x in entry.tolist()], [_name(x) for x in target.tolist()], ends - first, upto[ends - 1], digests]
+        out = pa.RecordBatch.from_arrays([pa.array(c) for c in columns], ["entry", "target", "functions", "chars", "context_md5"])
+        for a in range(0, len(first), 10_000):
+            yield out.slice(a, 10_000)
+
+    with tempfile.TemporaryFile() as file:
+        texts, held, now = _Texts(file), [], None
+        for batch in batches:
+            for p, id_, size, data in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist(), batch.column(3).to_pylist(), batch.column(4), strict=True):
+                if p < 0:
+                    texts.add(id_, size, data.as_buffer() if data.is_valid else None)
+                    continue
+                if p != now and held:
+                    yield from part(held, texts.ready())
+                    held = []
+                now = p
+                raw = np.frombuffer(pa.decompress(data.as_buffer(), id_ * size * 8, codec="zstd"), "u1")
+                x = raw.reshape(id_, 8, size).transpose(0, 2, 1).copy().view("i8").reshape(id_, size).T
+                held.append(np.column_stack([np.full(size, id_ - 1), np.cumsum(x[:, 0]), x[:, 1:]]))
+        if held:
+            yield from part(held, texts.ready())
+
+
+class _Texts:
+    """Texts by number in a file, each after a line's end."""
+
+    def __init__(self, file):
+        self.file, self.rows, self.end, self.ids = file, [], 0, None
+
+    def add(self, number: int | None, size: int | None, text) -> None:
+        if number is not None:
+            end = self.end + (0 if text is None else 1 + text.size)
+            self.rows.append((number, size or 0, size is None, self.end, end))
+            self.end = end
+            if text is not None:
+                self.file.write(b"\n")
+                self.file.write(text)
+
+    def ready(self) -> _Texts:
+        import mmap
+
+        import numpy as np
+
+        if self.ids is None:
+            self.file.flush()
+            self.map = memoryview(mmap.mmap(self.file.fileno(), 0, access=mmap.ACCESS_READ)) if self.end else memoryview(b"")
+            x = np.array(sorted(self.rows), "i8").reshape(-1, 5)
+            self.ids, self.sizes, self.null, self.rows = x[:, 0], x[:, 1], x[:, 2] == 1, []
+            self.spans = list(zip(x[:, 3].tolist(), x[:, 4].tolist(), strict=True))
+        return self
+
+    def digests(self, at: list[int], first: list[int], ends: list[int]) -> list[str]:
+        from hashlib import md5
+
+        out, held, spans = [], self.map, self.spans
+        for a, b in zip(first, ends, strict=True):
+            h, skip = md5(usedforsecurity=False), 1
+            for i in at[a:b]:
+                x, y = spans[i]
+                if x < y:  # null texts have no line
+                    h.update(held[x + skip : y])
+                    skip = 0
+            out.append(h.hexdigest())
+        return out
+
+
 def lookup(requests: DataFrame, functions: DataFrame) -> DataFrame:
     """Adds found and code to requests (name): unknown names are told as misses. Only the open requests move; functions may be bucketed by name."""
     return requests.join(functions.select(F.col("fn_id").alias("name"), "code", F.lit(True).alias("hit")), "name", "left").withColumn("found", F.coalesce("hit", F.lit(False))).drop("hit")

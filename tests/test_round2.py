@@ -6,10 +6,10 @@ import random
 import pytest
 from pyspark.sql import functions as F
 
-from detectlab.operators import corpus, minhash
+from detectlab.operators import corpus, minhash, project
 from detectlab.operators import graph as G
 from detectlab.plans import q_more, q_ops, q_project
-from detectlab.sources.tables import call_edges, code, coded_edges, entries, load
+from detectlab.sources.tables import KINDS, call_edges, code, coded_edges, entries, load
 from detectlab.streaming import streams
 
 SF = "/root/testdata/sf0.001"
@@ -119,3 +119,52 @@ def test_edges_of_one_signature_come_from_many_tasks(spark, monkeypatch, most):
     assert sorted((r.src, r.dst) for r in out.select("src", "dst").collect()) == sorted(want)
     if most > 5:
         assert out.select(F.spark_partition_id()).distinct().count() >= 6
+
+
+def written_by_shuffles(spark, run):
+    """Bytes that run() writes to shuffles."""
+    sc = spark.sparkContext
+    jsc = sc._jsc.sc()
+
+    def total():
+        jsc.listenerBus().waitUntilEmpty(30_000)
+        stages = jsc.statusStore().stageList(None, False, False, sc._gateway.new_array(sc._jvm.double, 0), None)
+        return sum(stages.apply(i).shuffleWriteBytes() for i in range(stages.size()))
+
+    before = total()
+    run()
+    return total() - before
+
+
+def test_context_texts_go_once_to_a_task(spark):
+    docs = load(spark, SF, "documents").agg(F.sum(F.octet_length("text"))).first()[0]
+    assert written_by_shuffles(spark, lambda: q_project.initial_context(spark, SF).collect()) < 4 * docs
+
+
+@pytest.mark.parametrize("part", [400_000, 20])
+def test_context_digests_are_of_the_whole_contexts(spark, monkeypatch, part):
+    """Paths of two lengths, some of them twice, many and few a pair; keys of 1 to 17 digits; texts null, empty, missing and over the budget."""
+    monkeypatch.setattr(project, "PART_PATHS", part)
+    draw = random.Random(3)
+    key = lambda most=17: draw.randrange(10 ** (m := draw.choice([x for x in (0, 1, 2, 6, 16) if x < most])), 10 ** (m + 1))
+    ends = [f"r{k}" for k in range(2)]
+    near, far, parts = [sorted({f"{kind}{key(9 if kind == 'p' else 17)}" for _ in range(m)}) for kind, m in (("n", 5), ("o", 40), ("p", 30))]
+    edges = {(draw.choice(ends), x) for x in near for _ in range(2)} | {(draw.choice(near), x) for x in far} | {(draw.choice([*far, *far, *near]), x) for x in parts for _ in range(draw.choice([1, 2, 5, 20]))}
+    docs = [(i, draw.choice([None, "", "é" * 9, "x" * 70, f"text {i}\n" * draw.randrange(1, 6)])) for i in range(40) if i % 9]
+    e = spark.createDataFrame(sorted(edges), "src string, dst string")
+    entry, goals = spark.createDataFrame([(x,) for x in ends], "entry string"), spark.createDataFrame([(x,) for x in parts], "node string")
+    d = spark.createDataFrame(docs, "doc_id long, text string")
+    paths = G.sample_paths(e, G.level_counts(e, entry), goals)
+    bodies = paths.select(F.explode("path").alias("node")).distinct().join(d, F.substring("node", 2, 18).cast("long") % len(docs) == F.col("doc_id")).select("node", F.col("text").alias("code"))
+    want = project.initial_context(paths, bodies, 60).select("entry", "target", "functions", "chars", F.md5("context").alias("m")).collect()
+
+    into, number = {}, lambda x: int(x[1:]) * 8 + KINDS.index(x[0])
+    for a, b in sorted(edges):
+        into.setdefault(b, []).append(a)
+    back = lambda x: [[x, *t] for a in into[x] for t in back(a)] if x in into else [[x]]
+    rows = [(number(t[0]), [number(x) for x in t[1:]]) for x in parts for t in back(x)]
+    rows = [*rows, *rows[::3]]
+    draw.shuffle(rows)
+    got = project.context_digests(spark.createDataFrame(rows, "target long, tail array<long>"), d, 60, len(rows)).collect()
+    assert sorted(map(tuple, got)) == sorted(map(tuple, want)) and len({r.functions for r in got}) > 3
+    assert project.context_digests(spark.createDataFrame(rows, "target long, tail array<long>"), d.where("false"), 60, len(rows)).count() == 0
