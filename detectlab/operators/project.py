@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from detectlab.functions import simulate
-from detectlab.sources.tables import KINDS, cut
+from detectlab.sources.tables import KINDS, cut, shared_folder, stored
 
 #: Classes that count as one. Fixed values.
 MERGE = {"CWE-125": "CWE-119", "CWE-787": "CWE-119", "CWE-415": "CWE-416"}
@@ -39,29 +39,53 @@ def initial_context(paths: DataFrame, bodies: DataFrame, budget: int) -> DataFra
     return rows.groupBy("entry", "target").agg(F.count("*").alias("functions"), F.max("upto").alias("chars"), x.alias("x")).withColumn("context", F.array_join(F.transform("x", lambda r: r.code), "\n")).drop("x")
 
 
-#: Paths of a packed block's rows at once, of a task, and of a part of a task; bytes of texts from which tasks get larger.
-PACK_ROWS, TASK_PATHS, PART_PATHS, TASK_TEXT = 500_000, 6_000_000, 400_000, 100_000_000
+#: Paths that are packed at once, of a task, and of a part of a task; the number of texts without one.
+PACK_ROWS, TASK_PATHS, PART_PATHS, NO_NUMBER = 500_000, 6_000_000, 400_000, -(2**63)
 
 
 def context_digests(paths: DataFrame, docs: DataFrame, budget: int, about: int, k: int = 3, seed: int = 1) -> DataFrame:
     """entry, target, functions, chars, context_md5: the digest of what initial_context makes of k paths a pair, as graph.sample_paths takes them.
 
     paths (target, tail): all paths, by codes of nodes, tail from the end; about: how many. A node's body is the document
-    numbered as its key, modulo their count. Paths go to tasks by target, packed by column, and a text goes once to a task;
-    there pairs are sampled, filled up to the budget and hashed. Texts wait in a file without a name, parts of the targets in turn.
+    numbered as its key, modulo their count. Texts are written once to the shared folder. Paths go to tasks by target, packed
+    by column, with the texts' places; there pairs are sampled, filled up to the budget and hashed, parts of the targets in turn.
     """
-    spark = paths.sparkSession
-    n, size = docs.agg(F.count("*"), F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()
-    tasks = max(1, min(spark.sparkContext.defaultParallelism, -(-about // 50_000)), -(-about // int(TASK_PATHS * max(1, size / TASK_TEXT))))
+    tasks = max(1, min(docs.sparkSession.sparkContext.defaultParallelism, -(-about // 50_000)), -(-about // TASK_PATHS))
     parts = max(1, -(-about // (tasks * PART_PATHS)))
-    kinds = "task int, part int, id long, size int, data binary"
-    packed = paths.mapInArrow(lambda batches: _packed(batches, tasks, parts), kinds)
-    every = docs.select(F.explode(F.sequence(F.lit(0), F.lit(tasks - 1))).alias("task"), F.lit(-1).alias("part"), F.col("doc_id").cast("long").alias("id"), F.length("text").alias("size"), F.col("text").cast("binary").alias("data"))
-    met = every.union(packed).repartitionById(tasks, F.col("task")).sortWithinPartitions("task", "part")
+    packed = paths.mapInArrow(lambda batches: _packed(batches, tasks, parts), "task int, part int, width long, size long, data binary")
+    folder = shared_folder(docs.sparkSession)
+    texts = docs.select(F.col("doc_id").cast("long").alias("id"), F.length("text").alias("size"), F.col("text").cast("binary").alias("text"))
+    files = stored(texts.mapInArrow(lambda batches: _written(batches, folder), "file string, rows long, places binary"))
+    n = files.agg(F.coalesce(F.sum("rows"), F.lit(0))).first()[0]
+    every = files.where("rows > 0").select(F.explode(F.sequence(F.lit(0), F.lit(tasks - 1))).alias("task"), F.lit(-1).alias("part"), F.lit(None).cast("long").alias("width"), F.col("rows").alias("size"), F.col("places").alias("data"), "file")
+    met = every.union(packed.withColumn("file", F.lit(None).cast("string"))).repartitionById(tasks, F.col("task")).sortWithinPartitions("task", "part")
     out = "entry string, target string, functions long, chars long, context_md5 string"
     return met.mapInArrow(lambda batches: _contexts(batches, n, budget, k, seed), out)
 
 
+def _written(batches, folder: str):
+    """Writes texts to a file of its own, each after a line's end; places: number, size, if null, start and end of each, by column."""
+    import uuid
+
+    import numpy as np
+    import pyarrow as pa
+
+    from detectlab.sources.shared import opened
+
+    file, end, places = f"{folder}/texts-{uuid.uuid4().hex}", 0, []
+    with opened(file, "wb") as out:
+        for batch in batches:
+            for number, size, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2), strict=True):
+                start = end
+                if text.is_valid:
+                    out.write(b"\n")
+                    out.write(text.as_buffer())
+                    end += 1 + text.as_buffer().size
+                places.append((NO_NUMBER if number is None else number, size or 0, size is None, start, end))
+    data = pa.compress(np.array(places, "i8").reshape(-1, 5).T.tobytes(), codec="zstd", asbytes=True)
+    yield pa.RecordBatch.from_arrays([pa.array([file]), pa.array([len(places)], pa.int64()), pa.array([data], pa.binary())], ["file", "rows", "places"])
+
+
 def _packed(batches, tasks: int, parts: int):
     """Blocks of paths of one length and part: the columns target and tail, sorted, by bytes of the same weight."""
     import numpy as np
@@ -82,8 +106,8 @@ def _packed(batches, tasks: int, parts: int):
 
     def sent(held):
         rows = list(blocks(held))
-        types = (pa.int32(), pa.int32(), pa.int64(), pa.int32(), pa.binary())
-        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), types, strict=True)], ["task", "part", "id", "size", "data"])
+        types = (pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.binary())
+        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), types, strict=True)], ["task", "part", "width", "size", "data"])
 
     held, count = {}, 0
     for batch in batches:
@@ -153,8 +177,6 @@ def _picked(rows, k: int, seed: int):
 
 
 def _contexts(batches, n: int, budget: int, k: int, seed: int):
-    import tempfile
-
     import numpy as np
     import pyarrow as pa
 
@@ -188,69 +210,64 @@ def _contexts(batches, n: int, budget: int, k: int, seed: int):
             return
         first = np.flatnonzero(np.append(True, pair[1:] != pair[:-1]))
         ends = np.append(first[1:], len(pair))
-        digests = texts.digests(at.tolist(), first.tolist(), ends.tolist())
+        digests = texts.digests(at, first.tolist(), ends.tolist())
         entry, target = pairs[pair[first]].T
         columns = [[_name(x) for x in entry.tolist()], [_name(x) for x in target.tolist()], ends - first, upto[ends - 1], digests]
         out = pa.RecordBatch.from_arrays([pa.array(c) for c in columns], ["entry", "target", "functions", "chars", "context_md5"])
         for a in range(0, len(first), 10_000):
             yield out.slice(a, 10_000)
 
-    with tempfile.TemporaryFile() as file:
-        texts, held, now = _Texts(file), [], None
-        for batch in batches:
-            for p, id_, size, data in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist(), batch.column(3).to_pylist(), batch.column(4), strict=True):
-                if p < 0:
-                    texts.add(id_, size, data.as_buffer() if data.is_valid else None)
-                    continue
-                if p != now and held:
-                    yield from part(held, texts.ready())
-                    held = []
-                now = p
-                raw = np.frombuffer(pa.decompress(data.as_buffer(), id_ * size * 8, codec="zstd"), "u1")
-                x = raw.reshape(id_, 8, size).transpose(0, 2, 1).copy().view("i8").reshape(id_, size).T
-                held.append(np.column_stack([np.full(size, id_ - 1), np.cumsum(x[:, 0]), x[:, 1:]]))
-        if held:
-            yield from part(held, texts.ready())
+    texts, held, now = _Texts(), [], None
+    for batch in batches:
+        for p, width, size, data, file in zip(*[batch.column(i).to_pylist() for i in (1, 2, 3)], batch.column(4), batch.column(5).to_pylist(), strict=True):
+            if p < 0:
+                texts.add(file, np.frombuffer(pa.decompress(data.as_buffer(), size * 40, codec="zstd"), "i8").reshape(5, size))
+                continue
+            if p != now and held:
+                yield from part(held, texts.ready())
+                held = []
+            now = p
+            raw = np.frombuffer(pa.decompress(data.as_buffer(), width * size * 8, codec="zstd"), "u1")
+            x = raw.reshape(width, 8, size).transpose(0, 2, 1).copy().view("i8").reshape(width, size).T
+            held.append(np.column_stack([np.full(size, width - 1), np.cumsum(x[:, 0]), x[:, 1:]]))
+    if held:
+        yield from part(held, texts.ready())
 
 
 class _Texts:
-    """Texts by number in a file, each after a line's end."""
+    """Texts by number, read where they lie in their files."""
 
-    def __init__(self, file):
-        self.file, self.rows, self.end, self.ids = file, [], 0, None
+    def __init__(self):
+        self.files, self.places, self.ids = [], [], None
 
-    def add(self, number: int | None, size: int | None, text) -> None:
-        if number is not None:
-            end = self.end + (0 if text is None else 1 + text.size)
-            self.rows.append((number, size or 0, size is None, self.end, end))
-            self.end = end
-            if text is not None:
-                self.file.write(b"\n")
-                self.file.write(text)
+    def add(self, file: str, places) -> None:
+        self.places.append((len(self.files), places))
+        self.files.append(file)
 
     def ready(self) -> _Texts:
-        import mmap
-
         import numpy as np
 
+        from detectlab.sources.shared import mapped
+
         if self.ids is None:
-            self.file.flush()
-            self.map = memoryview(mmap.mmap(self.file.fileno(), 0, access=mmap.ACCESS_READ)) if self.end else memoryview(b"")
-            x = np.array(sorted(self.rows), "i8").reshape(-1, 5)
-            self.ids, self.sizes, self.null, self.rows = x[:, 0], x[:, 1], x[:, 2] == 1, []
-            self.spans = list(zip(x[:, 3].tolist(), x[:, 4].tolist(), strict=True))
+            x = np.concatenate([np.empty((6, 0), "i8"), *[np.vstack([p, np.full(p.shape[1], i)]) for i, p in self.places]], axis=1)
+            x = x[:, x[0] != NO_NUMBER]
+            x = x[:, np.argsort(x[0], kind="stable")]
+            self.ids, self.sizes, self.null, self.places = x[0], x[1], x[2] == 1, []
+            self.starts, self.ends, self.of = x[3], x[4], x[5]
+            self.maps = [mapped(f) for f in self.files]
         return self
 
-    def digests(self, at: list[int], first: list[int], ends: list[int]) -> list[str]:
+    def digests(self, at, first: list[int], ends: list[int]) -> list[str]:
         from hashlib import md5
 
-        out, held, spans = [], self.map, self.spans
+        spans = list(zip(self.of[at].tolist(), self.starts[at].tolist(), self.ends[at].tolist(), strict=True))
+        out, maps = [], self.maps
         for a, b in zip(first, ends, strict=True):
             h, skip = md5(usedforsecurity=False), 1
-            for i in at[a:b]:
-                x, y = spans[i]
+            for f, x, y in spans[a:b]:
                 if x < y:  # null texts have no line
-                    h.update(held[x + skip : y])
+                    h.update(maps[f][x + skip : y])
                     skip = 0
             out.append(h.hexdigest())
         return out

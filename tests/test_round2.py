@@ -150,7 +150,7 @@ def test_context_digests_are_of_the_whole_contexts(spark, monkeypatch, part):
     ends = [f"r{k}" for k in range(2)]
     near, far, parts = [sorted({f"{kind}{key(9 if kind == 'p' else 17)}" for _ in range(m)}) for kind, m in (("n", 5), ("o", 40), ("p", 30))]
     edges = {(draw.choice(ends), x) for x in near for _ in range(2)} | {(draw.choice(near), x) for x in far} | {(draw.choice([*far, *far, *near]), x) for x in parts for _ in range(draw.choice([1, 2, 5, 20]))}
-    docs = [(i, draw.choice([None, "", "é" * 9, "x" * 70, f"text {i}\n" * draw.randrange(1, 6)])) for i in range(40) if i % 9]
+    docs = [(i if i % 9 else None, draw.choice([None, "", "é" * 9, "x" * 70, f"text {i}\n" * draw.randrange(1, 6)])) for i in range(40)]
     e = spark.createDataFrame(sorted(edges), "src string, dst string")
     entry, goals = spark.createDataFrame([(x,) for x in ends], "entry string"), spark.createDataFrame([(x,) for x in parts], "node string")
     d = spark.createDataFrame(docs, "doc_id long, text string")
